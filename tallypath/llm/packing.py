@@ -32,41 +32,45 @@ MEMO = 400_000
 SALTS = 64
 
 
-class _Ids(dict):
-    def __init__(self, tok):
-        super().__init__()
-        self.tok = tok
-
-    def __missing__(self, word: str) -> bytes:
-        got = np.array(self.tok.encode(word, add_special_tokens=False).ids, "<u4").tobytes()
-        if len(word) <= 64:
-            if len(self) > MEMO:
-                self.clear()
-            self[word] = got
-        return got
-
-
 class WordIds:
     """Ids of whole texts as little-endian bytes, each distinct word encoded once while the bounded memo holds it.
 
     Holds for texts of printable characters below U+0180 without special strings, where the tokenizer's normaliser
-    is lower-casing by character; any other text is encoded whole by the library.
+    is lower-casing by character; any other text is encoded whole by the library. Unknown words of a text are
+    encoded in one call, joined by spaces, which the tokenizer drops.
     """
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
-        self.memo = _Ids(self.tok)
+        self.memo: dict[str, bytes] = {}
         letters = "a-zªµºß-öø-ſ"
         # The tokenizer's own split, for lower-cased texts in the plain range. Fixed value.
         self.split = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|[{letters}]+|[0-9²³¹¼½¾]|[^\s0-9²³¹¼½¾{letters}]+").findall
         self.plain = re.compile("[^\t\n\r\x20-\x7e\xa1-\xac\xae-įı-ſ]").search
 
+    def _learn(self, fresh: list[str]) -> None:
+        enc = self.tok.encode(" ".join(fresh), add_special_tokens=False)
+        word = np.array(enc.word_ids)
+        cut = np.flatnonzero(np.diff(word)) + 1
+        if len(cut) + 1 != len(fresh):
+            raise ValueError("the tokenizer split words that its pattern leaves whole")
+        ids = np.array(enc.ids, "<u4").tobytes()
+        edges = [0, *(4 * cut).tolist(), len(ids)]
+        self.memo.update(zip(fresh, (ids[a:b] for a, b in zip(edges, edges[1:]))))
+
     def ids(self, text: str) -> bytes:
         if self.plain(text) or "<|" in text:
             return np.array(self.tok.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
-        return b"".join(map(self.memo.__getitem__, self.split(text.lower())))
+        got = self.split(text.lower())
+        fresh = [w for w in set(got) if w not in self.memo]
+        if fresh:
+            if len(self.memo) + len(fresh) > MEMO:
+                self.memo.clear()
+                fresh = list(set(got))
+            self._learn(fresh)
+        return b"".join(map(self.memo.__getitem__, got))
 
 
 @lru_cache(2)
