@@ -6,14 +6,17 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import packing, secrets, token_counts, warc
+from . import decontamination, language_id, packing, secrets, token_counts, toxicity, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_token_counts": token_counts.query,
+        "op4_decontamination": decontamination.query,
+        "op5_toxicity": toxicity.query,
         "op7_secret_scan": secrets.query,
         "op8_warc": warc.query,
+        "op9_language_id": language_id.query,
         "op10_best_fit_packing": packing.query,
     }
 
