@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontamination, language_id, packing, secrets, token_counts, toxicity, warc
+from . import decontamination, language_id, minhash, packing, secrets, token_counts, toxicity, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_token_counts": token_counts.query,
+        "op3_minhash_near_dedup": minhash.query,
         "op4_decontamination": decontamination.query,
         "op5_toxicity": toxicity.query,
         "op7_secret_scan": secrets.query,
