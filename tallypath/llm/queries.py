@@ -6,11 +6,12 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontamination, language_id, minhash, packing, secrets, token_counts, toxicity, warc
+from . import decontamination, embedding_dedup, language_id, minhash, packing, secrets, token_counts, toxicity, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_embedding_near_dedup": embedding_dedup.query,
         "op2_token_counts": token_counts.query,
         "op3_minhash_near_dedup": minhash.query,
         "op4_decontamination": decontamination.query,
@@ -23,4 +24,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op8_warc": warc.ORACLE}
+    return {"op1_embedding_near_dedup": embedding_dedup.ORACLE, "op8_warc": warc.ORACLE}
