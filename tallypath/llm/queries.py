@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontamination, embedding_dedup, language_id, minhash, packing, secrets, token_counts, toxicity, warc
+from . import decontamination, embedding_dedup, language_id, minhash, packing, secrets, suffix_dedup, token_counts, toxicity, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -16,6 +16,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_minhash_near_dedup": minhash.query,
         "op4_decontamination": decontamination.query,
         "op5_toxicity": toxicity.query,
+        "op6_suffix_dedup": suffix_dedup.query,
         "op7_secret_scan": secrets.query,
         "op8_warc": warc.query,
         "op9_language_id": language_id.query,
