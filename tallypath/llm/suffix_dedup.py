@@ -45,7 +45,7 @@ GRAM = 24
 PIECE = 1 << 18  # bytes hashed at a time
 FLUSH = 24 << 20  # bytes of text behind a run
 FILTER_BITS = 27
-SLICES = 256
+SLICES = 64
 _PLACE = np.uint64((1 << 20) - 1)
 _RAND = np.random.default_rng(61).integers(1, 2**62, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _BASE = 0x9E3779B97F4A7C15
@@ -322,7 +322,7 @@ def anchor_filter(docs: DataFrame, bits: int) -> np.ndarray:
             yield pd.DataFrame({"slice": [s], "bits": [np.packbits(x).tobytes()]})
 
     out = np.zeros((1 << bits) // 8, np.uint8)
-    for r in placed.repartition(SLICES, "slice").mapInPandas(fill, "slice int, bits binary").toLocalIterator():
+    for r in placed.repartition(SLICES, "slice").mapInPandas(fill, "slice int, bits binary").collect():
         out[r["slice"] * (width // 8) : (r["slice"] + 1) * (width // 8)] = np.frombuffer(r["bits"], np.uint8)
     return out
 
