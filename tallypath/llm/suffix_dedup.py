@@ -43,7 +43,7 @@ from .textnum import chunks, mix, utf8
 LENGTH = 100
 GRAM = 24
 PIECE = 1 << 18  # bytes hashed at a time
-FLUSH = 24 << 20  # bytes of text behind a run
+FLUSH = 6 << 20  # bytes of text behind a run
 FILTER_BITS = 27
 SLICES = 64
 _PLACE = np.uint64((1 << 20) - 1)
@@ -304,7 +304,7 @@ def anchor_filter(docs: DataFrame, bits: int) -> np.ndarray:
     def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
             texts = [utf8(t) for t in pdf["text"]]
-            for lo, hi in chunks(texts, FLUSH // 4):
+            for lo, hi in chunks(texts, FLUSH):
                 key, n = np.unique(segments(texts[lo:hi])[4], return_counts=True)
                 yield pd.DataFrame({"key": key.astype(np.int64), "n": np.minimum(n, 2).astype(np.int32)})
 
@@ -407,8 +407,8 @@ def filter_bits(total: int) -> int:
     return min(FILTER_BITS, max(16, int(np.ceil(np.log2(max(1, total) * 16 / 38)))))
 
 
-def remove_repeats(docs: DataFrame, bits: int | None = None, bucket_bytes: int = 2 << 20) -> DataFrame:
-    """``docs`` (doc_id, text) with n_bytes, spans (removed runs of bytes) and kept (the remaining bytes)."""
+def repeated(docs: DataFrame, bits: int | None = None, bucket_bytes: int = 2 << 20) -> DataFrame:
+    """doc_id, text, found: the spans (a, b) that each row of ``docs`` (doc_id, text) loses, not yet united; null for none."""
     own = docs.select("doc_id", "text")
     placed = own.select(F.coalesce("doc_id", F.lit(_NULL_ID)).alias("id"), "text")
     total = own.agg(F.sum(F.octet_length("text").cast("long"))).first()[0] or 0
@@ -417,30 +417,49 @@ def remove_repeats(docs: DataFrame, bits: int | None = None, bucket_bytes: int =
     runs = written(sorted_runs(placed, filter_, bits, max(1, -(-total // bucket_bytes))), "runs")
     local = runs.where(F.col("bucket") < 0).select("id", "a", "b")
     spans = local.unionByName(merged_spans(runs.where(F.col("bucket") >= 0)))
+    by_doc = written(spans.groupBy("id").agg(F.collect_list("a").alias("a"), F.collect_list("b").alias("b")), "spans")
+    return own.withColumn("id", F.coalesce("doc_id", F.lit(_NULL_ID))).join(by_doc, "id", "left").select("doc_id", "text", "a", "b")
+
+
+def _cut(text: str | None, a, b) -> tuple[int, list[tuple[int, int]], bytes]:
+    """Bytes of the text, its removed runs, and what remains."""
+    data = utf8(text)
+    gone = united(np.asarray(a, np.int64), np.asarray(b, np.int64)) if a is not None else []
+    at, parts = 0, []
+    for x, y in gone:
+        parts.append(data[at:x])
+        at = y
+    return len(data), gone, b"".join([*parts, data[at:]])
+
+
+def remove_repeats(docs: DataFrame, bits: int | None = None) -> DataFrame:
+    """doc_id, n_bytes, spans (removed runs of bytes, from and to) and kept (the remaining bytes) of every row of ``docs``."""
+
+    def cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in batches:
+            rows = [(d, *_cut(*x)) for d, *x in zip(pdf["doc_id"].astype("Int64").array, pdf["text"], pdf["a"], pdf["b"])]
+            yield pd.DataFrame({"doc_id": pd.array([r[0] for r in rows], "Int64"), "n_bytes": [r[1] for r in rows], "spans": [[{"a": x, "b": y} for x, y in r[2]] for r in rows], "kept": [r[3] for r in rows]})
+
+    return repeated(docs, bits).mapInPandas(cut, "doc_id long, n_bytes long, spans array<struct<a:long,b:long>>, kept binary")
+
+
+def removal_digests(docs: DataFrame, bits: int | None = None) -> DataFrame:
+    """As ``remove_repeats``, but only sizes and the hash of what remains leave the tasks."""
+
+    def cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in batches:
+            rows = []
+            for d, *x in zip(pdf["doc_id"].astype("Int64").array, pdf["text"], pdf["a"], pdf["b"]):
+                n, gone, kept = _cut(*x)
+                rows.append((d, n, n - len(kept), len(gone), digest(kept)))
+            out = pd.DataFrame(rows, columns=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
+            yield out.assign(doc_id=out["doc_id"].astype("Int64"))
 
-    @F.pandas_udf("struct<spans:array<struct<a:long,b:long>>,kept:binary>")
-    def cut(texts: pd.Series, found: pd.Series) -> pd.DataFrame:
-        out, kept = [], []
-        for t, s in zip(texts, found):
-            data = utf8(t)
-            runs_ = united(np.array([x["a"] for x in s], np.int64), np.array([x["b"] for x in s], np.int64)) if s is not None and len(s) else []
-            at, parts = 0, []
-            for a, b in runs_:
-                parts.append(data[at:a])
-                at = b
-            out.append([{"a": a, "b": b} for a, b in runs_])
-            kept.append(b"".join([*parts, data[at:]]))
-        return pd.DataFrame({"spans": out, "kept": kept})
-
-    by_doc = written(spans.groupBy("id").agg(F.collect_list(F.struct("a", "b")).alias("found")), "spans")
-    joined = own.withColumn("id", F.coalesce("doc_id", F.lit(_NULL_ID))).join(by_doc, "id", "left")
-    return joined.withColumn("c", cut("text", "found")).select("doc_id", "text", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"), "c.spans", "c.kept")
+    return repeated(docs, bits).mapInPandas(cut, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = remove_repeats(table(spark, sf_dir, "documents"))
-    removed = F.aggregate("spans", F.lit(0).cast("long"), lambda n, s: n + s["b"] - s["a"])
-    return found.select("doc_id", "n_bytes", removed.alias("n_removed"), F.size("spans").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))
+    return removal_digests(table(spark, sf_dir, "documents"))
 
 
 def brute_force(texts: dict[int, bytes]) -> dict[int, bytes]:
