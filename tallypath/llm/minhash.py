@@ -4,9 +4,10 @@
    per bucket the leading-zero count and ``MANTISSA`` further bits of the smallest hash; empty
    buckets borrow from others by fixed random probes. Documents with equal sets are one class
    from here on, so copies cost nothing further.
-2. Bands of registers are candidate keys. Sets of at most ``SMALL`` shingles, for which few
-   registers differ independently, use the keys of an exact prefix filter instead (somewhat
-   larger sets use both, so that every pair is covered by one kind).
+2. Bands of registers are candidate keys. Sets of at most ``SMALL`` shingles, which would leave
+   most buckets empty, take a hash of its own over the whole set for each register instead of a
+   bucket; somewhat larger sets have both kinds of keys, so that every pair has one in common.
+   A pair at the threshold shares no band with probability (1 - 0.85**7)**36, one in a million.
 3. Classes that share keys form candidate groups (connected components over the keys).
    A group is checked in blocks of at most ``2 * BLOCK`` classes: larger groups are split by
    set size and by hash into chunks, and every two chunks whose sizes may match are one block.
@@ -51,10 +52,9 @@ def registers(shingles: np.ndarray) -> np.ndarray:
     value = mix(shingles) >> np.uint64(11)
     cut = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]]))
     least = np.minimum.reduceat(value, cut)
-    fraction, exponent = np.frexp(least.astype(np.float64))
     out = np.zeros(REGISTERS, np.uint16)
     own = bucket[cut]
-    out[own] = exponent.astype(np.int64) * (1 << MANTISSA) + ((fraction * 2 - 1).clip(0) * (1 << MANTISSA)).astype(np.int64)
+    out[own] = _compressed(least)
     full = np.zeros(REGISTERS, bool)
     full[own] = True
     open_ = np.flatnonzero(~full)
@@ -70,6 +70,17 @@ def registers(shingles: np.ndarray) -> np.ndarray:
     return out
 
 
+def _compressed(least: np.ndarray) -> np.ndarray:
+    """Bit length and leading mantissa bits of 53-bit values."""
+    fraction, exponent = np.frexp(least.astype(np.float64))
+    return exponent.astype(np.int64) * (1 << MANTISSA) + ((fraction * 2 - 1).clip(0) * (1 << MANTISSA)).astype(np.int64)
+
+
+def full_registers(shingles: np.ndarray) -> np.ndarray:
+    """Registers that each take the smallest of an own hash over the whole set."""
+    return _compressed((mix(shingles[:, None] ^ _WEIGHT[None]) >> np.uint64(11)).min(0)).astype(np.uint16)
+
+
 def estimated_jaccard(agree: np.ndarray, n: np.ndarray, m: np.ndarray) -> np.ndarray:
     """Jaccard from the share of equal registers, less the agreement expected by chance.
 
@@ -80,13 +91,17 @@ def estimated_jaccard(agree: np.ndarray, n: np.ndarray, m: np.ndarray) -> np.nda
     return (agree - chance) / (1 - chance)
 
 
+def _bands(regs: np.ndarray) -> np.ndarray:
+    return (regs.astype(np.uint64) * _WEIGHT).reshape(BANDS, ROWS).sum(1) + _BAND
+
+
 def candidate_keys(shingles: np.ndarray, percent: int) -> np.ndarray:
     n = len(shingles)
     keys = []
     if n * percent <= SMALL * 100:
-        keys.append(mix(shingles[: n - -(-percent * n // 100) + 1] ^ np.uint64(0x5BD1E995)))
+        keys.append(mix(_bands(full_registers(shingles)) ^ np.uint64(0x5BD1E995)))
     if n > SMALL:
-        keys.append(mix((registers(shingles).astype(np.uint64) * _WEIGHT).reshape(BANDS, ROWS).sum(1) + _BAND))
+        keys.append(mix(_bands(registers(shingles))))
     return np.concatenate(keys)
 
 
