@@ -1 +1 @@
-
+"""Graph preliminaries, traversals, the label index and its maintainers."""
