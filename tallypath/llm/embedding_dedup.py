@@ -36,7 +36,7 @@ WINDOW = 128
 MISS = 1e-3
 LEAST_PASSES = 12
 SIGNS = 63
-CHUNK = 128
+CHUNK = 64
 
 
 def passes_for(vectors: int, cosine: float, window: int = WINDOW) -> int:
