@@ -34,6 +34,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -150,13 +151,15 @@ def pack_run(ids, starts, lefts, wins, left_bytes: list[bytes], rights: list[byt
     shared, rest = front_coded(rights)
     n = np.array([len(ids)], "<u4").tobytes()
     cols = [np.asarray(ids, "<i8"), np.asarray(starts, "<i8"), np.asarray(lefts, "u1"), np.asarray(wins, "u1"), np.asarray(shared, "u1"), np.asarray([len(r) for r in rest], "u1")]
-    return n + b"".join(c.tobytes() for c in cols) + b"".join(left_bytes) + b"".join(rest)
+    data = n + b"".join(c.tobytes() for c in cols) + b"".join(left_bytes) + b"".join(rest)
+    return np.array([len(data)], "<u4").tobytes() + pa.compress(data, "zstd", asbytes=True)
 
 
 class Run:
     """A packed run, its suffixes decoded one by one."""
 
-    def __init__(self, data: bytes):
+    def __init__(self, packed: bytes):
+        data = pa.decompress(packed[4:], int(np.frombuffer(packed, "<u4", 1)[0]), "zstd", asbytes=True)
         n = int(np.frombuffer(data, "<u4", 1)[0])
         at, cols = 4, []
         for kind, width in (("<i8", 8), ("<i8", 8), ("u1", 1), ("u1", 1), ("u1", 1), ("u1", 1)):
@@ -328,7 +331,7 @@ def anchor_filter(docs: DataFrame, bits: int) -> np.ndarray:
 
 
 def sorted_runs(docs: DataFrame, filter_: np.ndarray, bits: int, buckets: int) -> DataFrame:
-    """Rows (bucket, run) of front-coded suffixes, and rows (id, a, b) of spans settled within a task."""
+    """Rows (bucket, run) of front-coded suffixes, and rows (id, a, b) without a run: spans settled within a task, dealt to any bucket."""
     shared = docs.sparkSession.sparkContext.broadcast(filter_)
 
     def make(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -358,7 +361,7 @@ def sorted_runs(docs: DataFrame, filter_: np.ndarray, bits: int, buckets: int) -
                     cut = np.flatnonzero(t[order][1:] != t[order][:-1]) + 1
                     for part in np.split(order, cut):
                         rows += [(int(id_[part[0]]), x, y) for x, y in united(start[part], start[part] + win[part] - 1 + LENGTH)]
-                    yield pd.DataFrame({"bucket": np.int32(-1), "run": None, "id": [r[0] for r in rows], "a": [r[1] for r in rows], "b": [r[2] for r in rows]})
+                    yield pd.DataFrame({"bucket": np.array([abs(hash((r[0], r[1]))) % buckets for r in rows], np.int32), "run": None, "id": [r[0] for r in rows], "a": [r[1] for r in rows], "b": [r[2] for r in rows]})
                 one = by[~same]
                 bucket = ((mix(key[one]) >> np.uint64(33)) % np.uint64(buckets)).astype(np.int64)
                 one, bucket = one[np.argsort(bucket, kind="stable")], np.sort(bucket, kind="stable")
@@ -390,6 +393,10 @@ def merged_spans(runs: DataFrame) -> DataFrame:
                 yield pd.DataFrame({"id": i, "a": a, "b": b})
 
         for pdf in batches:
+            local = pdf["run"].isna()
+            if local.any():
+                yield pdf.loc[local, ["id", "a", "b"]]
+                pdf = pdf[~local]
             for bucket, run in zip(pdf["bucket"].tolist(), pdf["run"]):
                 if bucket != name and held:
                     yield from settle()
@@ -399,7 +406,7 @@ def merged_spans(runs: DataFrame) -> DataFrame:
         if held:
             yield from settle()
 
-    return runs.select("bucket", "run").repartition("bucket").sortWithinPartitions("bucket").mapInPandas(merge, "id long, a long, b long")
+    return runs.repartition("bucket").sortWithinPartitions("bucket").mapInPandas(merge, "id long, a long, b long")
 
 
 def filter_bits(total: int) -> int:
@@ -414,9 +421,7 @@ def repeated(docs: DataFrame, bits: int | None = None, bucket_bytes: int = 2 <<
     total = own.agg(F.sum(F.octet_length("text").cast("long"))).first()[0] or 0
     bits = bits or filter_bits(total)
     filter_ = anchor_filter(placed, bits)
-    runs = written(sorted_runs(placed, filter_, bits, max(1, -(-total // bucket_bytes))), "runs")
-    local = runs.where(F.col("bucket") < 0).select("id", "a", "b")
-    spans = local.unionByName(merged_spans(runs.where(F.col("bucket") >= 0)))
+    spans = merged_spans(sorted_runs(placed, filter_, bits, max(1, -(-total // bucket_bytes))))
     by_doc = written(spans.groupBy("id").agg(F.collect_list("a").alias("a"), F.collect_list("b").alias("b")), "spans")
     return own.withColumn("id", F.coalesce("doc_id", F.lit(_NULL_ID))).join(by_doc, "id", "left").select("doc_id", "text", "a", "b")
 
