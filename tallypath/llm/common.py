@@ -42,3 +42,15 @@ def drop_written(df: DataFrame) -> None:
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def slices(pdf, column: str = "text", most: int = 4 << 20):
+    """Consecutive parts of a batch with about ``most`` characters of text each, so that work on a part stays small."""
+    size, at, held = pdf[column].str.len().fillna(0).to_numpy(), 0, 0
+    for i, n in enumerate(size):
+        if held and held + n > most:
+            yield pdf.iloc[at:i]
+            at, held = i, 0
+        held += n
+    if at < len(pdf):
+        yield pdf.iloc[at:]

@@ -142,7 +142,7 @@ def near_duplicate_vectors(rows: DataFrame, cosine: float = 0.9) -> DataFrame:
     nodes = written(same, "nodes")
     n = nodes.count()
     passes = passes_for(n, cosine)
-    links = components(pass_links(nodes, passes, cosine, max(1, n * passes // 8192)))
+    links = components(pass_links(nodes, passes, cosine, max(1, n * passes // 8192)), thin=False)
     members = links.join(nodes, "node")
     counts = written(counted_links(members.select("node", "component", "copies", "raw"), cosine), "counts")
     known = nodes.select("key", "node", "copies").join(links, "node", "left").join(counts, "node", "left")

@@ -32,7 +32,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table, written
+from .common import slices, table, written
 from .components import components, star_forest
 from .textnum import mix, shingle_sets, utf8
 
@@ -109,7 +109,7 @@ def sketches(docs: DataFrame, k: int, percent: int) -> DataFrame:
     """doc_id, n (set size), set_id (hash of the whole set), keys."""
 
     def sketch(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in batches:
+        for pdf in (part for batch in batches for part in slices(batch)):
             sets = shingle_sets([utf8(t) for t in pdf["text"]], k)
             yield pd.DataFrame(
                 {
@@ -238,7 +238,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 85) -> DataFrame
         child, root = confirmed(part["node"].to_numpy(np.int64)[own], part["side"].to_numpy()[own], [sets[i] for i in own], percent)
         return pd.DataFrame({"u": root, "v": child})
 
-    found = components(by_block(rows, ["node", "text", "side"], check, "u long, v long"))
+    found = components(by_block(rows, ["node", "text", "side"], check, "u long, v long"), thin=False)
     of_class = classes.select("set_id", "node").join(found, "node", "left").select("set_id", F.coalesce("component", "node").alias("component"))
     out = sk.select("doc_id", "n", "set_id").join(written(of_class, "found"), "set_id", "left")
     component = F.coalesce("component", "doc_id")

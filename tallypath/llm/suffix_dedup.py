@@ -38,7 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table, written
+from .common import slices, table
 from .textnum import chunks, mix, utf8
 
 LENGTH = 100
@@ -305,9 +305,9 @@ def anchor_filter(docs: DataFrame, bits: int) -> np.ndarray:
     """Bitmap of 2 ** bits bits by anchor hash: set where an anchor occurs twice or more. Its size doesn't depend on the corpus."""
 
     def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in batches:
+        for pdf in (part for batch in batches for part in slices(batch, most=FLUSH)):
             texts = [utf8(t) for t in pdf["text"]]
-            for lo, hi in chunks(texts, FLUSH):
+            for lo, hi in chunks(texts, 2 * FLUSH):
                 key, n = np.unique(segments(texts[lo:hi])[4], return_counts=True)
                 yield pd.DataFrame({"key": key.astype(np.int64), "n": np.minimum(n, 2).astype(np.int32)})
 
@@ -336,10 +336,10 @@ def sorted_runs(docs: DataFrame, filter_: np.ndarray, bits: int, buckets: int) -
 
     def make(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         seen = shared.value
-        for pdf in batches:
+        for pdf in (part for batch in batches for part in slices(batch, most=FLUSH)):
             texts = [utf8(t) for t in pdf["text"]]
             ids = pdf["id"].to_numpy(np.int64)
-            for lo, hi in chunks(texts, FLUSH):
+            for lo, hi in chunks(texts, 2 * FLUSH):
                 t, start, win, anchor, key, content = segments(texts[lo:hi])
                 place = (key >> np.uint64(64 - bits)).astype(np.int64)
                 own = np.flatnonzero((seen[place >> 3] >> (7 - (place & 7)).astype(np.uint8)) & 1)
@@ -422,7 +422,7 @@ def repeated(docs: DataFrame, bits: int | None = None, bucket_bytes: int = 2 <<
     bits = bits or filter_bits(total)
     filter_ = anchor_filter(placed, bits)
     spans = merged_spans(sorted_runs(placed, filter_, bits, max(1, -(-total // bucket_bytes))))
-    by_doc = written(spans.groupBy("id").agg(F.collect_list("a").alias("a"), F.collect_list("b").alias("b")), "spans")
+    by_doc = spans.groupBy("id").agg(F.collect_list("a").alias("a"), F.collect_list("b").alias("b"))
     return own.withColumn("id", F.coalesce("doc_id", F.lit(_NULL_ID))).join(by_doc, "id", "left").select("doc_id", "text", "a", "b")
 
 
