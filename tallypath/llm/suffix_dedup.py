@@ -102,7 +102,8 @@ def segments(texts: list[bytes]):
         content = mix((sums[hi + LENGTH] - sums[lo]) * _INV[lo] + (hi - lo).astype(np.uint64))
         text, shift = np.array([x[0] for x in parts]), np.array([x[1] for x in parts])
         off = shift[i] - first[i]
-        found.append((text[i], lo + off, hi - lo + 1, p + off, h[p], content))
+        # Least hashes are small numbers: mixed again, they spread evenly.
+        found.append((text[i], lo + off, hi - lo + 1, p + off, mix(h[p] ^ np.uint64(0xC2B2AE3D27D4EB4F)), content))
         parts.clear()
 
     held = 0
