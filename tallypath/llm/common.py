@@ -21,6 +21,17 @@ def shared_dir(spark: SparkSession) -> str:
     return base.rstrip("/")
 
 
+BATCH_BYTES = 6 << 20
+
+
+def bounded(df: DataFrame) -> DataFrame:
+    """``df``, with Arrow batches limited by bytes, unless the session limits them: long texts then never fill a worker."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    if df.sparkSession.conf.get(key, None) is None:
+        df.sparkSession.conf.set(key, BATCH_BYTES)
+    return df
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """``df`` as a Parquet table in the shared folder, read again: cuts lineage and survives lost executors."""
     spark = df.sparkSession
@@ -41,7 +52,7 @@ def drop_written(df: DataFrame) -> None:
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    return bounded(spark.read.parquet(f"{sf_dir}/{name}.parquet"))
 
 
 def slices(pdf, column: str = "text", most: int = 4 << 20):

@@ -26,7 +26,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import bounded, table
 from .textnum import chunks, utf8, words
 
 TERMS = 15  # 2 ** TERMS hashed terms
@@ -125,7 +125,7 @@ def latent_basis(passages: DataFrame, idf: np.ndarray, rank: int = RANK, rounds:
                 yield pd.DataFrame({"rows": [own.astype("<i4").tobytes()], "z": [z[own].astype("<f4").tobytes()]})
 
         z = np.zeros_like(q)
-        for r in passages.mapInPandas(part, "rows binary, z binary").collect():
+        for r in passages.mapInPandas(part, "rows binary, z binary").toLocalIterator():
             z[np.frombuffer(r["rows"], "<i4")] += np.frombuffer(r["z"], "<f4").reshape(-1, rank)
         q = np.linalg.qr(z + 1e-7 * q)[0].astype(np.float32)
         shared.unpersist()
@@ -230,7 +230,7 @@ class Searcher:
 
 def find_leaks(docs: DataFrame, bench: DataFrame, cosine: float = 0.22, strong: float = 0.6, weak: float = 0.45) -> DataFrame:
     """doc_id, item_id, cosine, common_words, item_words, answer_found of every document and benchmark item that it holds."""
-    spark = docs.sparkSession
+    spark = bounded(docs).sparkSession
     found = None
     kind = "doc_id long, item_id long, cosine double, common_words int, item_words int, answer_found boolean"
     passages = benchmark_passages(bench)

@@ -28,7 +28,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table, written
+from .common import bounded, table, written
 from .components import components, star_forest
 from .minhash import by_block
 
@@ -137,7 +137,7 @@ def counted_links(members: DataFrame, cosine: float) -> DataFrame:
 
 def near_duplicate_vectors(rows: DataFrame, cosine: float = 0.9) -> DataFrame:
     """vec_id, n_links, component_id, kept of every row of ``rows`` (vec_id, embedding)."""
-    clean = written(cleaned(rows).withColumn("key", F.sha2("raw", 256)), "vectors")
+    clean = written(cleaned(bounded(rows)).withColumn("key", F.sha2("raw", 256)), "vectors")
     same = clean.where(F.col("raw").isNotNull() & F.col("vec_id").isNotNull()).groupBy("key", "raw").agg(F.min("vec_id").alias("node"), F.count("*").alias("copies"))
     nodes = written(same, "nodes")
     n = nodes.count()

@@ -25,7 +25,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import bounded, table
 from .convnet import ConvNet, softmax
 from .textnum import utf8
 
@@ -149,7 +149,7 @@ def identify(docs: DataFrame, model: LanguageModel) -> DataFrame:
             names, scores = m.predict(list(texts))
             yield pd.DataFrame({"lang_pred": pd.Series(names, dtype=object), "score": scores})
 
-    return docs.withColumn("__p", predicted("text")).withColumns({"lang_pred": F.col("__p.lang_pred"), "score": F.col("__p.score")}).drop("__p")
+    return bounded(docs).withColumn("__p", predicted("text")).withColumns({"lang_pred": F.col("__p.lang_pred"), "score": F.col("__p.score")}).drop("__p")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

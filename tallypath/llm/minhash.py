@@ -32,7 +32,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import slices, table, written
+from .common import bounded, slices, table, written
 from .components import components, star_forest
 from .textnum import mix, shingle_sets, utf8
 
@@ -220,7 +220,7 @@ def by_block(rows: DataFrame, columns: list[str], check, schema: str) -> DataFra
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 85) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row of ``docs`` (doc_id, text)."""
-    sk = written(sketches(docs, k, percent), "sketches")
+    sk = written(sketches(bounded(docs), k, percent), "sketches")
     named = sk.where((F.col("n") > 0) & F.col("doc_id").isNotNull())
     classes = written(named.groupBy("set_id").agg(F.min(F.struct("doc_id", "n", "keys")).alias("b")).select("set_id", F.col("b.doc_id").alias("node"), "b.n", "b.keys"), "classes")
     keyed = classes.select("node", F.explode("keys").alias("key"))

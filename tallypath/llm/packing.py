@@ -26,7 +26,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import table, written
+from .common import bounded, table, written
 
 MEMO = 400_000
 SALTS = 64
@@ -245,7 +245,7 @@ def numbered(parts: DataFrame) -> DataFrame:
 
 def pack(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", end_id: int = 1, capacity: int = 4096) -> DataFrame:
     """Packs ``docs`` (doc_id, text); a row per piece with its sequence and offset."""
-    parts = written(pieces(docs, tokenizer, end_id, capacity), "pieces")
+    parts = written(pieces(bounded(docs), tokenizer, end_id, capacity), "pieces")
     counts = {r["length"]: r["n"] for r in parts.groupBy("length").agg(F.count("*").alias("n")).collect()}  # at most ``capacity`` rows
     where = parts.sparkSession.sparkContext.broadcast(runs(solve(counts, capacity)))
 

@@ -23,7 +23,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table, written
+from .common import bounded, table, written
 
 # The base kinds in their order, and their patterns.
 KINDS = ("assign", "access", "hex")
@@ -92,7 +92,7 @@ def find_secrets(docs: DataFrame, id_col: str = "doc_id", repo_col: str = "sourc
     Candidates of widely copied values are left out; base spans always stay.
     """
     cols = list(dict.fromkeys([id_col, repo_col, owner_col]))
-    scanned = written(scan(docs.select(*cols, "text")).withColumn("text_key", F.xxhash64("text")).drop("text").withColumn("row", F.monotonically_increasing_id()), "secrets")
+    scanned = written(scan(bounded(docs).select(*cols, "text")).withColumn("text_key", F.xxhash64("text")).drop("text").withColumn("row", F.monotonically_increasing_id()), "secrets")
     owners = ownership(scanned, repo_col, owner_col)
     each = scanned.where(F.size("spans") > 0).select("row", F.explode("spans").alias("s")).withColumn("value", F.col("s.value"))
     judged = each.join(owners, "value").where(F.col("s.base") | (F.col("owners") < widely))

@@ -38,7 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import slices, table
+from .common import bounded, slices, table
 from .textnum import chunks, mix, utf8
 
 LENGTH = 100
@@ -417,7 +417,7 @@ def filter_bits(total: int) -> int:
 
 def repeated(docs: DataFrame, bits: int | None = None, bucket_bytes: int = 2 << 20) -> DataFrame:
     """doc_id, text, found: the spans (a, b) that each row of ``docs`` (doc_id, text) loses, not yet united; null for none."""
-    own = docs.select("doc_id", "text")
+    own = bounded(docs).select("doc_id", "text")
     placed = own.select(F.coalesce("doc_id", F.lit(_NULL_ID)).alias("id"), "text")
     total = own.agg(F.sum(F.octet_length("text").cast("long"))).first()[0] or 0
     bits = bits or filter_bits(total)

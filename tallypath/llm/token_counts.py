@@ -20,7 +20,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import bounded, table
 
 MARK = "▁"
 MEMO = 400_000
@@ -115,7 +115,7 @@ def count_tokens(docs: DataFrame, model: str, text_col: str = "text") -> DataFra
 
     n = F.pandas_udf(counted, "long")
     text = F.col(text_col)
-    return docs.withColumns({"n_bytes": F.coalesce(F.octet_length(text), F.lit(0)).cast("long"), "n_tokens": n(text)})
+    return bounded(docs).withColumns({"n_bytes": F.coalesce(F.octet_length(text), F.lit(0)).cast("long"), "n_tokens": n(text)})
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

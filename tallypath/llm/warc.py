@@ -30,7 +30,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import shared_dir, table
+from .common import bounded, shared_dir, table
 
 MAGIC = b"\x1f\x8b\x08"
 VERSION = b"WARC/1.1\r\n"
@@ -107,7 +107,7 @@ def write_archives(pages: DataFrame, folder: str, least: int = 100) -> DataFrame
             fs.move(draft, name)
             yield pd.DataFrame({"file": [name], "bytes": [size], "records": [n]})
 
-    return with_first(pages, least).mapInPandas(put, "file string, bytes long, records long")
+    return with_first(bounded(pages), least).mapInPandas(put, "file string, bytes long, records long")
 
 
 class _Source:
