@@ -102,14 +102,32 @@ def benchmark_passages(bench: DataFrame) -> DataFrame:
     return bench.select("item_id", "text").mapInPandas(cut, "item_id long, part int, hashes binary, answer binary")
 
 
-def latent_basis(passages: DataFrame, idf: np.ndarray, rank: int = RANK, rounds: int = 3, seed: int = 3) -> np.ndarray:
-    """Orthonormal (terms, rank) basis of the leading right singular vectors of the TF-IDF passages (column ``hashes``)."""
-    q = np.linalg.qr(np.random.default_rng(seed).normal(size=(1 << TERMS, rank)).astype(np.float32))[0]
+def live_terms(passages: DataFrame) -> np.ndarray:
+    """The hashed terms of the passages: at most 2 ** TERMS, from marks of fixed size."""
+
+    def mark(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        seen = np.zeros(1 << TERMS, bool)
+        for pdf in batches:
+            for x in pdf["hashes"]:
+                seen[terms(np.frombuffer(x, np.uint64))] = True
+        yield pd.DataFrame({"seen": [np.packbits(seen).tobytes()]})
+
+    out = np.zeros((1 << TERMS) // 8, np.uint8)
+    for r in passages.mapInPandas(mark, "seen binary").toLocalIterator():
+        out |= np.frombuffer(r["seen"], np.uint8)
+    return np.flatnonzero(np.unpackbits(out)).astype(np.int32)
+
+
+def latent_basis(passages: DataFrame, idf: np.ndarray, live: np.ndarray, rank: int = RANK, rounds: int = 3, seed: int = 3) -> np.ndarray:
+    """Orthonormal (live terms, rank) basis of the leading right singular vectors of the TF-IDF passages (column ``hashes``)."""
+    rank = max(1, min(rank, len(live)))
+    q = np.linalg.qr(np.random.default_rng(seed).normal(size=(len(live), rank)).astype(np.float32))[0]
+    z = q
     for _ in range(rounds):
-        shared = passages.sparkSession.sparkContext.broadcast((q, idf))
+        shared = passages.sparkSession.sparkContext.broadcast((q, idf, live))
 
         def part(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            q, idf = shared.value
+            q, idf, live = shared.value
             z, any_ = np.zeros_like(q), False
             for pdf in batches:
                 for x in pdf["hashes"]:
@@ -118,15 +136,15 @@ def latent_basis(passages: DataFrame, idf: np.ndarray, rank: int = RANK, rounds:
                     norm = np.linalg.norm(a)
                     if norm:
                         a /= norm
-                        z[t] += a[:, None] * (a @ q[t])[None]
+                        i = np.searchsorted(live, t)
+                        z[i] += a[:, None] * (a @ q[i])[None]
                         any_ = True
             if any_:
-                own = np.flatnonzero(np.abs(z).sum(1))
-                yield pd.DataFrame({"rows": [own.astype("<i4").tobytes()], "z": [z[own].astype("<f4").tobytes()]})
+                yield pd.DataFrame({"z": [z.astype("<f4").tobytes()]})
 
         z = np.zeros_like(q)
-        for r in passages.mapInPandas(part, "rows binary, z binary").toLocalIterator():
-            z[np.frombuffer(r["rows"], "<i4")] += np.frombuffer(r["z"], "<f4").reshape(-1, rank)
+        for r in passages.mapInPandas(part, "z binary").toLocalIterator():
+            z += np.frombuffer(r["z"], "<f4").reshape(z.shape)
         q = np.linalg.qr(z + 1e-7 * q)[0].astype(np.float32)
         shared.unpersist()
     q[np.abs(z).sum(1) == 0] = 0
@@ -164,6 +182,7 @@ class Searcher:
     """Benchmark passages in the latent space, for one block of them."""
 
     idf: np.ndarray
+    terms: np.ndarray
     basis: np.ndarray
     item: np.ndarray
     hashes: list[np.ndarray]
@@ -177,10 +196,14 @@ class Searcher:
         for h in self.hashes:
             t, tf = np.unique(terms(h), return_counts=True)
             a = tf * self.idf[t]
-            rows.append(a @ self.basis[t] / max(np.linalg.norm(a), 1e-9))
+            rows.append(a @ self.basis[np.searchsorted(self.terms, t)] / max(np.linalg.norm(a), 1e-9))
         self.query = np.array(rows, np.float32).reshape(len(rows), self.basis.shape[1])
         self.square = self.idf**2
-        self.live = (np.abs(self.basis).sum(1) > 0) & (self.idf > 0)
+        #: Row of the basis for each term; -1 for terms without weight.
+        self.row = np.full(1 << TERMS, -1, np.int32)
+        own = (np.abs(self.basis).sum(1) > 0) & (self.idf[self.terms] > 0)
+        self.row[self.terms[own]] = np.flatnonzero(own)
+        self.basis = self.basis * self.idf[self.terms][:, None]
 
     def search(self, texts: list[bytes]) -> Iterator[tuple[int, int, float, int, int, bool]]:
         """(text, item, cosine, common words, item words, answer found) of verified hits, best of each text and item."""
@@ -196,10 +219,11 @@ class Searcher:
             block = np.repeat(first_block[:-1], size) + offset // BLOCK
             total = int(first_block[-1])
             norm2 = np.bincount(block, self.square[t], total)
-            use = np.flatnonzero(self.live[t])
+            row = self.row[t]
+            use = np.flatnonzero(row >= 0)
             vec = np.zeros((total, self.basis.shape[1]), np.float32)
             if len(use):
-                rows = self.basis[t[use]] * self.idf[t[use]][:, None]
+                rows = self.basis[row[use]]
                 own, cut = np.unique(block[use], return_index=True)
                 vec[own] = np.add.reduceat(rows, cut, axis=0)
             doc = np.repeat(np.arange(hi - lo), blocks)
@@ -236,15 +260,16 @@ def find_leaks(docs: DataFrame, bench: DataFrame, cosine: float = 0.22, strong:
     passages = benchmark_passages(bench)
     n = passages.count()
     idf = idf_weights(*document_frequencies(docs)) if n else np.zeros(1 << TERMS, np.float32)
-    basis = latent_basis(passages, idf) if n else None
+    live = live_terms(passages) if n else None
+    basis = latent_basis(passages, idf, live) if n else None
     numbered = [r.asDict() for r in passages.orderBy("item_id", "part").collect()] if n <= QUERIES else None
 
     def searched(block: list[dict]) -> DataFrame:
-        shared = spark.sparkContext.broadcast((idf, basis, block))
+        shared = spark.sparkContext.broadcast((idf, live, basis, block))
 
         def go(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            w, q, rows = shared.value
-            s = Searcher(w, q, np.array([r["item_id"] for r in rows]), [np.frombuffer(r["hashes"], np.uint64) for r in rows], [np.frombuffer(r["answer"], np.uint64) for r in rows], cosine, strong, weak)
+            w, own, q, rows = shared.value
+            s = Searcher(w, own, q, np.array([r["item_id"] for r in rows]), [np.frombuffer(r["hashes"], np.uint64) for r in rows], [np.frombuffer(r["answer"], np.uint64) for r in rows], cosine, strong, weak)
             for pdf in batches:
                 ids = pdf["doc_id"].array
                 out = [(ids[d], item, c, lcs, m, a) for d, item, c, lcs, m, a in s.search([plain(t) for t in pdf["text"]])]

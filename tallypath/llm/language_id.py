@@ -25,7 +25,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded, table
+from .common import bounded, release, table
 from .convnet import ConvNet, softmax
 from .textnum import utf8
 
@@ -135,7 +135,10 @@ def train(docs: DataFrame, per_language: int = PER_LANGUAGE) -> LanguageModel:
     chance = F.pmod(F.xxhash64("doc_id", F.lit("sample")), F.lit(1 << 30)) / F.lit(float(1 << 30))
     some = known.where(chance < share).where(F.octet_length("text") <= LONGEST).select("doc_id", "lang", "text")
     rows = sorted(some.collect(), key=lambda r: (r["doc_id"], r["lang"]))
-    return fit([r["text"] for r in rows], [r["lang"] for r in rows])
+    model = fit([r["text"] for r in rows], [r["lang"] for r in rows])
+    del rows
+    release()
+    return model
 
 
 def identify(docs: DataFrame, model: LanguageModel) -> DataFrame:
