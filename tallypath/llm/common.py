@@ -54,7 +54,7 @@ def drop_written(df: DataFrame) -> None:
 
 
 def release() -> None:
-    """Gives memory freed by a fit on the driver back to the system, where the C library can."""
+    """Gives memory freed by a fit, or by a task whose worker lives on, back to the system, where the C library can."""
     gc.collect()
     try:
         ctypes.CDLL("libc.so.6").malloc_trim(0)

@@ -26,7 +26,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded, table
+from .common import bounded, release, table
 from .textnum import chunks, utf8, words
 
 TERMS = 15  # 2 ** TERMS hashed terms
@@ -64,19 +64,14 @@ def document_frequencies(docs: DataFrame) -> tuple[np.ndarray, int]:
                 own = np.unique((doc << TERMS) | terms(w.hash))
                 df += np.bincount(own & ((1 << TERMS) - 1), minlength=1 << TERMS)
         if n:
-            yield pd.DataFrame({"n": [n], "df": [df.astype("<i8").tobytes()]})
+            own = np.flatnonzero(df)
+            yield pd.DataFrame({"term": np.append(own, 1 << TERMS), "n": np.append(df[own], n)})
+        release()
 
-    def add(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        n, df = 0, np.zeros(1 << TERMS, np.int64)
-        for pdf in batches:
-            n += int(pdf["n"].sum())
-            for x in pdf["df"]:
-                df += np.frombuffer(x, "<i8")
-        if n:
-            yield pd.DataFrame({"n": [n], "df": [df.astype("<i8").tobytes()]})
-
-    parts = docs.select("text").mapInPandas(count, "n long, df binary").coalesce(64).mapInPandas(add, "n long, df binary").collect()
-    return sum((np.frombuffer(r["df"], "<i8") for r in parts), np.zeros(1 << TERMS, np.int64)), sum(r["n"] for r in parts)
+    out = np.zeros((1 << TERMS) + 1, np.int64)
+    for r in docs.select("text").mapInPandas(count, "term int, n long").groupBy("term").agg(F.sum("n").alias("n")).toLocalIterator():
+        out[r["term"]] = r["n"]  # one row a term at most
+    return out[:-1], int(out[-1])
 
 
 def idf_weights(df: np.ndarray, n: int) -> np.ndarray:
@@ -271,10 +266,11 @@ def find_leaks(docs: DataFrame, bench: DataFrame, cosine: float = 0.22, strong:
             w, own, q, rows = shared.value
             s = Searcher(w, own, q, np.array([r["item_id"] for r in rows]), [np.frombuffer(r["hashes"], np.uint64) for r in rows], [np.frombuffer(r["answer"], np.uint64) for r in rows], cosine, strong, weak)
             for pdf in batches:
-                ids = pdf["doc_id"].array
+                ids = pdf["doc_id"].astype("Int64").array
                 out = [(ids[d], item, c, lcs, m, a) for d, item, c, lcs, m, a in s.search([plain(t) for t in pdf["text"]])]
                 if out:
                     yield pd.DataFrame(out, columns=["doc_id", "item_id", "cosine", "common_words", "item_words", "answer_found"])
+            release()
 
         return docs.select("doc_id", "text").mapInPandas(go, kind)
 

@@ -32,7 +32,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded, slices, table, written
+from .common import bounded, release, slices, table, written
 from .components import components, star_forest
 from .textnum import mix, shingle_sets, utf8
 
@@ -119,6 +119,7 @@ def sketches(docs: DataFrame, k: int, percent: int) -> DataFrame:
                     "keys": [candidate_keys(s, percent).astype(np.int64) if len(s) else np.zeros(0, np.int64) for s in sets],
                 }
             )
+        release()
 
     return docs.select("doc_id", "text").mapInPandas(sketch, "doc_id long, n long, set_id binary, keys array<long>")
 
@@ -214,6 +215,7 @@ def by_block(rows: DataFrame, columns: list[str], check, schema: str) -> DataFra
             out = check(held)
             if len(out):
                 yield out
+        release()
 
     return rows.select("block", *columns).repartition("block").sortWithinPartitions("block").mapInPandas(run, schema)
 

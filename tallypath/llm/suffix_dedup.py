@@ -38,7 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded, slices, table
+from .common import bounded, release, slices, table
 from .textnum import chunks, mix, utf8
 
 LENGTH = 100
@@ -311,6 +311,7 @@ def anchor_filter(docs: DataFrame, bits: int) -> np.ndarray:
             for lo, hi in chunks(texts, 2 * FLUSH):
                 key, n = np.unique(segments(texts[lo:hi])[4], return_counts=True)
                 yield pd.DataFrame({"key": key.astype(np.int64), "n": np.minimum(n, 2).astype(np.int32)})
+        release()
 
     keys = docs.select("text").mapInPandas(count, "key long, n int").groupBy("key").agg(F.sum("n").alias("n")).where(F.col("n") > 1)
     width = (1 << bits) // SLICES
@@ -406,6 +407,7 @@ def merged_spans(runs: DataFrame) -> DataFrame:
                 held.append(run)
         if held:
             yield from settle()
+        release()
 
     return runs.repartition("bucket").sortWithinPartitions("bucket").mapInPandas(merge, "id long, a long, b long")
 
