@@ -101,7 +101,8 @@ def opposite(side: Column) -> Column:
 def _canonical(changes: DataFrame, directed: bool) -> DataFrame:
     if directed:
         return changes
-    return changes.withColumns({"u": F.least("u", "v"), "v": F.greatest("u", "v")})
+    some = F.col("u").isNull() | F.col("v").isNull()  # least and greatest skip nulls
+    return changes.withColumns({"u": F.when(some, F.col("u")).otherwise(F.least("u", "v")), "v": F.when(some, F.col("v")).otherwise(F.greatest("u", "v"))})
 
 
 def apply_changes(g: Graph, added: DataFrame | None = None, removed: DataFrame | None = None) -> Graph:

@@ -30,9 +30,18 @@ def register(name: str, sql: str | None = None):
     return add
 
 
+def _there(df: DataFrame) -> bool:
+    """Whether the files behind a written table still exist."""
+    path = df.sparkSession.sparkContext._jvm.org.apache.hadoop.fs.Path
+    conf = df.sparkSession.sparkContext._jsc.hadoopConfiguration()
+    return all(path(f).getFileSystem(conf).exists(path(f)) for f in df.inputFiles()[:1])
+
+
 def load(spark: SparkSession, sf_dir: str, name: str) -> graph.Graph:
     """A named graph; UW is U with weights 1 to 3."""
     key = (spark.sparkContext.applicationId, sf_dir, name)
+    if key in _KEPT and not all(_there(x) for x in (_KEPT[key][0].edges, _KEPT[key][0].arcs, *([_KEPT[key][1].labels] if _KEPT[key][1] else []))):
+        del _KEPT[key]
     if key not in _KEPT:
         if name == "UW":
             e = graphs.edges(spark, sf_dir, "U").withColumn("w", (1 + (F.col("u") + F.col("v")) % 3).cast("long"))
