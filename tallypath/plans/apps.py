@@ -14,7 +14,7 @@ def recommend(ix: LabelIndex, vertex: int, distance: int = 2, k: int = 10) -> Da
     """(vertex, paths, place): those at ``distance``, most shortest paths first, smaller id among equals."""
     at = query.from_source(ix, vertex).where(F.col("dist") == distance)
     top = at.orderBy(F.desc("paths"), F.asc("vertex")).limit(k)
-    return top.withColumn("place", F.row_number().over(Window.orderBy(F.desc("paths"), F.asc("vertex")))).select("vertex", "paths", "place")
+    return top.withColumn("place", F.row_number().over(Window.orderBy(F.desc("paths"), F.asc("vertex"))).cast("long")).select("vertex", "paths", "place")
 
 
 def all_answers(ix: LabelIndex) -> DataFrame:

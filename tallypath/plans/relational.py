@@ -178,13 +178,13 @@ def _(spark, sf_dir):
 def _(spark, sf_dir):
     e = graphs.table(spark, sf_dir, "events").where("event_type = 'purchase'")
     w = Window.partitionBy("user_id").orderBy(F.desc("ts"), "event_id")
-    return e.select("user_id", "event_id", F.row_number().over(w).alias("place")).where("place <= 3")
+    return e.select("user_id", "event_id", F.row_number().over(w).cast("long").alias("place")).where("place <= 3")
 
 
 @op("ntile", "SELECT user_id, event_id, ntile(4) OVER (PARTITION BY user_id ORDER BY value, event_id) AS tile FROM events")
 def _(spark, sf_dir):
     w = Window.partitionBy("user_id").orderBy("value", "event_id")
-    return graphs.table(spark, sf_dir, "events").select("user_id", "event_id", F.ntile(4).over(w).alias("tile"))
+    return graphs.table(spark, sf_dir, "events").select("user_id", "event_id", F.ntile(4).over(w).cast("long").alias("tile"))
 
 
 @op("running_sum", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS so_far FROM events")
@@ -219,7 +219,7 @@ def _(spark, sf_dir):
     from .apps import all_answers
 
     w = Window.partitionBy("s").orderBy(F.desc("paths"), "t")
-    return all_answers(indexed(spark, sf_dir, "U")[1]).where("dist = 2").select("s", "t", "paths", F.row_number().over(w).alias("place")).where("place <= 3")
+    return all_answers(indexed(spark, sf_dir, "U")[1]).where("dist = 2").select("s", "t", "paths", F.row_number().over(w).cast("long").alias("place")).where("place <= 3")
 
 
 @op("union", "SELECT c_nationkey AS n FROM customer UNION SELECT s_nationkey FROM supplier")
@@ -246,7 +246,7 @@ def _(spark, sf_dir):
     return rows.select("owner", F.size("rows").cast("long").alias("n"), text.alias("packed"))
 
 
-@op("higher_order_query", f"WITH RECURSIVE {o.ctes('U')} SELECT owner, sum(paths) FILTER (WHERE dist = 2) AS two FROM idx GROUP BY owner HAVING two IS NOT NULL")
+@op("higher_order_query", f"WITH RECURSIVE {o.ctes('U')} SELECT owner, CAST(sum(paths) FILTER (WHERE dist = 2) AS BIGINT) AS two FROM idx GROUP BY owner HAVING two IS NOT NULL")
 def _(spark, sf_dir):
     rows = query.packed(indexed(spark, sf_dir, "U")[1])
     two = F.aggregate(F.filter("rows", lambda x: x["dist"] == 2), F.lit(0).cast("long"), lambda n, x: n + x["paths"])
