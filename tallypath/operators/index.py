@@ -54,14 +54,25 @@ def merged(rows: DataFrame) -> DataFrame:
     return rows.groupBy(*KEY, "dist").agg(F.sum("paths").alias("paths"))
 
 
-def closer(cands: DataFrame, labels: DataFrame, equal: bool = False) -> DataFrame:
-    """Keys of ``cands`` whose pair the labels already join at a smaller (``equal``: no larger) distance."""
-    near = labels.select("side", "owner", F.col("hub").alias("via"), F.col("dist").alias("d1"))
-    far = labels.select(F.col("side").alias("side2"), F.col("owner").alias("hub"), F.col("hub").alias("via"), F.col("dist").alias("d2"))
+def closer(cands: DataFrame, labels: DataFrame, equal: bool = False, at: int | None = None) -> DataFrame:
+    """Keys of ``cands`` whose pair the labels already join at a smaller (``equal``: no larger) distance.
+
+    Either the pair's own row is shorter, or a hub apart from both ends is on the way; then both its legs are at
+    least 1 long, so legs reach the candidate's distance less 2 at most. ``at``, the candidates' common distance,
+    makes that a filter on the label scans; below 3 (2) nothing can be on the way and no list is read.
+    """
+    own = labels.select(*KEY, F.col("dist").alias("d0"))
+    direct = cands.select(*KEY, "dist").join(own, KEY).where(F.col("d0") <= F.col("dist") if equal else F.col("d0") < F.col("dist")).select(*KEY)
+    slack = 1 if equal else 2
+    if at is not None and at < slack + 1:
+        return direct
+    legs = labels.where((F.col("dist") >= 1) & (F.col("dist") <= at - slack) if at is not None else F.col("dist") >= 1)
+    near = legs.select("side", "owner", F.col("hub").alias("via"), F.col("dist").alias("d1"))
+    far = legs.select(F.col("side").alias("side2"), F.col("owner").alias("hub"), F.col("hub").alias("via"), F.col("dist").alias("d2"))
     c = cands.select(*KEY, "dist").withColumn("side2", opposite(F.col("side")))
+    hit = c.join(near, ["side", "owner"]).where(F.col("d1") <= F.col("dist") - slack).join(far, ["side2", "hub", "via"])
     total = F.col("d1") + F.col("d2")
-    hit = c.join(near, ["side", "owner"]).where(F.col("d1") <= F.col("dist")).join(far, ["side2", "hub", "via"])
-    return hit.where(total <= F.col("dist") if equal else total < F.col("dist")).select(*KEY)
+    return hit.where(total <= F.col("dist") if equal else total < F.col("dist")).select(*KEY).union(direct)
 
 
 def overlaid(base: DataFrame, delta: DataFrame | None) -> DataFrame:
@@ -87,7 +98,7 @@ def settle(base: DataFrame, arcs: DataFrame, seeds: DataFrame, allowed=None, equ
         cur = pend.df.where(F.col("dist") == d) if pend.seen["most"] != d else pend.df
         delta = spark.read.schema(DELTA).parquet(*paths) if paths else None
         now = overlaid(base, delta)
-        cur = cur.join(closer(cur, now, equal), KEY, "left_anti")
+        cur = cur.join(closer(cur, now, equal, d), KEY, "left_anti")
         old = base.select(*KEY, F.col("dist").alias("old_dist"), F.col("paths").alias("old_paths"))
         cur = cur.join(old, KEY, "left")
         same = F.col("old_dist") == F.col("dist")
@@ -126,12 +137,12 @@ def build(g: Graph, max_levels: int | None = None, distance_only: bool = False)
             # level counts as well.
             cur = written(cur, "candidates")
             both = labels.unionByName(cur)
-            tied = closer(cur, both.select("side", "owner", "hub", "dist", "paths"), equal=False)
+            tied = closer(cur, both.select("side", "owner", "hub", "dist", "paths"), at=rounds + 1)
             cur = cur.join(tied, KEY, "left_anti")
             cover = _covered(cur, labels.unionByName(cur))
             cur = cur.join(cover, KEY, "left_anti")
         else:
-            cur = cur.join(closer(cur, labels), KEY, "left_anti")
+            cur = cur.join(closer(cur, labels, at=rounds + 1), KEY, "left_anti")
         level = write(cur.select("side", "owner", "hub", "dist", "paths"), "level")
         paths.append(level.path)
         rounds += 1
