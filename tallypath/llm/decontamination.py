@@ -26,7 +26,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded, release, table
+from .common import bounded, release, table, written
 from .textnum import chunks, utf8, words
 
 TERMS = 15  # 2 ** TERMS hashed terms
@@ -252,7 +252,7 @@ def find_leaks(docs: DataFrame, bench: DataFrame, cosine: float = 0.22, strong:
     spark = bounded(docs).sparkSession
     found = None
     kind = "doc_id long, item_id long, cosine double, common_words int, item_words int, answer_found boolean"
-    passages = benchmark_passages(bench)
+    passages = written(benchmark_passages(bench), "passages")
     n = passages.count()
     idf = idf_weights(*document_frequencies(docs)) if n else np.zeros(1 << TERMS, np.float32)
     live = live_terms(passages) if n else None

@@ -151,6 +151,8 @@ def identify(docs: DataFrame, model: LanguageModel) -> DataFrame:
         for texts in batches:
             names, scores = m.predict(list(texts))
             yield pd.DataFrame({"lang_pred": pd.Series(names, dtype=object), "score": scores})
+        del m.plan
+        release()
 
     return bounded(docs).withColumn("__p", predicted("text")).withColumns({"lang_pred": F.col("__p.lang_pred"), "score": F.col("__p.score")}).drop("__p")
 
