@@ -9,7 +9,7 @@ from ..functions import codec
 from ..operators import delete, graph, insert, query
 from ..sources import graphs
 from . import oracles as o
-from .workloads import ORACLES, QUERIES, _deleted, first_inserts, indexed, load
+from .workloads import ORACLES, QUERIES, _deleted, every_pair, first_inserts, indexed, load
 
 U = o.SQL_EDGES["U"]
 DEG = f"SELECT x AS vertex, count(*) AS degree FROM (SELECT u AS x FROM ({U}) UNION ALL SELECT v FROM ({U})) GROUP BY x"
@@ -74,8 +74,7 @@ for _how, _not in (("semi", ""), ("anti", "NOT ")):
 @op("left_outer_default", o.pairs_sql("P46", "{s} % 50 = 0 AND {t} % 50 = 0"))
 def _(spark, sf_dir):
     g, ix = indexed(spark, sf_dir, "P46")
-    some = g.ranks.where(F.col("vertex") % 50 == 0).select("vertex")
-    pairs = some.select(F.col("vertex").alias("s")).join(some.select(F.col("vertex").alias("t")), F.lit(True)).withColumn("qid", F.monotonically_increasing_id())
+    pairs = every_pair(g).where((F.col("s") % 50 == 0) & (F.col("t") % 50 == 0))
     return query.pairs(ix, pairs).select("s", "t", "dist", "paths")
 
 
