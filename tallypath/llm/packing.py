@@ -106,7 +106,7 @@ class _Lengths:
     """A multiset of lengths with its sorted distinct values."""
 
     def __init__(self, counts: dict[int, int]):
-        self.n = dict(counts)
+        self.n = {s: n for s, n in counts.items() if n}
         self.at = sorted(self.n)
 
     def take(self, size: int, k: int) -> None:
@@ -115,60 +115,44 @@ class _Lengths:
             del self.n[size]
             del self.at[bisect_left(self.at, size)]
 
-    def largest_below(self, most: int) -> int | None:
-        i = bisect_left(self.at, most + 1)
-        return self.at[i - 1] if i else None
+    def largest_partner(self, j: int, room: int) -> int | None:
+        """The largest length of at most ``room`` besides one piece of length ``j``."""
+        i = bisect_left(self.at, room + 1) - 1
+        if i >= 0 and self.at[i] == j and self.n[j] == 1:
+            i -= 1
+        return self.at[i] if i >= 0 else None
 
-    def smallest_sum(self, k: int) -> float:
-        """Sum of the ``k`` smallest lengths; infinite if there are fewer."""
-        total, left = 0, k
-        for s in self.at:
-            use = min(left, self.n[s])
-            total, left = total + use * s, left - use
-            if not left:
-                return total
-        return float("inf")
+    def two_smallest(self, j: int) -> float:
+        """Sum of the two smallest lengths besides one piece of length ``j``; infinite if there are fewer."""
+        got = []
+        for s in self.at[:3]:
+            got += [s] * min(2, self.n[s] - (s == j))
+        return sum(got[:2]) if len(got) > 1 else float("inf")
 
 
 def reduce_by_dominance(counts: dict[int, int], capacity: int) -> tuple[list[tuple[tuple[int, ...], int]], dict[int, int]]:
     """Fixes dominating sets for good: ``([(lengths, times)], what is left)``.
 
-    For the largest length j with room r = capacity - j, by the dominance criterion of Martello and Toth:
-    nothing fits, so {j} stands alone; no two others fit together, or the largest partner k fills the room
-    exactly, so {j, k} dominates every feasible set with j (any one partner is no longer than k, any set of
-    partners that fits sums to no more than k); if exactly two can fit but no three, and the best pair by
-    its first member is matched length by length, {j, a, b} dominates. Lengths for which none holds stay.
+    Lengths j from the largest down, with room r = capacity - j; partners are all pieces that are not fixed yet, longer
+    ones included. If nothing fits, {j} stands alone. If no two others fit together, any set with j is j and one partner, and
+    {j, k} with the longest partner k dominates it. If k fills the room exactly, the partners of j in any set sum to no
+    more than k and can take its place, so {j, k} dominates too. Other lengths stay.
     """
-    left, kept, fixed = _Lengths({s: n for s, n in counts.items() if n}), {}, []
-    while left.at:
-        j = left.at[-1]
-        n, room = left.n[j], capacity - j
-        k = left.largest_below(room)
-        if k is None:
-            fixed.append(((j,), n))
-            left.take(j, n)
-            continue
-        pair_fits = left.smallest_sum(2) <= room
-        if k == room or not pair_fits:
-            times = n // 2 if k == j else min(n, left.n[k])
-            if times:
-                fixed.append(((j, k), times))
-                left.take(j, times)
-                left.take(k, times)
-                continue
-            if not pair_fits and n == 1 and k == j:  # the last of its length: its partner is the next one down
-                k = left.largest_below(j - 1)
-                if k is None:
-                    fixed.append(((j,), 1))
-                    left.take(j, 1)
-                else:
-                    fixed.append(((j, k), 1))
-                    left.take(j, 1)
-                    left.take(k, 1)
-                continue
-        kept[j] = n
-        left.take(j, n)
-    return fixed, kept
+    left, fixed = _Lengths(counts), []
+    for j in sorted(left.n, reverse=True):
+        while j in left.n:
+            k = left.largest_partner(j, capacity - j)
+            if k is None:
+                fixed.append(((j,), left.n[j]))
+                left.take(j, left.n[j])
+                break
+            if k != capacity - j and left.two_smallest(j) <= capacity - j:
+                break
+            times = left.n[j] // 2 if k == j else min(left.n[j], left.n[k])
+            fixed.append(((j, k), times))
+            left.take(j, times)
+            left.take(k, times)
+    return fixed, dict(left.n)
 
 
 def best_fit_decreasing(counts: dict[int, int], capacity: int) -> list[tuple[tuple[int, ...], int]]:
