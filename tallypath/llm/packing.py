@@ -28,12 +28,12 @@ from pyspark.sql import functions as F
 
 from .common import bounded, table, written
 
-MEMO = 400_000
+MEMO = 200_000
 SALTS = 64
 
 
 class WordIds:
-    """Ids of whole texts as little-endian bytes, each distinct word encoded once while the bounded memo holds it.
+    """Ids of whole texts as little-endian bytes, each distinct word encoded once while a bounded memo holds it.
 
     Holds for texts of printable characters below U+0180 without special strings, where the tokenizer's normaliser
     is lower-casing by character; any other text is encoded whole by the library. Unknown words of a text are
@@ -44,7 +44,9 @@ class WordIds:
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
+        #: Two generations of at most MEMO words each: words in use move to the new one, the others go with the old one.
         self.memo: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
         letters = "a-zªµºß-öø-ſ"
         # The tokenizer's own split, for lower-cased texts in the plain range. Fixed value.
         self.split = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|[{letters}]+|[0-9²³¹¼½¾]|[^\s0-9²³¹¼½¾{letters}]+").findall
@@ -67,9 +69,12 @@ class WordIds:
         fresh = [w for w in set(got) if w not in self.memo]
         if fresh:
             if len(self.memo) + len(fresh) > MEMO:
-                self.memo.clear()
+                self.old, self.memo = self.memo, {}
                 fresh = list(set(got))
-            self._learn(fresh)
+            old = self.old
+            self.memo.update((w, old[w]) for w in fresh if w in old)
+            if fresh := [w for w in fresh if w not in old]:
+                self._learn(fresh)
         return b"".join(map(self.memo.__getitem__, got))
 
 
