@@ -127,14 +127,13 @@ def run(
         rank = alone[1]
         gone = ix.labels.where((F.col("owner") == rank) & (F.col("hub") != rank))
         changes = written(_diff(gone, gone.limit(0)), "changes")
-        kept = written(ix.labels.where((F.col("owner") != rank) | (F.col("hub") == rank)), "labels")
-        return Update(g2, LabelIndex(kept, ix.ranks, ix.directed), changes, [], None, None)
+        return Update(g2, ix.changed(changes), changes, [], None, None)
     ra, rb = rank_of(ix, a), rank_of(ix, b)
     definition = "gap_all" if strategy == "drop_then_fill" else definition
     sets = written(_sets(g, g2, ix, ra, rb, w, definition), "sets")
     hubs, owners = (written(x, "tables") for x in _tables(sets, g.directed))
     suspects = written(suspect_rows(ix.labels, sets, g.directed), "suspects")
-    base = written(ix.labels.join(suspects.select(*KEY), KEY, "left_anti"), "base")
+    base = ix.labels.join(suspects.select(*KEY), KEY, "left_anti")
 
     def allowed(rows: DataFrame) -> DataFrame:
         return rows.join(owners, ["side", "owner"]).join(hubs, ["side", "hub", "zone"], "left_semi").select("side", "owner", "hub", "dist", "paths")
@@ -165,9 +164,8 @@ def run(
         common = sets.where(F.col("role") == "root_hub").select(F.col("rank").alias("hub")).distinct()
         stay = suspects.join(confirmed, KEY, "left_anti").join(common, "hub", "left_anti")
         confirmed = written(confirmed.unionByName(stay.select(*confirmed.columns)), "confirmed")
-    labels = written(base.unionByName(confirmed.select(*base.columns)), "labels")
     changes = written(_diff(suspects, confirmed), "changes")
-    return Update(g2, LabelIndex(labels, ix.ranks, ix.directed), changes, got.rounds, got.delta if trace else None, sets)
+    return Update(g2, ix.changed(changes), changes, got.rounds, got.delta if trace else None, sets)
 
 
 def _without(base: DataFrame, hubs: DataFrame, own: DataFrame) -> DataFrame:

@@ -7,7 +7,7 @@ from dataclasses import dataclass, replace
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..sources.scratch import written
+from ..sources.scratch import Layered, written
 
 
 @dataclass(frozen=True)
@@ -18,12 +18,20 @@ class Graph:
     fill in-lists follow them) and 'out' the reversed ones.
     """
 
-    edges: DataFrame
+    edge_table: Layered
     ranks: DataFrame
-    arcs: DataFrame
+    arc_table: Layered
     directed: bool = False
     weighted: bool = False
 
+    @property
+    def edges(self) -> DataFrame:
+        return self.edge_table.rows
+
+    @property
+    def arcs(self) -> DataFrame:
+        return self.arc_table.rows
+
 
 def simple_edges(df: DataFrame, src: str, dst: str, directed: bool = False, weight: str | None = None) -> DataFrame:
     """Distinct edges without loops and nulls; of parallel edges the least weight."""
@@ -82,7 +90,8 @@ def rank_arcs(edges: DataFrame, ranks: DataFrame, directed: bool, weighted: bool
 def make(edges: DataFrame, ranks: DataFrame, directed: bool = False, weighted: bool = False) -> Graph:
     """A graph whose tables are written, so that rounds read them without recomputing."""
     edges, ranks = written(edges, "edges"), written(ranks, "ranks")
-    return Graph(edges, ranks, written(rank_arcs(edges, ranks, directed, weighted), "arcs"), directed, weighted)
+    arcs = written(rank_arcs(edges, ranks, directed, weighted), "arcs")
+    return Graph(Layered(edges, ("u", "v")), ranks, Layered(arcs, ("side", "src", "dst")), directed, weighted)
 
 
 def below(g: Graph, hub_rank: int) -> DataFrame:
@@ -106,15 +115,22 @@ def _canonical(changes: DataFrame, directed: bool) -> DataFrame:
 
 
 def apply_changes(g: Graph, added: DataFrame | None = None, removed: DataFrame | None = None) -> Graph:
-    """The graph with edges added and removed; the ranks stay. An added edge replaces one that is there (a new weight)."""
-    edges = g.edges
-    for part in (removed, added):
-        if part is not None:
-            edges = edges.join(_canonical(part, g.directed).select("u", "v"), ["u", "v"], "left_anti")
+    """The graph with edges added and removed; the ranks stay. An added edge replaces one that is there (a new weight).
+
+    Only overlays of the edge and arc tables are written, as large as the changes.
+    """
+    w = [F.lit(1).cast("long").alias("w")] if g.weighted else []
+    parts = []
+    if removed is not None:
+        gone = _canonical(removed, g.directed).select("u", "v", *w).withColumn("gone", F.lit(True))
+        parts.append(gone.join(_canonical(added, g.directed).select("u", "v"), ["u", "v"], "left_anti") if added is not None else gone)
     if added is not None:
-        edges = edges.unionByName(_canonical(added, g.directed).select(*edges.columns))
-    edges = written(edges, "edges")
-    return replace(g, edges=edges, arcs=written(rank_arcs(edges, g.ranks, g.directed, g.weighted), "arcs"))
+        parts.append(_canonical(added, g.directed).select("u", "v", *["w"] * g.weighted).withColumn("gone", F.lit(False)))
+    if not parts:
+        return g
+    change = written(parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1]), "edge-changes")
+    arcs = [rank_arcs(change.where(F.col("gone") == x), g.ranks, g.directed, g.weighted).withColumn("gone", F.lit(x)) for x in (True, False)]
+    return replace(g, edge_table=g.edge_table.changed(change), arc_table=g.arc_table.changed(arcs[0].unionByName(arcs[1])))
 
 
 def validate_changes(g: Graph, changes: DataFrame) -> DataFrame:

@@ -10,12 +10,12 @@ paths labels both ends at smaller distances). So rounds are as many as distances
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..sources.scratch import write, written
+from ..sources.scratch import Layered, write, written
 from .graph import Graph, opposite
 
 KEY = ["side", "owner", "hub"]
@@ -25,10 +25,23 @@ DELTA = ROW + ", added long, old_dist int, old_paths long, op string, round int"
 
 @dataclass(frozen=True)
 class LabelIndex:
-    labels: DataFrame
+    table: Layered
     ranks: DataFrame
     directed: bool = False
 
+    @property
+    def labels(self) -> DataFrame:
+        return self.table.rows
+
+    def changed(self, changes: DataFrame) -> "LabelIndex":
+        """With ``changes`` (side, owner, hub, dist, paths, op) applied; op 'remove' takes a row away."""
+        return replace(self, table=self.table.changed(changes.withColumn("gone", F.col("op") == "remove")))
+
+
+def of_labels(labels: DataFrame, ranks: DataFrame, directed: bool = False) -> LabelIndex:
+    """An index on a written label table."""
+    return LabelIndex(Layered(labels, tuple(KEY)), ranks, directed)
+
 
 @dataclass
 class Settled:
@@ -126,7 +139,7 @@ def build(g: Graph, max_levels: int | None = None, distance_only: bool = False)
     if g.weighted:
         base = level.df
         got = settle(base, g.arcs, expand(base, g.arcs), equal=distance_only, max_rounds=max_levels)
-        return LabelIndex(written(overlaid(base, got.delta), "labels"), g.ranks, g.directed)
+        return of_labels(written(overlaid(base, got.delta), "labels"), g.ranks, g.directed)
     rounds = 0
     while level.seen["n"] and (max_levels is None or rounds < max_levels):
         labels = spark.read.schema(ROW).parquet(*paths)
@@ -146,7 +159,7 @@ def build(g: Graph, max_levels: int | None = None, distance_only: bool = False)
         level = write(cur.select("side", "owner", "hub", "dist", "paths"), "level")
         paths.append(level.path)
         rounds += 1
-    return LabelIndex(spark.read.schema(ROW).parquet(*paths), g.ranks, g.directed)
+    return of_labels(spark.read.schema(ROW).parquet(*paths), g.ranks, g.directed)
 
 
 def _covered(cands: DataFrame, labels: DataFrame) -> DataFrame:
@@ -166,7 +179,7 @@ def build_rank_order(g: Graph, hubs_per_batch: int = 1) -> LabelIndex:
         got = settle(labels, g.arcs, expand(own, g.arcs))
         if got.rounds:
             labels = written(overlaid(labels, got.delta), "labels")
-    return LabelIndex(labels, g.ranks, g.directed)
+    return of_labels(labels, g.ranks, g.directed)
 
 
 def build_by_definition(g: Graph) -> LabelIndex:
@@ -180,7 +193,7 @@ def build_by_definition(g: Graph) -> LabelIndex:
     s = F.when(F.col("side") == "out", F.col("owner")).otherwise(F.col("hub"))
     t = F.when(F.col("side") == "out", F.col("hub")).otherwise(F.col("owner"))
     rows = own.withColumn("s", s).withColumn("t", t).join(true, ["s", "t"]).where(F.col("dist") == F.col("true"))
-    return LabelIndex(written(rows.select("side", "owner", "hub", "dist", "paths"), "labels"), g.ranks, g.directed)
+    return of_labels(written(rows.select("side", "owner", "hub", "dist", "paths"), "labels"), g.ranks, g.directed)
 
 
 def rebuild_batch(g: Graph, added: DataFrame | None = None, removed: DataFrame | None = None) -> tuple[Graph, LabelIndex]:
@@ -202,7 +215,7 @@ def in_vertices(ix: LabelIndex, columns: tuple[str, ...] = ("owner", "hub")) ->
 def purge_dominated(ix: LabelIndex) -> LabelIndex:
     """Without rows whose pair is closer by other hubs: after it the index is the exact minimal one."""
     gone = closer(ix.labels, ix.labels).distinct()
-    return LabelIndex(written(ix.labels.join(gone, KEY, "left_anti"), "labels"), ix.ranks, ix.directed)
+    return of_labels(written(ix.labels.join(gone, KEY, "left_anti"), "labels"), ix.ranks, ix.directed)
 
 
 def classify(ix: LabelIndex) -> DataFrame:

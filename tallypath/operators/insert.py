@@ -61,13 +61,18 @@ def run(g: Graph, ix: LabelIndex, added: DataFrame, schedule: str = "level", pru
         got = Settled(delta if delta is not None else settle(ix.labels, g2.arcs, first).delta, rounds)
     else:
         got = settle(ix.labels, g2.arcs, first, equal=prune == "strict")
-    new = LabelIndex(written(overlaid(ix.labels, got.delta), "labels"), ix.ranks, ix.directed)
+    new = ix.changed(got.delta) if schedule != "rank" else ix.changed(_last(got.delta))
     if dominated == "purge":
         new = purge_dominated(new)
     changes = got.delta.select(*KEY, "old_dist", "old_paths", "dist", "paths", "op")
     return Update(g2, new, changes, got.rounds, got.delta if trace else None)
 
 
+def _last(delta: DataFrame) -> DataFrame:
+    """The last row of each key: roots taken one after the other never share a hub, so keys are distinct already."""
+    return delta.dropDuplicates(KEY)
+
+
 def decrease_weight(g: Graph, ix: LabelIndex, changed: DataFrame, **options) -> Update:
     """Weights that fall are insertions with the new weight."""
     return run(g, ix, changed, **options)

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..sources.scratch import written
 from . import delete, insert, ranking
-from .graph import Graph, rank_arcs, validate_changes
+from .graph import Graph, validate_changes
 from .index import LabelIndex, build, self_rows
 
 METRICS = "seq long, op string, renew_count long, renew_dist long, inserted long, removed long, rounds int, ms double, bytes long"
@@ -59,8 +59,7 @@ def add_vertex(g: Graph, ix: LabelIndex, vertex: int, neighbors: list[int] | Non
     new = spark.createDataFrame([(vertex,)], "vertex long")
     ranks = written(ranking.append(g.ranks, new), "ranks")
     alone = replace(g, ranks=ranks.join(new, "vertex"))
-    labels = written(ix.labels.unionByName(self_rows(alone)), "labels")
-    g, ix = replace(g, ranks=ranks), LabelIndex(labels, ranks, ix.directed)
+    g, ix = replace(g, ranks=ranks), replace(ix.changed(self_rows(alone).withColumn("op", F.lit("insert"))), ranks=ranks)
     if neighbors:
         up = insert.run(g, ix, spark.createDataFrame([(vertex, x) for x in neighbors], "u long, v long"))
         g, ix = up.graph, up.index
@@ -74,9 +73,9 @@ def remove_vertex(g: Graph, ix: LabelIndex, vertex: int) -> tuple[Graph, LabelIn
         up = delete.run(g, ix, e["u"], e["v"])
         g, ix = up.graph, up.index
     rank = g.ranks.where(F.col("vertex") == vertex).select("rank")
-    labels = written(ix.labels.join(F.broadcast(rank.withColumnRenamed("rank", "owner")), "owner", "left_anti").select(*ix.labels.columns), "labels")
+    own = ix.labels.join(F.broadcast(rank.withColumnRenamed("rank", "owner")), "owner", "left_semi")  # one row
     ranks = written(g.ranks.where(F.col("vertex") != vertex), "ranks")
-    return replace(g, ranks=ranks), LabelIndex(labels, ranks, ix.directed)
+    return replace(g, ranks=ranks), replace(ix.changed(own.withColumn("op", F.lit("remove"))), ranks=ranks)
 
 
 def choose(g: Graph, ix: LabelIndex, a: int, b: int, share: float = 0.3) -> str:
@@ -93,4 +92,4 @@ def rebuild(g: Graph) -> LabelIndex:
     return build(g)
 
 
-__all__ = ["add_vertex", "apply", "choose", "rank_arcs", "rebuild", "remove_vertex", "validate_changes"]
+__all__ = ["add_vertex", "apply", "choose", "rebuild", "remove_vertex", "validate_changes"]

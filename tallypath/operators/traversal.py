@@ -89,8 +89,7 @@ def bfs_count_pairs(g: Graph, pairs: DataFrame, bidirectional: bool = True) -> D
     """(qid, s, t, dist, paths) of ``pairs`` (qid, s, t) by search; disconnected pairs have (null, 0)."""
     if bidirectional:
         return bibfs_count_pairs(g, pairs)
-    stop = None
-    found = search(plain_arcs(g), pairs.select(F.col("s").alias("source")), stop=stop)
+    found = search(plain_arcs(g), pairs.select(F.col("s").alias("source")))
     got = found.select(F.col("source").alias("s"), F.col("vertex").alias("t"), "dist", "paths")
     return pairs.join(got, ["s", "t"], "left").select("qid", "s", "t", "dist", F.coalesce("paths", F.lit(0)).alias("paths"))
 
@@ -116,9 +115,10 @@ def bibfs_count_pairs(g: Graph, pairs: DataFrame) -> DataFrame:
         last = seen.join(depth, ["qid", "end", "dist"])
         sizes = last.groupBy("qid", "end").agg(F.count("*").alias("size"))
         met = seen.where(F.col("end") == "s").join(seen.where(F.col("end") == "t").select("qid", "vertex"), ["qid", "vertex"]).select("qid").distinct()
-        smaller = sizes.groupBy("qid").agg(F.min_by("end", F.struct("size", "end")).alias("end"), F.count("*").alias("ends"), F.max("size")).join(met, "qid", "left_anti")
-        grown = last.join(smaller.select("qid", "end"), ["qid", "end"]).join(arcs, ["end"] if False else (F.col("vertex") == arcs["src"]) & (last["end"] == arcs["end"]))
-        grown = grown.groupBy("qid", last["end"], F.col("dst").alias("vertex"), (F.col("dist") + 1).cast("int").alias("dist")).agg(F.sum("paths").alias("paths"))
+        smaller = sizes.groupBy("qid").agg(F.min_by("end", F.struct("size", "end")).alias("end")).join(met, "qid", "left_anti")
+        way = arcs.select(F.col("end").alias("way"), "src", "dst")
+        grown = last.join(smaller.select("qid", "end"), ["qid", "end"]).join(way, (F.col("vertex") == F.col("src")) & (F.col("end") == F.col("way")))
+        grown = grown.groupBy("qid", "end", F.col("dst").alias("vertex"), (F.col("dist") + 1).cast("int").alias("dist")).agg(F.sum("paths").alias("paths"))
         fresh = grown.join(seen.select("qid", "end", "vertex"), ["qid", "end", "vertex"], "left_anti")
         level = write(fresh.select("qid", "end", "vertex", "dist", "paths"), "level")
         paths.append(level.path)

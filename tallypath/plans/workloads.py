@@ -40,7 +40,7 @@ def _there(df: DataFrame) -> bool:
 def load(spark: SparkSession, sf_dir: str, name: str) -> graph.Graph:
     """A named graph; UW is U with weights 1 to 3."""
     key = (spark.sparkContext.applicationId, sf_dir, name)
-    if key in _KEPT and not all(_there(x) for x in (_KEPT[key][0].edges, _KEPT[key][0].arcs, *([_KEPT[key][1].labels] if _KEPT[key][1] else []))):
+    if key in _KEPT and not all(_there(x) for x in (_KEPT[key][0].edge_table.base, _KEPT[key][0].arc_table.base, *([_KEPT[key][1].table.base] if _KEPT[key][1] else []))):
         del _KEPT[key]
     if key not in _KEPT:
         if name == "UW":
@@ -264,14 +264,6 @@ def insert_changes(spark, sf_dir):
     return _changes(_inserted(spark, sf_dir, 1))
 
 
-@register("w_insert_rank_order", o.pairs_sql("U", SOME, added=o.first_inserts("U", 1)))
-def insert_rank_order(spark, sf_dir):
-    g, ix = indexed(spark, sf_dir, "EX")
-    del g, ix
-    up = _inserted(spark, sf_dir, 1)
-    return answers(query.pairs(up.index, some_pairs(up.graph)))
-
-
 @register("w_insert_strict_distances", f"SELECT s, t, dist FROM ({o.pairs_sql('U', added=o.first_inserts('U', 1))})")
 def insert_strict(spark, sf_dir):
     """The distance-label baseline: right distances, counts not kept."""
@@ -370,7 +362,7 @@ def vertex_insert(spark, sf_dir):
     return query.from_source(ix2, -1).where("vertex <> -1")
 
 
-_GONE = f"SELECT u, v FROM e0 JOIN rk ON rank = (SELECT max(rank) FROM rk) WHERE u = vertex OR v = vertex"
+_GONE = "SELECT u, v FROM e0 JOIN rk ON rank = (SELECT max(rank) FROM rk) WHERE u = vertex OR v = vertex"
 
 
 @register("w_vertex_delete", o.pairs_sql("U", "{s} <> (SELECT vertex FROM rk ORDER BY rank DESC LIMIT 1) AND {t} <> (SELECT vertex FROM rk ORDER BY rank DESC LIMIT 1)", removed=_GONE))
@@ -482,9 +474,7 @@ for _n, _word in (("UD", "directed"), ("UW", "weighted")):
 
 
 def _reweighted(w: int) -> dict:
-    one = o.first_deletes("UW", 1)
     pick = f"SELECT u, v, w FROM ({o.SQL_EDGES['UW']}) WHERE w {'> 1' if w == 1 else '< 3'} ORDER BY {o.KEY}, u, v LIMIT 1"
-    del one
     return {"added": f"SELECT u, v, CAST({w} AS BIGINT) AS w FROM ({pick})", "removed": pick}
 
 

@@ -40,5 +40,42 @@ def write(df: DataFrame, name: str, **observed: Column) -> Written:
     return Written(spark.read.schema(df.schema).parquet(path), path, watch.get)
 
 
+#: An overlay larger than this share of its base is folded into a new base.
+FOLD_SHARE = 0.1
+
+
+@dataclass(frozen=True)
+class Layered:
+    """A written base table and a written overlay (its columns and ``gone``) that replaces rows by key.
+
+    An update writes only a new overlay, as large as all changes since the last fold; the base stays as it is.
+    """
+
+    base: DataFrame
+    keys: tuple[str, ...]
+    base_rows: int | None = None
+    overlay: DataFrame | None = None
+
+    @property
+    def rows(self) -> DataFrame:
+        if self.overlay is None:
+            return self.base
+        kept = self.base.join(self.overlay.select(*self.keys), list(self.keys), "left_anti")
+        return kept.unionByName(self.overlay.where(~F.col("gone")).select(*self.base.columns))
+
+    def changed(self, changes: DataFrame) -> "Layered":
+        """With ``changes`` (the base's columns and ``gone``; one row a key) on top."""
+        new = changes.select(*self.base.columns, "gone")
+        if self.overlay is not None:
+            new = written(new, "changes")
+            new = self.overlay.join(new.select(*self.keys), list(self.keys), "left_anti").unionByName(new)
+        layer = write(new, "overlay")
+        n = self.base_rows if self.base_rows is not None else self.base.count()
+        if layer.seen["n"] > max(1000, FOLD_SHARE * n):
+            folded = write(Layered(self.base, self.keys, n, layer.df).rows, "base")
+            return Layered(folded.df, self.keys, folded.seen["n"])
+        return Layered(self.base, self.keys, n, layer.df)
+
+
 def written(df: DataFrame, name: str = "table") -> DataFrame:
     return write(df, name).df
