@@ -52,7 +52,7 @@ def explain(ix: LabelIndex, of: DataFrame) -> DataFrame:
 
 
 def _one_to_all(mine: DataFrame, others: DataFrame) -> DataFrame:
-    j = others.join(F.broadcast(mine.select("hub", F.col("dist").alias("d1"), F.col("paths").alias("p1"))), "hub")  # one label list
+    j = others.join(mine.select("hub", F.col("dist").alias("d1"), F.col("paths").alias("p1")), "hub")
     sums = j.groupBy("owner", (F.col("dist") + F.col("d1")).cast("int").alias("sum")).agg(F.sum(F.col("paths") * F.col("p1")).alias("paths"))
     return sums.groupBy("owner").agg(F.min(F.struct("sum", "paths")).alias("b")).select(F.col("owner").alias("rank"), F.col("b.sum").alias("dist"), F.col("b.paths").alias("paths"))
 
