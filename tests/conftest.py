@@ -3,7 +3,9 @@ from pathlib import Path
 
 import pytest
 
-sys.path.insert(0, str(Path(__file__).resolve().parent.parent))
+HERE = Path(__file__).resolve().parent
+for folder in (HERE / "llm", HERE, HERE.parent):
+    sys.path.insert(0, str(folder))
 
 
 @pytest.fixture(scope="session")
