@@ -312,3 +312,31 @@ def _(spark, sf_dir):
     g, ix = indexed(spark, sf_dir, "U")
     state = hybrid.run_files(g, ix, change_log(spark, sf_dir, g, 11, 0), rows_per_file=6, duplicate=True)
     return state.graph.edges.agg(F.count("*").alias("edges"))
+
+
+@op("csv_parse", U)
+def _(spark, sf_dir):
+    """Edges as text lines, parsed by a stated schema."""
+    lines = load(spark, sf_dir, "U").edges.select(F.concat_ws(",", "u", "v").alias("line"))
+    return lines.select(F.from_csv("line", "u BIGINT, v BIGINT").alias("e")).select("e.u", "e.v")
+
+
+@op("neighbors", f"SELECT src AS vertex, dst AS neighbor FROM ({ARCS}) WHERE src = {_TOP}")
+def _(spark, sf_dir):
+    g = load(spark, sf_dir, "U")
+    return graph.neighbors(g.edges, g.ranks.where("rank = 1").select("vertex"))
+
+
+@op("below_hub", f"WITH RECURSIVE {o.ctes('U')} SELECT src, dst FROM arcs WHERE src >= 40 AND dst > 40")
+def _(spark, sf_dir):
+    return graph.below(load(spark, sf_dir, "U"), 40).select("src", "dst")
+
+
+@op("edge_degree", f"SELECT u, v, a.degree * b.degree AS deg_product FROM ({U}) JOIN ({DEG}) a ON a.vertex = u JOIN ({DEG}) b ON b.vertex = v")
+def _(spark, sf_dir):
+    return graph.edge_degree(load(spark, sf_dir, "U").edges)
+
+
+@op("to_undirected", U)
+def _(spark, sf_dir):
+    return graph.to_undirected(load(spark, sf_dir, "UD").edges)

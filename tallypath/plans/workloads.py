@@ -569,3 +569,89 @@ def trap(spark, sf_dir):
         row = query.pairs(up.index, p).select(F.lit(removal).alias("removal"), "dist", "paths")
         out = row if out is None else out.unionByName(row)
     return out
+
+
+# further baselines and measures
+@register("w_dijkstra", f"WITH RECURSIVE {o.ctes('UW')} SELECT vertex, CAST(d AS INTEGER) AS dist, c AS paths FROM p JOIN rk ON rank = t WHERE s = 1")
+def dijkstra(spark, sf_dir):
+    g = load(spark, sf_dir, "UW")
+    return traversal.dijkstra_count(g, g.ranks.where("rank = 1").first()["vertex"])
+
+
+@register("w_list_paths", "SELECT * FROM (VALUES ('4-5-1-6'), ('4-9-10-6')) t(path)")
+def list_paths(spark, sf_dir):
+    return traversal.list_paths(load(spark, sf_dir, "EX"), 4, 6).select(F.array_join("path", "-").alias("path"))
+
+
+@register("w_rebuild_batch", o.index_sql("U", added=o.first_inserts("U", 10), removed=o.first_deletes("U", 2)))
+def rebuild_batch(spark, sf_dir):
+    g = load(spark, sf_dir, "U")
+    _, ix = ixs.rebuild_batch(g, first_inserts(spark, sf_dir, g, 10), written(first_deletes(g, 2), "deletes"))
+    return label_rows(ix, "U")
+
+
+def _metrics(spark, sf_dir) -> DataFrame:
+    """Metrics of one insertion and one deletion, each on the original index."""
+    g, ix = indexed(spark, sf_dir, "U")
+    log = change_log(spark, sf_dir, g, 10, 1)
+    out = None
+    for op in ("insert", "delete"):
+        one = log.where(F.col("op") == op).orderBy("seq").limit(1)
+        m = maintain.apply(g, ix, one)[2]
+        out = m if out is None else out.unionByName(m)
+    return out
+
+
+_COUNT = ", ".join(f"CAST(count(*) FILTER (WHERE op = '{k}') AS DOUBLE) AS {n}" for k, n in (("renew_count", "renew_count"), ("renew_dist", "renew_dist"), ("insert", "inserted"), ("remove", "removed")))
+
+
+@register("w_label_changes", f"SELECT 'insert' AS op, {_COUNT} FROM ({o.changes_sql('U', added=o.first_inserts('U', 1))}) WHERE op <> 'remove' UNION ALL SELECT 'delete', {_COUNT} FROM ({o.changes_sql('U', removed=o.first_deletes('U', 1))})")
+def label_changes(spark, sf_dir):
+    return measures.label_changes(_metrics(spark, sf_dir))
+
+
+@register("w_size_change")
+def size_change(spark, sf_dir):
+    return measures.size_change(_metrics(spark, sf_dir))
+
+
+@register("w_update_times")
+def update_times(spark, sf_dir):
+    return measures.quartiles(_metrics(spark, sf_dir))
+
+
+@register("w_dominated_rows", f"SELECT count(*) AS dominated_rows FROM ({o.changes_sql('U', added=o.first_inserts('U', 10))}) WHERE op = 'remove'")
+def dominated_rows(spark, sf_dir):
+    """Rows that ten insertions made too long and that stay."""
+    return measures.dominated(_inserted(spark, sf_dir, 10).index).select("dominated_rows")
+
+
+@register("w_round_stats")
+def round_stats(spark, sf_dir):
+    up = _inserted(spark, sf_dir, 10)
+    return measures.round_stats(up.index, up.rounds)
+
+
+@register("w_bound_terms")
+def bound_terms(spark, sf_dir):
+    up = _deleted(spark, sf_dir)
+    return measures.bound_terms(up.index, up.rounds, up.sets)
+
+
+@register("w_query_rows", f"WITH RECURSIVE {o.ctes('U')}, n AS (SELECT owner, count(*) AS n FROM idx GROUP BY owner) SELECT x.vertex AS s, y.vertex AS t, a.n + b.n AS label_rows FROM rk x JOIN n a ON a.owner = x.rank CROSS JOIN rk y JOIN n b ON b.owner = y.rank WHERE {SOME.replace('{s}', 'x.vertex').replace('{t}', 'y.vertex')}")
+def query_rows(spark, sf_dir):
+    g, ix = indexed(spark, sf_dir, "U")
+    p = some_pairs(g)
+    return measures.query_rows(ix, p).join(p, "qid").select("s", "t", F.col("rows").alias("label_rows"))
+
+
+@register("w_skew_cost")
+def skew_cost(spark, sf_dir):
+    """Touched rows and time of single deletions against the degree product: one edge of each third stratum."""
+    g, ix = indexed(spark, sf_dir, "U")
+    rows = []
+    for r in _strata(g.edges, g.edges).where("stratum in (1, 4, 7, 10)").orderBy("stratum").collect():
+        one = spark.createDataFrame([(1, "delete", r["u"], r["v"])], "seq long, op string, u long, v long")
+        m = maintain.apply(g, ix, one)[2].first()
+        rows.append((r["u"], r["v"], m["ms"], m["renew_count"] + m["renew_dist"] + m["inserted"] + m["removed"]))
+    return measures.skew(spark.createDataFrame(rows, "u long, v long, ms double, rows long"), g)
