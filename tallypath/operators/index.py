@@ -143,7 +143,8 @@ def build(g: Graph, max_levels: int | None = None, distance_only: bool = False)
     rounds = 0
     while level.seen["n"] and (max_levels is None or rounds < max_levels):
         labels = spark.read.schema(ROW).parquet(*paths)
-        cur = merged(expand(level.df, g.arcs)).join(labels.select(*KEY), KEY, "left_anti")
+        # All rows of a level have one distance: grouped by key alone, they lie right for the joins that follow.
+        cur = expand(level.df, g.arcs).groupBy(*KEY).agg(F.max("dist").alias("dist"), F.sum("paths").alias("paths")).join(labels.select(*KEY), KEY, "left_anti")
         if distance_only:
             cur = cur.withColumn("paths", F.lit(1).cast("long"))
             # Within a level a vertex covered at equal distance by a hub ranked above needs no label: its row of this
