@@ -20,6 +20,7 @@ import zlib
 from bisect import bisect_left, insort
 from collections.abc import Iterator
 from functools import lru_cache
+from struct import pack as packed
 
 import numpy as np
 import pandas as pd
@@ -36,8 +37,8 @@ class WordIds:
     """Ids of whole texts as little-endian bytes, each distinct word encoded once while a bounded memo holds it.
 
     Holds for texts of printable characters below U+0180 without special strings, where the tokenizer's normaliser
-    is lower-casing by character; any other text is encoded whole by the library. Unknown words of a text are
-    encoded in one call, joined by spaces, which the tokenizer drops.
+    is lower-casing by character; any other text is encoded whole by the library. New words go straight
+    to the tokenizer's model.
     """
 
     def __init__(self, path: str):
@@ -47,20 +48,21 @@ class WordIds:
         #: Two generations of at most MEMO words each: words in use move to the new one, the others go with the old one.
         self.memo: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
+        # Byte-level spelling: printable bytes stand for themselves, the others for the letters from U+0100 on.
+        kept = [*range(33, 127), *range(161, 173), *range(174, 256)]
+        others = [b for b in range(256) if b not in kept]
+        self.spelled = {b: chr(256 + i) for i, b in enumerate(others)}
         letters = "a-zªµºß-öø-ſ"
         # The tokenizer's own split, for lower-cased texts in the plain range. Fixed value.
         self.split = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|[{letters}]+|[0-9²³¹¼½¾]|[^\s0-9²³¹¼½¾{letters}]+").findall
         self.plain = re.compile("[^\t\n\r\x20-\x7e\xa1-\xac\xae-įı-ſ]").search
 
     def _learn(self, fresh: list[str]) -> None:
-        enc = self.tok.encode(" ".join(fresh), add_special_tokens=False)
-        word = np.array(enc.word_ids)
-        cut = np.flatnonzero(np.diff(word)) + 1
-        if len(cut) + 1 != len(fresh):
-            raise ValueError("the tokenizer split words that its pattern leaves whole")
-        ids = np.array(enc.ids, "<u4").tobytes()
-        edges = [0, *(4 * cut).tolist(), len(ids)]
-        self.memo.update(zip(fresh, (ids[a:b] for a, b in zip(edges, edges[1:]))))
+        """Ids of lower-cased words from the tokenizer's model itself, which takes bytes spelled as letters."""
+        tokenize = self.tok.model.tokenize
+        for w in fresh:
+            got = tokenize(w if w.isascii() else w.encode().decode("latin1").translate(self.spelled))
+            self.memo[w] = packed(f"<{len(got)}I", *[x.id for x in got])
 
     def ids(self, text: str) -> bytes:
         if self.plain(text) or "<|" in text:
