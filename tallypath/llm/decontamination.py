@@ -4,7 +4,9 @@
    counters).
 2. A randomised SVD of the TF-IDF passages of the benchmark, distributed: tasks hold the
    passages and return their part of ``A'A Q``, a matrix of fixed size; the orthonormal basis
-   after a few such rounds spans the latent space.
+   after a few such rounds spans the latent space. Its rank is the number of passages, at
+   most ``RANK``; a passage that keeps less than ``KEPT`` of its energy there is compared by
+   plain TF-IDF instead, so none is lost however many there are.
 3. Candidate search: whole documents are cut into overlapping passages, projected, and
    compared by cosine with every benchmark passage, in blocks of benchmark passages.
 4. Candidates are verified near the hit: the longest common subsequence of words against the
@@ -30,7 +32,8 @@ from .common import bounded, release, table, written
 from .textnum import chunks, utf8, words
 
 TERMS = 15  # 2 ** TERMS hashed terms
-RANK = 192
+RANK = 256  # dimensions of the latent space at most, and of each plain group
+KEPT = 0.99  # share of its energy that a passage keeps in the latent space, or it is compared plainly
 BLOCK = 16  # words between passage starts; a passage has PER blocks
 PER = 3
 SHORT = 10
@@ -38,6 +41,7 @@ ANSWER = 5
 COMMON = 0.1  # terms in a larger share of documents have no weight
 ITEM = 96  # words of a benchmark passage at most
 QUERIES = 4096  # benchmark passages held by a task at a time
+SLICE = 256  # blocks of a document projected at a time
 _CLEAR = bytes(32 if i < 128 and not chr(i).isalnum() else i for i in range(256))
 
 
@@ -115,7 +119,7 @@ def live_terms(passages: DataFrame) -> np.ndarray:
 
 def latent_basis(passages: DataFrame, idf: np.ndarray, live: np.ndarray, rank: int = RANK, rounds: int = 3, seed: int = 3) -> np.ndarray:
     """Orthonormal (live terms, rank) basis of the leading right singular vectors of the TF-IDF passages (column ``hashes``)."""
-    rank = max(1, min(rank, len(live)))
+    rank = max(1, min(rank, len(live), passages.count()))
     q = np.linalg.qr(np.random.default_rng(seed).normal(size=(len(live), rank)).astype(np.float32))[0]
     z = q
     for _ in range(rounds):
@@ -187,18 +191,49 @@ class Searcher:
     weak: float
 
     def __post_init__(self):
-        rows = []
+        self.square = self.idf**2
+        own = []
         for h in self.hashes:
             t, tf = np.unique(terms(h), return_counts=True)
             a = tf * self.idf[t]
-            rows.append(a @ self.basis[np.searchsorted(self.terms, t)] / max(np.linalg.norm(a), 1e-9))
-        self.query = np.array(rows, np.float32).reshape(len(rows), self.basis.shape[1])
-        self.square = self.idf**2
-        #: Row of the basis for each term; -1 for terms without weight.
-        self.row = np.full(1 << TERMS, -1, np.int32)
-        own = (np.abs(self.basis).sum(1) > 0) & (self.idf[self.terms] > 0)
-        self.row[self.terms[own]] = np.flatnonzero(own)
-        self.basis = self.basis * self.idf[self.terms][:, None]
+            own.append((t, (a / max(np.linalg.norm(a), 1e-9)).astype(np.float32)))
+        query = np.array([a @ self.basis[np.searchsorted(self.terms, t)] for t, a in own], np.float32).reshape(len(own), self.basis.shape[1])
+        whole = (query**2).sum(1) >= KEPT
+        latent, short = np.flatnonzero(whole), np.flatnonzero(~whole)
+        self.spaces = [self.space(latent, self.terms, self.basis, query[latent])] if len(latent) else []
+        for lo in range(0, len(short), RANK):
+            group = short[lo : lo + RANK]
+            t = np.unique(np.concatenate([own[k][0] for k in group]))
+            columns = np.zeros((len(t), len(group)), np.float32)
+            for c, k in enumerate(group):
+                columns[np.searchsorted(t, own[k][0]), c] = own[k][1]
+            self.spaces.append(self.space(group, t, columns, None))
+
+    def space(self, group: np.ndarray, own: np.ndarray, basis: np.ndarray, query: np.ndarray | None) -> tuple:
+        """(passages, row of the basis for each term, weighted basis, queries); row -1 for terms without weight, queries None where columns are passages."""
+        row = np.full(1 << TERMS, -1, np.int32)
+        some = (np.abs(basis).sum(1) > 0) & (self.idf[own] > 0)
+        row[own[some]] = np.flatnonzero(some)
+        return group, row, basis * self.idf[own][:, None], query
+
+    def products(self, space: tuple, t: np.ndarray, block: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Starting blocks of document passages, and their products with the unit passages of a space."""
+        _, row_of, basis, query = space
+        row = row_of[t]
+        use = np.flatnonzero(row >= 0)
+        vec = np.zeros((len(doc), basis.shape[1]), np.float32)
+        if len(use):
+            own, cut = np.unique(block[use], return_index=True)
+            cut = np.append(cut, len(use))
+            for lo in range(0, len(own), SLICE):
+                part = cut[lo : lo + SLICE + 1]
+                vec[own[lo : lo + SLICE]] = np.add.reduceat(basis[row[use[part[0] : part[-1]]]], part[:-1] - part[0], axis=0)
+        passage = vec.copy()
+        for k in range(1, PER):
+            same = np.flatnonzero(doc[k:] == doc[:-k])
+            passage[same] += vec[same + k]
+        some = np.flatnonzero((passage != 0).any(1))
+        return some, passage[some] if query is None else passage[some] @ query.T
 
     def search(self, texts: list[bytes]) -> Iterator[tuple[int, int, float, int, int, bool]]:
         """(text, item, cosine, common words, item words, answer found) of verified hits, best of each text and item."""
@@ -212,26 +247,20 @@ class Searcher:
             first_block = np.concatenate([[0], np.cumsum(blocks)])
             offset = np.arange(len(t)) - np.repeat(w.first[:-1], size)
             block = np.repeat(first_block[:-1], size) + offset // BLOCK
-            total = int(first_block[-1])
-            norm2 = np.bincount(block, self.square[t], total)
-            row = self.row[t]
-            use = np.flatnonzero(row >= 0)
-            vec = np.zeros((total, self.basis.shape[1]), np.float32)
-            if len(use):
-                rows = self.basis[row[use]]
-                own, cut = np.unique(block[use], return_index=True)
-                vec[own] = np.add.reduceat(rows, cut, axis=0)
+            norm2 = np.bincount(block, self.square[t], int(first_block[-1]))
             doc = np.repeat(np.arange(hi - lo), blocks)
-            passage, n2 = vec.copy(), norm2.copy()
+            n2 = norm2.copy()
             for k in range(1, PER):
                 same = np.flatnonzero(doc[k:] == doc[:-k])
-                passage[same] += vec[same + k]
                 n2[same] += norm2[same + k]
-            some = np.flatnonzero((passage != 0).any(1))
-            cos = passage[some] @ self.query.T / np.sqrt(np.maximum(n2[some], 1e-9))[:, None]
+            hits = []
+            for space in self.spaces:
+                some, cos = self.products(space, t, block, doc)
+                cos /= np.sqrt(np.maximum(n2[some], 1e-9)).astype(np.float32)[:, None]
+                i, j = np.nonzero(cos >= self.cosine)
+                hits.append((some[i], space[0][j], cos[i, j]))
             best: dict[tuple[int, int], tuple] = {}
-            i, j = np.nonzero(cos >= self.cosine)
-            for a, b, c in zip(some[i], j, cos[i, j]):
+            for a, b, c in (x for h in hits for x in zip(*h)):
                 d, item = int(doc[a]), self.hashes[b]
                 at = int(w.first[d]) + (int(a) - int(first_block[d])) * BLOCK
                 s, e = max(int(w.first[d]), at - len(item)), min(int(w.first[d + 1]), at + PER * BLOCK + len(item))

@@ -1,0 +1,13 @@
+"""Inputs on which a part of the job could be left out: large benchmarks, hot passages, dense clusters."""
+
+from test_operators import docs, prose
+
+from tallypath.llm import decontamination
+
+
+def test_every_item_of_a_large_benchmark_is_found(spark):
+    items = [(k, prose(1000 + k, 24)) for k in range(1200)]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    rows = [(k, t) for k, t in items[::20]]
+    got = decontamination.find_leaks(docs(spark, rows), bench)
+    assert {(r["doc_id"], r["item_id"]) for r in got.collect()} == {(k, k) for k, _ in rows}
