@@ -8,7 +8,9 @@
    most ``RANK``; a passage that keeps less than ``KEPT`` of its energy there is compared by
    plain TF-IDF instead, so none is lost however many there are.
 3. Candidate search: whole documents are cut into overlapping passages, projected, and
-   compared by cosine with every benchmark passage, in blocks of benchmark passages.
+   compared by cosine with every benchmark passage, in blocks of benchmark passages. A
+   passage that holds the share ``weak`` of a benchmark passage's energy is a candidate at
+   any cosine: the terms of an item that is in many documents weigh little beside others.
 4. Candidates are verified near the hit: the longest common subsequence of words against the
    benchmark passage, and for weaker ones (paraphrases) whether the answer, the last words of
    the item, is there as well.
@@ -20,6 +22,7 @@ repeated rows; empty tables give an empty result; other columns are ignored.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -38,7 +41,6 @@ BLOCK = 16  # words between passage starts; a passage has PER blocks
 PER = 3
 SHORT = 10
 ANSWER = 5
-COMMON = 0.1  # terms in a larger share of documents have no weight
 ITEM = 96  # words of a benchmark passage at most
 QUERIES = 4096  # benchmark passages held by a task at a time
 SLICE = 256  # blocks of a document projected at a time
@@ -79,9 +81,8 @@ def document_frequencies(docs: DataFrame) -> tuple[np.ndarray, int]:
 
 
 def idf_weights(df: np.ndarray, n: int) -> np.ndarray:
-    w = np.log((n + 1) / (df + 1)).astype(np.float32) + np.float32(0.1)
-    w[df > max(COMMON * n, 3)] = 0
-    return w
+    """Smoothed weights: a term in all documents still has a little, so a passage copied everywhere can be found."""
+    return np.log((n + 1) / (df + 1)).astype(np.float32) + np.float32(0.1)
 
 
 def benchmark_passages(bench: DataFrame) -> DataFrame:
@@ -192,11 +193,16 @@ class Searcher:
 
     def __post_init__(self):
         self.square = self.idf**2
-        own = []
+        own, length = [], []
         for h in self.hashes:
             t, tf = np.unique(terms(h), return_counts=True)
             a = tf * self.idf[t]
-            own.append((t, (a / max(np.linalg.norm(a), 1e-9)).astype(np.float32)))
+            length.append(np.linalg.norm(a))
+            own.append((t, (a / max(length[-1], 1e-9)).astype(np.float32)))
+        self.length = np.array(length, np.float32)
+        #: Distinct words of each passage, and how many of them a text must hold at least to be verified.
+        self.held = [set(h.tolist()) for h in self.hashes]
+        self.fewest = [len(own) - len(h) + math.ceil((1.0 if len(h) < SHORT else min(self.weak, self.strong)) * len(h) - 1e-9) for own, h in zip(self.held, self.hashes)]
         query = np.array([a @ self.basis[np.searchsorted(self.terms, t)] for t, a in own], np.float32).reshape(len(own), self.basis.shape[1])
         whole = (query**2).sum(1) >= KEPT
         latent, short = np.flatnonzero(whole), np.flatnonzero(~whole)
@@ -237,6 +243,7 @@ class Searcher:
 
     def search(self, texts: list[bytes]) -> Iterator[tuple[int, int, float, int, int, bool]]:
         """(text, item, cosine, common words, item words, answer found) of verified hits, best of each text and item."""
+        held, fewest = self.held, self.fewest
         for lo, hi in chunks(texts):
             w = words(texts[lo:hi])
             if not len(w.hash):
@@ -255,16 +262,18 @@ class Searcher:
                 n2[same] += norm2[same + k]
             hits = []
             for space in self.spaces:
-                some, cos = self.products(space, t, block, doc)
-                cos /= np.sqrt(np.maximum(n2[some], 1e-9)).astype(np.float32)[:, None]
-                i, j = np.nonzero(cos >= self.cosine)
-                hits.append((some[i], space[0][j], cos[i, j]))
+                some, dot = self.products(space, t, block, doc)
+                norm = np.sqrt(np.maximum(n2[some], 1e-9)).astype(np.float32)
+                i, j = np.nonzero(dot >= np.minimum(self.cosine * norm[:, None], self.weak * self.length[space[0]]))
+                hits.append((some[i], space[0][j], dot[i, j] / norm[i]))
             best: dict[tuple[int, int], tuple] = {}
             for a, b, c in (x for h in hits for x in zip(*h)):
                 d, item = int(doc[a]), self.hashes[b]
                 at = int(w.first[d]) + (int(a) - int(first_block[d])) * BLOCK
                 s, e = max(int(w.first[d]), at - len(item)), min(int(w.first[d + 1]), at + PER * BLOCK + len(item))
                 near = w.hash[s:e]
+                if len(held[b].intersection(near.tolist())) < fewest[b]:
+                    continue
                 key = (lo + d, int(self.item[b]))
                 lcs, where = near_subsequence(item, near)
                 share = lcs / len(item)

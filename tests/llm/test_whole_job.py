@@ -11,3 +11,11 @@ def test_every_item_of_a_large_benchmark_is_found(spark):
     rows = [(k, t) for k, t in items[::20]]
     got = decontamination.find_leaks(docs(spark, rows), bench)
     assert {(r["doc_id"], r["item_id"]) for r in got.collect()} == {(k, k) for k, _ in rows}
+
+
+def test_an_item_in_a_third_of_the_documents_is_found(spark):
+    hot, other = prose(1, 15), prose(2, 30)
+    rows = [(k, prose(100 + k, 40) + (" " + hot if k % 3 == 0 else "") + " " + prose(900 + k, 40)) for k in range(300)]
+    bench = spark.createDataFrame([(1, hot), (2, other)], "item_id long, text string")
+    got = decontamination.find_leaks(docs(spark, [*rows, (300, other)]), bench)
+    assert {(r["doc_id"], r["item_id"]) for r in got.collect()} == {(k, 1) for k in range(0, 300, 3)} | {(300, 2)}
