@@ -6,10 +6,14 @@
    their neighbours in windows of at least ``WINDOW`` places by exact cosine. A task reports
    a forest of the links that it verified, so a group of close vectors costs as many rows as
    it has members. Passes use other projections; their number follows from the number of
-   vectors, so that a pair at the threshold is missed by all passes with probability ``MISS``
-   at most (each pass needs log2(vectors / window) equal leading signs). Partition borders
-   differ from pass to pass.
-3. Components join the passes' links. Within a component every vector's links are then
+   vectors spread evenly. Partition borders differ from pass to pass.
+3. Vectors need not be spread evenly, so each pass also tells how many leading signs a pair
+   must share at each vector to lie within its window. Vectors at which a pair at the
+   threshold is missed by all passes so far with probability above ``MISS`` are in a denser
+   place: they get further passes among themselves, or, where that is less work, every two
+   of them are compared in bounded blocks. This goes on until there are none (a pair is
+   safe as soon as one of its ends is).
+4. Components join the passes' links. Within a component every vector's links are then
    counted exactly: it is cut into chunks by hash, and every two chunks are compared as one
    bounded block; blocks report one number for each member.
 
@@ -37,12 +41,13 @@ MISS = 1e-3
 LEAST_PASSES = 12
 SIGNS = 63
 CHUNK = 64
+DENSE = 1024  # vectors of dense places in a chunk
 
 
 def passes_for(vectors: int, cosine: float, window: int = WINDOW) -> int:
     """Passes after which a pair at the threshold is missed with probability ``MISS``."""
     same = 1 - math.acos(cosine) / math.pi
-    one = same ** max(0.0, math.log2(max(vectors, 2) / window))
+    one = same ** max(0.0, 1 + math.log2(max(vectors, 2) / window))
     return LEAST_PASSES if one >= 0.99 else max(LEAST_PASSES, math.ceil(math.log(MISS) / math.log(1 - one)))
 
 
@@ -62,6 +67,12 @@ def signs(x: np.ndarray, pass_: int) -> tuple[np.ndarray, np.ndarray]:
     return bits[:, :SIGNS] @ weights, bits[:, SIGNS:] @ weights
 
 
+def common_signs(a: np.ndarray, b: np.ndarray, apart: int) -> np.ndarray:
+    """Equal leading signs of each row and the one ``apart`` rows on."""
+    x, y = a[apart:] ^ a[:-apart], b[apart:] ^ b[:-apart]
+    return np.where(x > 0, SIGNS - np.frexp(x.astype(float))[1], 2 * SIGNS - np.frexp(y.astype(float))[1])
+
+
 def cleaned(rows: DataFrame) -> DataFrame:
     """vec_id, raw: components as doubles; null where the vector can't link."""
 
@@ -78,17 +89,28 @@ def cleaned(rows: DataFrame) -> DataFrame:
     return rows.select("vec_id", "embedding").mapInPandas(clean, "vec_id long, raw binary")
 
 
-def pass_links(nodes: DataFrame, passes: int, cosine: float, tasks: int) -> DataFrame:
-    """Forest links (u, v) that the passes verify."""
+def pass_links(nodes: DataFrame, first: int, passes: int, cosine: float, tasks: int) -> DataFrame:
+    """Forest links (u, v) that the passes ``first``, ``first + 1``, ... verify, and rows without v: log-probabilities ``miss`` that a pair at u is missed."""
+    same = 1 - math.acos(cosine) / math.pi
 
     def project(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
             for _, part in pdf.groupby(pdf["raw"].map(len)):
                 x = unit_rows(list(part["raw"]))
-                for p in range(passes):
+                for p in range(first, first + passes):
                     a, b = signs(x, p)
                     yield pd.DataFrame({"pass": np.int32(p), "a": a, "b": b, "node": part["node"].to_numpy(), "raw": part["raw"].to_numpy()})
 
+    def missed(pdf: pd.DataFrame) -> pd.DataFrame:
+        """Rows with ``WINDOW`` rows before and after them; those at the ends of a task's part count as missed."""
+        if len(pdf) <= 2 * WINDOW:
+            return pd.DataFrame({"u": np.zeros(0, np.int64), "v": pd.array([], "Int64"), "miss": np.zeros(0)})
+        far = common_signs(pdf["a"].to_numpy(np.int64), pdf["b"].to_numpy(np.int64), WINDOW)
+        turn = pdf["pass"].to_numpy()
+        far[turn[WINDOW:] != turn[:-WINDOW]] = -1
+        need = 1 + np.maximum(far[:-WINDOW], far[WINDOW:])
+        return pd.DataFrame({"u": pdf["node"].to_numpy(np.int64)[WINDOW:-WINDOW], "v": pd.array([None] * len(need), "Int64"), "miss": np.log1p(-np.minimum(same**need, 1 - 1e-9))})
+
     def compare(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held = None
         for pdf in batches:
@@ -101,15 +123,57 @@ def pass_links(nodes: DataFrame, passes: int, cosine: float, tasks: int) -> Data
                     i, j = np.nonzero(np.triu(here @ near.T >= cosine, 1))
                     us.append(node[lo + i])
                     vs.append(node[lo + j])
-            held = pdf.iloc[-WINDOW:]
+            yield missed(pdf)
+            held = pdf.iloc[-2 * WINDOW :]
             u, v = np.concatenate(us), np.concatenate(vs)
             if len(u):
                 child, root = star_forest(u, v)
-                yield pd.DataFrame({"u": root, "v": child})
+                yield pd.DataFrame({"u": root, "v": pd.array(child, "Int64"), "miss": np.nan})
 
     dealt = nodes.select("node", "raw").mapInPandas(project, "pass int, a long, b long, node long, raw binary")
     sorted_ = dealt.repartitionByRange(tasks, "pass", "a", "b", "node").sortWithinPartitions("pass", "a", "b", "node")
-    return sorted_.mapInPandas(compare, "u long, v long")
+    return sorted_.mapInPandas(compare, "u long, v long, miss double")
+
+
+def block_links(nodes: DataFrame, n: int, cosine: float) -> DataFrame:
+    """Forest links (u, v) among all pairs of ``nodes``: chunks by hash, every two of them one bounded block."""
+    chunks = -(-n // DENSE)
+    own = F.pmod(F.xxhash64("node"), F.lit(chunks)).cast("int")
+    m = nodes.select("node", "raw", own.alias("own")).select("*", F.explode(F.sequence(F.lit(0), F.lit(chunks - 1))).alias("other"))
+    rows = m.select("node", "raw", F.xxhash64(F.least("own", "other"), F.greatest("own", "other")).alias("block"))
+
+    def check(part: pd.DataFrame) -> pd.DataFrame:
+        us, vs = [], []
+        for _, p in part.groupby(part["raw"].map(len)):
+            node, x = p["node"].to_numpy(np.int64), unit_rows(list(p["raw"]))
+            for lo in range(0, len(node), WINDOW):
+                i, j = np.nonzero(np.triu(x[lo : lo + WINDOW] @ x[lo:].T >= cosine, 1))
+                if len(i):
+                    child, root = star_forest(node[lo + i], node[lo + j])
+                    us.append(root)
+                    vs.append(child)
+        return pd.DataFrame({"u": np.concatenate(us), "v": np.concatenate(vs)}) if us else pd.DataFrame({"u": [], "v": []}).astype(np.int64)
+
+    return by_block(rows, ["node", "raw"], check, "u long, v long")
+
+
+def all_links(nodes: DataFrame, n: int, cosine: float) -> DataFrame:
+    """Forest links (u, v) of all places, dense ones included."""
+    first, passes, links = 0, passes_for(n, cosine), None
+    dense = nodes.select("node", "raw", F.lit(0.0).alias("missed"))
+    while n:
+        seen = written(pass_links(dense, first, passes, cosine, max(1, n * passes // 8192)), "passes")
+        part = seen.where(F.col("v").isNotNull()).select("u", "v")
+        links = part if links is None else links.unionByName(part)
+        gain = seen.where(F.col("v").isNull()).groupBy(F.col("u").alias("node")).agg(F.sum("miss").alias("gain"))
+        left = dense.join(gain, "node", "left").withColumn("gain", F.coalesce("gain", F.lit(0.0))).withColumn("missed", F.col("missed") + F.col("gain"))
+        dense = written(left.where(F.col("missed") > math.log(MISS)), "dense")
+        n, open_, won = dense.agg(F.count("*"), F.sum(F.col("missed") - math.log(MISS)), -F.sum("gain")).first()
+        first, passes = first + passes, passes if not won else max(1, math.ceil(passes * open_ / won))
+        if n and (not won or -(-n // DENSE) <= passes):
+            return links.unionByName(block_links(dense.select("node", "raw"), n, cosine))
+        dense = dense.select("node", "raw", "missed")
+    return links
 
 
 def counted_links(members: DataFrame, cosine: float) -> DataFrame:
@@ -141,8 +205,8 @@ def near_duplicate_vectors(rows: DataFrame, cosine: float = 0.9) -> DataFrame:
     same = clean.where(F.col("raw").isNotNull() & F.col("vec_id").isNotNull()).groupBy("key", "raw").agg(F.min("vec_id").alias("node"), F.count("*").alias("copies"))
     nodes = written(same, "nodes")
     n = nodes.count()
-    passes = passes_for(n, cosine)
-    links = components(pass_links(nodes, passes, cosine, max(1, n * passes // 8192)), thin=False)
+    found = all_links(nodes, n, cosine) if n else nodes.select(F.col("node").alias("u"), F.col("node").alias("v"))
+    links = components(found, thin=False)
     members = links.join(nodes, "node")
     counts = written(counted_links(members.select("node", "component", "copies", "raw"), cosine), "counts")
     known = nodes.select("key", "node", "copies").join(links, "node", "left").join(counts, "node", "left")

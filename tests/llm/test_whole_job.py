@@ -1,8 +1,9 @@
 """Inputs on which a part of the job could be left out: large benchmarks, hot passages, dense clusters."""
 
+import numpy as np
 from test_operators import docs, prose
 
-from tallypath.llm import decontamination
+from tallypath.llm import components, decontamination, embedding_dedup
 
 
 def test_every_item_of_a_large_benchmark_is_found(spark):
@@ -19,3 +20,23 @@ def test_an_item_in_a_third_of_the_documents_is_found(spark):
     bench = spark.createDataFrame([(1, hot), (2, other)], "item_id long, text string")
     got = decontamination.find_leaks(docs(spark, [*rows, (300, other)]), bench)
     assert {(r["doc_id"], r["item_id"]) for r in got.collect()} == {(k, 1) for k in range(0, 300, 3)} | {(300, 2)}
+
+
+def test_links_within_a_dense_cluster_are_found(spark):
+    r = np.random.default_rng(8)
+    unit = lambda x: x / np.linalg.norm(x, axis=1, keepdims=True)
+    centre = unit(r.normal(size=(1, 64)))
+    own = r.normal(size=(2000, 64))
+    own = unit(own - own @ centre.T * centre)
+    own[1800:] = unit(0.535 * own[:200] + 0.845 * own[1800:])  # 200 pairs a little above the threshold
+    x = np.concatenate([np.sqrt(0.8) * centre + np.sqrt(0.2) * own, unit(r.normal(size=(4000, 64)))])
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = {k["vec_id"]: (k["n_links"], k["component_id"]) for k in embedding_dedup.near_duplicate_vectors(df).collect()}
+    link = unit(x) @ unit(x).T >= 0.9
+    np.fill_diagonal(link, False)
+    assert 100 < link.sum() / 2 < 1000
+    a, b = np.nonzero(link)
+    child, root = components.star_forest(a, b)
+    label = np.arange(len(x))
+    label[child] = root
+    assert got == {i: (int(n), int(label[i])) for i, n in enumerate(link.sum(1))}
