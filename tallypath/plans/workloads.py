@@ -69,14 +69,14 @@ def first_deletes(g: graph.Graph, n: int) -> DataFrame:
     return g.edges.orderBy(graphs.order_key(F.col("u"), F.col("v")), "u", "v").limit(n)
 
 
-def first_inserts(spark: SparkSession, sf_dir: str, g: graph.Graph, n: int) -> DataFrame:
-    """Succession pairs of signup events that aren't edges, both ends known; by the order key."""
+def first_inserts(spark: SparkSession, sf_dir: str, g: graph.Graph, n: int | None) -> DataFrame:
+    """The first ``n`` by the order key (all of them if None) of the succession pairs of signup events that aren't edges, both ends known."""
     e = graph.simple_edges(graphs.successions(spark, sf_dir, "signup"), "user_id", "next_id", g.directed)
     e = e.join(g.edges.select("u", "v"), ["u", "v"], "left_anti")
     known = g.ranks.select("vertex")
     e = e.join(known.withColumnRenamed("vertex", "u"), "u", "left_semi").join(known.withColumnRenamed("vertex", "v"), "v", "left_semi")
     e = e.select("u", "v", *([(1 + (F.col("u") + F.col("v")) % 3).cast("long").alias("w")] if g.weighted else []))
-    return written(e.orderBy(graphs.order_key(F.col("u"), F.col("v")), "u", "v").limit(n), "inserts")
+    return written(e if n is None else e.orderBy(graphs.order_key(F.col("u"), F.col("v")), "u", "v").limit(n), "inserts")
 
 
 def every_pair(g: graph.Graph) -> DataFrame:
@@ -447,7 +447,7 @@ def skew_deletes(spark, sf_dir):
 @register("w_skew_inserts", _strata_sql(o.first_inserts("U", 1000000)))
 def skew_inserts(spark, sf_dir):
     g = load(spark, sf_dir, "U")
-    return _strata(g.edges, first_inserts(spark, sf_dir, g, 1000000))
+    return _strata(g.edges, first_inserts(spark, sf_dir, g, None))
 
 
 # directed and weighted
