@@ -78,6 +78,12 @@ def _(spark, sf_dir):
     return query.pairs(ix, pairs).select("s", "t", "dist", "paths")
 
 
+@op("left_outer_default_all", o.pairs_sql("P46"))
+def _(spark, sf_dir):
+    g, ix = indexed(spark, sf_dir, "P46")
+    return query.pairs(ix, every_pair(g)).select("s", "t", "dist", "paths")
+
+
 @op("full_outer_diff", o.changes_sql("U", removed=o.first_deletes("U", 1)))
 def _(spark, sf_dir):
     up = _deleted(spark, sf_dir)

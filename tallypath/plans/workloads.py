@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import partial
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -92,6 +93,7 @@ def some_pairs(g: graph.Graph) -> DataFrame:
     return written(every_pair(g).where((F.col("s") * 7919 + F.col("t") * 104729) % 1000003 % 37 == 0), "pairs")
 
 
+#: Has a twin ``..._all`` below that answers every pair.
 SOME = "({s} * 7919 + {t} * 104729) % 1000003 % 37 = 0"
 answers = lambda df: df.select("s", "t", "dist", "paths")
 edge_of = lambda df: tuple(df.first())[:2]
@@ -170,21 +172,21 @@ def pairs_distance(spark, sf_dir):
 
 
 @register("w_pairs_bfs", o.pairs_sql("U", SOME))
-def pairs_bfs(spark, sf_dir):
+def pairs_bfs(spark, sf_dir, pairs=some_pairs):
     g = load(spark, sf_dir, "U")
-    return answers(traversal.bfs_count_pairs(g, some_pairs(g), bidirectional=False))
+    return answers(traversal.bfs_count_pairs(g, pairs(g), bidirectional=False))
 
 
 @register("w_pairs_bibfs", o.pairs_sql("U", SOME))
-def pairs_bibfs(spark, sf_dir):
+def pairs_bibfs(spark, sf_dir, pairs=some_pairs):
     g = load(spark, sf_dir, "U")
-    return answers(traversal.bfs_count_pairs(g, some_pairs(g)))
+    return answers(traversal.bfs_count_pairs(g, pairs(g)))
 
 
 @register("w_pairs_disconnected", o.pairs_sql("P46", SOME))
-def pairs_disconnected(spark, sf_dir):
+def pairs_disconnected(spark, sf_dir, pairs=some_pairs):
     g, ix = indexed(spark, sf_dir, "P46")
-    return answers(query.pairs(ix, some_pairs(g)))
+    return answers(query.pairs(ix, pairs(g)))
 
 
 @register(
@@ -199,9 +201,9 @@ def pairs_upper_hub(spark, sf_dir):
 
 
 @register("w_pairs_explain", f"WITH RECURSIVE {o.ctes('U')} SELECT x.vertex AS s, y.vertex AS t, h.vertex AS hub, CAST(p.d AS INTEGER) AS dist, a.paths * b.paths AS product FROM idx a JOIN idx b ON a.hub = b.hub JOIN p ON p.s = a.owner AND p.t = b.owner AND p.d = a.dist + b.dist JOIN rk x ON x.rank = a.owner JOIN rk y ON y.rank = b.owner JOIN rk h ON h.rank = a.hub WHERE {SOME.replace('{s}', 'x.vertex').replace('{t}', 'y.vertex')}")
-def pairs_explain(spark, sf_dir):
+def pairs_explain(spark, sf_dir, pairs=some_pairs):
     g, ix = indexed(spark, sf_dir, "U")
-    return query.explain(ix, some_pairs(g)).select("s", "t", "hub", "dist", "product")
+    return query.explain(ix, pairs(g)).select("s", "t", "hub", "dist", "product")
 
 
 @register("w_source_all", f"WITH RECURSIVE {o.ctes('U')} SELECT vertex, CAST(d AS INTEGER) AS dist, c AS paths FROM p JOIN rk ON rank = t WHERE s = 1")
@@ -344,12 +346,12 @@ _LEAF_EDGE = f"SELECT u, v FROM ({o.SQL_EDGES['P46']}), ({_LEAF}) WHERE u = leaf
 
 
 @register("w_isolated_delete", o.pairs_sql("P46", SOME, removed=_LEAF_EDGE))
-def isolated_delete(spark, sf_dir):
+def isolated_delete(spark, sf_dir, pairs=some_pairs):
     g, ix = indexed(spark, sf_dir, "P46")
     leaf = graph.degrees(g.edges).where("degree = 1").agg(F.min("vertex")).first()[0]
     e = g.edges.where((F.col("u") == leaf) | (F.col("v") == leaf)).first()
     up = delete.run(g, ix, e["u"], e["v"])
-    return answers(query.pairs(up.index, some_pairs(up.graph)))
+    return answers(query.pairs(up.index, pairs(up.graph)))
 
 
 # vertices
@@ -409,9 +411,9 @@ _STATES = (("original", {}), ("inserted", {"added": o.first_inserts("U", 10)}),
 
 
 @register("w_query_states", " UNION ALL ".join(f"SELECT '{n}' AS state, * FROM ({o.pairs_sql('U', SOME, **c)})" for n, c in _STATES))
-def query_states(spark, sf_dir):
+def query_states(spark, sf_dir, pairs=some_pairs):
     g, ix = indexed(spark, sf_dir, "U")
-    p = some_pairs(g)
+    p = pairs(g)
     out = None
     for n, state in (("original", ix), ("inserted", _inserted(spark, sf_dir, 10).index), ("deleted", _deleted(spark, sf_dir).index)):
         rows = answers(query.pairs(state, p)).select(F.lit(n).alias("state"), "s", "t", "dist", "paths")
@@ -463,14 +465,14 @@ for _n, _word in (("UD", "directed"), ("UW", "weighted")):
         return answers(query.pairs(ix, every_pair(g)))
 
     @register(f"w_{_word}_insert", o.pairs_sql(_n, SOME, added=o.first_inserts(_n, 5)))
-    def other_insert(spark, sf_dir, n=_n):
+    def other_insert(spark, sf_dir, n=_n, pairs=some_pairs):
         up = _inserted(spark, sf_dir, 5, n)
-        return answers(query.pairs(up.index, some_pairs(up.graph)))
+        return answers(query.pairs(up.index, pairs(up.graph)))
 
     @register(f"w_{_word}_delete", o.pairs_sql(_n, SOME, removed=o.first_deletes(_n, 1)))
-    def other_delete(spark, sf_dir, n=_n):
+    def other_delete(spark, sf_dir, n=_n, pairs=some_pairs):
         up = _deleted(spark, sf_dir, n)
-        return answers(query.pairs(up.index, some_pairs(up.graph)))
+        return answers(query.pairs(up.index, pairs(up.graph)))
 
 
 def _reweighted(w: int) -> dict:
@@ -481,7 +483,7 @@ def _reweighted(w: int) -> dict:
 for _w, _word in ((1, "decrease"), (3, "increase")):
 
     @register(f"w_weight_{_word}", o.pairs_sql("UW", SOME, **_reweighted(_w)))
-    def reweighted(spark, sf_dir, w=_w):
+    def reweighted(spark, sf_dir, w=_w, pairs=some_pairs):
         g, ix = indexed(spark, sf_dir, "UW")
         own = g.edges.where(F.col("w") > 1) if w == 1 else g.edges.where(F.col("w") < 3)
         e = own.orderBy(graphs.order_key(F.col("u"), F.col("v")), "u", "v").first()
@@ -489,7 +491,7 @@ for _w, _word in ((1, "decrease"), (3, "increase")):
             up = insert.decrease_weight(g, ix, spark.createDataFrame([(e["u"], e["v"], w)], "u long, v long, w long"))
         else:
             up = delete.increase_weight(g, ix, e["u"], e["v"], w)
-        return answers(query.pairs(up.index, some_pairs(up.graph)))
+        return answers(query.pairs(up.index, pairs(up.graph)))
 
 
 # applications
@@ -639,9 +641,9 @@ def bound_terms(spark, sf_dir):
 
 
 @register("w_query_rows", f"WITH RECURSIVE {o.ctes('U')}, n AS (SELECT owner, count(*) AS n FROM idx GROUP BY owner) SELECT x.vertex AS s, y.vertex AS t, a.n + b.n AS label_rows FROM rk x JOIN n a ON a.owner = x.rank CROSS JOIN rk y JOIN n b ON b.owner = y.rank WHERE {SOME.replace('{s}', 'x.vertex').replace('{t}', 'y.vertex')}")
-def query_rows(spark, sf_dir):
+def query_rows(spark, sf_dir, pairs=some_pairs):
     g, ix = indexed(spark, sf_dir, "U")
-    p = some_pairs(g)
+    p = pairs(g)
     return measures.query_rows(ix, p).join(p, "qid").select("s", "t", F.col("rows").alias("label_rows"))
 
 
@@ -655,3 +657,20 @@ def skew_cost(spark, sf_dir):
         m = maintain.apply(g, ix, one)[2].first()
         rows.append((r["u"], r["v"], m["ms"], m["renew_count"] + m["renew_dist"] + m["inserted"] + m["removed"]))
     return measures.skew(spark.createDataFrame(rows, "u long, v long, ms double, rows long"), g)
+
+
+# the workloads of sampled pairs, over every pair
+SAMPLED = (
+    "w_pairs_bfs", "w_pairs_bibfs", "w_pairs_disconnected", "w_pairs_explain", "w_query_states", "w_query_rows", "w_isolated_delete",
+    "w_directed_insert", "w_directed_delete", "w_weighted_insert", "w_weighted_delete", "w_weight_decrease", "w_weight_increase",
+)
+
+
+def _unfiltered(sql: str) -> str:
+    for s, t in (("pr.s", "pr.t"), ("x.vertex", "y.vertex")):
+        sql = sql.replace(SOME.replace("{s}", s).replace("{t}", t), "true")
+    return sql
+
+
+for _n in SAMPLED:
+    register(f"{_n}_all", _unfiltered(ORACLES[_n]))(partial(QUERIES[_n], pairs=every_pair))
