@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import ctypes
 import gc
+import re
 import tempfile
 import uuid
 
@@ -11,13 +12,15 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share (``spark.checkpoint.dir``); a local one only where none is set, as in tests."""
+    """The folder that all executors share (``spark.checkpoint.dir``); a local one only where none is set and all tasks run in this process, as in tests."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         found = spark.sparkContext._jsc.sc().getCheckpointDir()
         if found.isDefined():
             base = found.get()
         else:
+            if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+                raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
             base = "file://" + tempfile.mkdtemp(prefix="tallypath-")
             spark.sparkContext.setCheckpointDir(base)
     return base.rstrip("/")
@@ -53,6 +56,15 @@ def drop_written(df: DataFrame) -> None:
             path.getFileSystem(conf).delete(path, True)
 
 
+def clear(spark: SparkSession) -> None:
+    """Deletes what this subpackage has left in the shared folder (tables, archives, stages of other runs included), once no result needs it."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path
+    fs = path(shared_dir(spark)).getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    for pattern in ("llm-*", "pipeline-*"):
+        for found in fs.globStatus(path(f"{shared_dir(spark)}/{pattern}")) or []:
+            fs.delete(found.getPath(), True)
+
+
 def release() -> None:
     """Gives memory freed by a fit, or by a task whose worker lives on, back to the system, where the C library can."""
     gc.collect()

@@ -2,9 +2,12 @@
 
 Writing: every record is a gzip member of its own. Of records with equal payloads of at
 least ``least`` bytes, that with the smallest page_id is a response and the others revisit
-it. Each task writes one archive under a name of its own and moves it into place when it is
-whole, so a task that runs again replaces its own work. Files go to the shared folder
-through its own file system.
+it. Which payloads are shared is found on digests and ids alone; the few digests that many
+rows share are broadcast (at most ``2 ** HOT_BITS`` of them, by their definition), so these rows meet
+nowhere and are written by the tasks that read them, and so are payloads below ``least``. Revisits are
+written without the payload, which they never need. Each task writes one archive under a name
+of its own and moves it into place when it is whole, so a task that runs again replaces its own work. Files go
+to the shared folder through its own file system.
 
 Reading: tasks get byte ranges. A task scans its range for the gzip magic, takes a hit as
 the start of a record only if the member there decodes to a WARC version line, and owns
@@ -13,7 +16,7 @@ From a valid record on it follows the members one by one, so that bytes within a
 that look like the magic are never considered.
 
 Defined cases: a null html is an empty payload; a null url is written as an empty target;
-a null page_id is kept as null; rows that repeat the smallest page_id are all responses;
+a null page_id is kept as null and is a response; rows that repeat the smallest page_id are all responses;
 an empty table gives no archive and an empty result; other columns are ignored.
 """
 
@@ -30,12 +33,15 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded, shared_dir, table
+from .common import bounded, release, shared_dir, slices, table, written
 
 MAGIC = b"\x1f\x8b\x08"
 VERSION = b"WARC/1.1\r\n"
 SPLIT = 8 << 20
 READ = 1 << 20
+HOT_BITS = 14  # digests of more rows than a share of 2 ** -HOT_BITS are broadcast
+HOT_ROWS = 1024  # and at least of so many rows
+READERS = 100_000  # tasks that read ranges at most; each then takes several
 
 
 def _fs(uri: str):
@@ -55,10 +61,10 @@ def _page(name: str) -> int | None:
     return None if found in ("null", "") else int(found)
 
 
-def record(page_id, url: str | None, payload: bytes, digest: str, first) -> bytes:
-    """One gzip member: a response with its payload, or a revisit of page ``first`` with the HTTP header alone."""
-    http = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {len(payload)}\r\n\r\n".encode()
+def record(page_id, url: str | None, payload: bytes, digest: str, first, size: int | None = None) -> bytes:
+    """One gzip member: a response with its payload, or a revisit of page ``first`` with the HTTP header alone, for a payload of ``size`` bytes."""
     revisit = first is not None and not pd.isna(first)
+    http = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {len(payload) if size is None else size}\r\n\r\n".encode()
     block = http if revisit else http + payload
     head = [
         f"WARC-Type: {'revisit' if revisit else 'response'}",
@@ -75,12 +81,22 @@ def record(page_id, url: str | None, payload: bytes, digest: str, first) -> byte
 
 
 def with_first(pages: DataFrame, least: int = 100) -> DataFrame:
-    """``pages`` (page_id, url, html) with ``digest`` and ``first``: the page that the row revisits, null for responses."""
-    p = pages.select("page_id", "url", F.coalesce("html", F.lit("")).alias("html")).withColumn("digest", F.sha2("html", 256))
-    shared = p.where(F.octet_length("html") >= least).groupBy("digest").agg(F.min("page_id").alias("least_id"), F.count("*").alias("n"))
-    shared = shared.where(F.col("n") > 1).select("digest", "least_id")
-    joined = p.join(shared, "digest", "left")
-    return joined.select("page_id", "url", "html", "digest", F.when(F.col("page_id") > F.col("least_id"), F.col("least_id")).alias("first"))
+    """``pages`` (page_id, url, html) with ``digest``, ``size`` and ``first``: the page that the row revisits, null for responses.
+
+    Revisits of widely shared payloads come without html.
+    """
+    html = F.coalesce("html", F.lit(""))
+    p = pages.select("page_id", "url", html.alias("html"), F.octet_length(html).cast("long").alias("size")).withColumn("digest", F.sha2("html", 256))
+    groups = p.where(F.col("size") >= least).groupBy("digest").agg(F.min("page_id").alias("least_id"), F.count("*").alias("n")).where(F.col("n") > 1)
+    groups = written(groups, "shared-payloads")
+    widely = F.col("n") > max(HOT_ROWS, pages.count() >> HOT_BITS)
+    columns = ["page_id", "url", "html", "size", "digest"]
+    first = F.when(F.col("page_id") > F.col("least_id"), F.col("least_id")).alias("first")
+    marked = p.join(F.broadcast(groups.where(widely).select("digest", "least_id", F.lit(True).alias("wide"))), "digest", "left")  # 2 ** HOT_BITS rows at most
+    alone = F.col("wide").isNotNull() | (F.col("size") < least)
+    here = marked.where(alone).select(*columns, first).withColumn("html", F.when(F.col("first").isNull(), F.col("html")))
+    rest = marked.where(~alone).select(*columns).join(groups.where(~widely).select("digest", "least_id"), "digest", "left").select(*columns, first)
+    return here.unionByName(rest)
 
 
 def write_archives(pages: DataFrame, folder: str, least: int = 100) -> DataFrame:
@@ -94,18 +110,19 @@ def write_archives(pages: DataFrame, folder: str, least: int = 100) -> DataFrame
         draft = f"{name}.{uuid.uuid4().hex}.tmp"
         n = size = 0
         out = None
-        for pdf in batches:
-            for page_id, url, html, digest, first in zip(pdf["page_id"], pdf["url"], pdf["html"], pdf["digest"], pdf["first"]):
+        for pdf in (part for batch in batches for part in slices(batch, "html", READ)):
+            for page_id, url, html, payload_bytes, digest, first in zip(pdf["page_id"], pdf["url"], pdf["html"], pdf["size"], pdf["digest"], pdf["first"]):
                 if out is None:
                     fs.create_dir(base, recursive=True)
                     out = fs.open_output_stream(draft)
-                data = record(page_id, url, html.encode("utf-8", "surrogatepass"), digest, first)
+                data = record(page_id, url, (html or "").encode("utf-8", "surrogatepass"), digest, first, payload_bytes)
                 out.write(data)
                 n, size = n + 1, size + len(data)
         if out is not None:
             out.close()
             fs.move(draft, name)
             yield pd.DataFrame({"file": [name], "bytes": [size], "records": [n]})
+        release()
 
     return with_first(bounded(pages), least).mapInPandas(put, "file string, bytes long, records long")
 
@@ -189,10 +206,12 @@ def parse(content: bytes) -> dict:
     }
 
 
-def read_archives(files: DataFrame, folder: str, split: int = SPLIT, payloads: bool = False) -> DataFrame:
-    """Records of ``files`` (file, bytes), read by byte ranges of ``split`` bytes."""
+def read_archives(files: DataFrame, folder: str, split: int = SPLIT, payloads: bool = False, readers: int = READERS) -> DataFrame:
+    """Records of ``files`` (file, bytes), read by byte ranges of ``split`` bytes, in ``readers`` tasks at most."""
     ranges = files.select("file", "bytes", F.explode(F.sequence(F.lit(0).cast("long"), F.greatest(F.col("bytes") - 1, F.lit(0)), F.lit(split).cast("long"))).alias("start"))
-    ranges = ranges.withColumn("end", F.least(F.col("start") + split, F.col("bytes"))).select("file", "start", "end").repartition("file", "start")
+    ranges = ranges.withColumn("end", F.least(F.col("start") + split, F.col("bytes"))).select("file", "start", "end")
+    count = files.agg(F.sum(F.greatest(F.ceil(F.col("bytes") / split), F.lit(1)))).first()[0] or 1
+    ranges = ranges.repartition(int(min(count, readers)))  # a stated number: tiny range rows would be coalesced into one task
     kind = "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long" + ", url string, payload binary" * payloads
     names = [x.split()[0] for x in kind.split(", ")]
 
@@ -215,6 +234,7 @@ def read_archives(files: DataFrame, folder: str, split: int = SPLIT, payloads: b
                         rows, held = [], 0
                 if rows:
                     yield frame(rows)
+        release()
 
     return ranges.mapInPandas(get, kind)
 

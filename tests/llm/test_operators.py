@@ -180,15 +180,18 @@ def test_secrets(spark):
     assert secrets.find_secrets(docs(spark, ODD)).count() == len(ODD) and secrets.find_secrets(docs(spark, [])).count() == 0
 
 
-def test_warc_round_trip(spark, tmp_path):
+def test_warc_round_trip(spark, tmp_path, monkeypatch):
     page = "<p>" + prose(1, 40) + "</p>"
     rows = [(5, "http://a/ä b", page), (3, None, page), (9, "http://c", page), (4, "u", None), (6, "u", ""), (7, "u", "tiny"), (8, "u", "tiny"), (10, "u", "WARC/1.1\r\n\r\n" + page), (11, "u", prose(2, 200_000))]
     df = spark.createDataFrame([(*r, "x") for r in rows], "page_id long, url string, html string, first string").repartition(3)
-    folder = f"file://{tmp_path}/w"
-    files = warc.write_archives(df, folder)
-    files = spark.createDataFrame(files.collect(), files.schema)
-    for split in (200, 5000, 8 << 20):
-        got = {r["page_id"]: r for r in warc.read_archives(files, folder, split, payloads=True).collect()}
+    for split, hot in ((200, 1), (5000, 1024), (8 << 20, 1)):
+        monkeypatch.setattr(warc, "HOT_ROWS", hot)  # 1: the shared payload is broadcast
+        folder = f"file://{tmp_path}/w{split}"
+        files = warc.write_archives(df, folder)
+        files = spark.createDataFrame(files.collect(), files.schema)
+        read = warc.read_archives(files, folder, split, payloads=True, readers=8)
+        assert read.rdd.getNumPartitions() == min(8, sum(-(-f["bytes"] // split) for f in files.collect()))
+        got = {r["page_id"]: r for r in read.collect()}
         assert len(got) == len(rows)
         for i, url, html in rows:
             data = (html or "").encode()
