@@ -18,8 +18,9 @@
    bounded block; blocks report one number for each member.
 
 Defined cases: null, zero, and empty vectors and those with null or non-finite components link
-with nothing; vectors of different lengths never link; rows that repeat a vec_id count as
-vectors of their own; an empty table gives an empty result; other columns are ignored.
+with nothing; vectors of different lengths never link; rows that repeat a vec_id with other
+vectors are vectors of their own (nodes are numbered by vector, not by vec_id), those with equal ones
+copies; a null vec_id links with nothing; very large and very small components are scaled first; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -81,9 +82,10 @@ def cleaned(rows: DataFrame) -> DataFrame:
             raw = []
             for v in pdf["embedding"]:
                 x = None if v is None else np.array([np.nan if c is None else c for c in v] if getattr(v, "dtype", object) == object else v, np.float64)
-                good = x is not None and len(x) and np.isfinite(x).all()
-                norm = np.linalg.norm(x) if good else 0.0
-                raw.append((x + 0.0).tobytes() if norm > 0 and np.isfinite(norm) else None)
+                most = np.abs(x).max() if x is not None and len(x) and np.isfinite(x).all() else 0.0
+                if most and not 1e-100 < most < 1e100:  # squares would over- or underflow
+                    x = x / most
+                raw.append((x + 0.0).tobytes() if most else None)
             yield pd.DataFrame({"vec_id": pdf["vec_id"].astype("Int64"), "raw": raw})
 
     return rows.select("vec_id", "embedding").mapInPandas(clean, "vec_id long, raw binary")
@@ -202,15 +204,17 @@ def counted_links(members: DataFrame, cosine: float) -> DataFrame:
 def near_duplicate_vectors(rows: DataFrame, cosine: float = 0.9) -> DataFrame:
     """vec_id, n_links, component_id, kept of every row of ``rows`` (vec_id, embedding)."""
     clean = written(cleaned(bounded(rows)).withColumn("key", F.sha2("raw", 256)), "vectors")
-    same = clean.where(F.col("raw").isNotNull() & F.col("vec_id").isNotNull()).groupBy("key", "raw").agg(F.min("vec_id").alias("node"), F.count("*").alias("copies"))
-    nodes = written(same, "nodes")
+    same = clean.where(F.col("raw").isNotNull() & F.col("vec_id").isNotNull()).groupBy("key", "raw").agg(F.min("vec_id").alias("least"), F.count("*").alias("copies"))
+    nodes = written(same.withColumn("node", F.monotonically_increasing_id()), "nodes")  # numbers are fixed by the written table
     n = nodes.count()
     found = all_links(nodes, n, cosine) if n else nodes.select(F.col("node").alias("u"), F.col("node").alias("v"))
     links = components(found, thin=False)
     members = links.join(nodes, "node")
     counts = written(counted_links(members.select("node", "component", "copies", "raw"), cosine), "counts")
-    known = nodes.select("key", "node", "copies").join(links, "node", "left").join(counts, "node", "left")
-    known = written(known.select("key", F.coalesce("component", "node").alias("component"), (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n")), "known")
+    known = nodes.select("key", "node", "least", "copies").join(links, "node", "left").join(counts, "node", "left")
+    known = written(known.withColumn("group", F.coalesce("component", "node")).drop("component"), "linked")
+    smallest = known.groupBy("group").agg(F.min("least").alias("component"))
+    known = written(known.join(smallest, "group").select("key", "component", (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n")), "known")
     out = clean.select("vec_id", F.when(F.col("vec_id").isNotNull(), F.col("key")).alias("key")).join(known, "key", "left")
     component = F.coalesce("component", "vec_id")
     return out.select("vec_id", F.coalesce("n", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(component == F.col("vec_id"), F.lit(True)).alias("kept"))

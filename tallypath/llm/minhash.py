@@ -17,8 +17,8 @@
    confirmed links, not all of them.
 
 Defined cases: null, empty and wordless texts have no shingles and link with nothing; texts
-with fewer words than a shingle are one shingle; rows that repeat a doc_id share its
-component; a row with a null doc_id stands alone (component null, kept); an empty table gives
+with fewer words than a shingle are one shingle; rows that repeat a doc_id with other texts are
+documents of their own (classes are numbered by set, not by doc_id); a row with a null doc_id stands alone (component null, kept); an empty table gives
 an empty result; other columns are ignored.
 """
 
@@ -106,7 +106,7 @@ def candidate_keys(shingles: np.ndarray, percent: int) -> np.ndarray:
 
 
 def sketches(docs: DataFrame, k: int, percent: int) -> DataFrame:
-    """doc_id, n (set size), set_id (hash of the whole set), keys."""
+    """doc_id, text_key, n (set size), set_id (hash of the whole set), keys."""
 
     def sketch(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in (part for batch in batches for part in slices(batch)):
@@ -114,6 +114,7 @@ def sketches(docs: DataFrame, k: int, percent: int) -> DataFrame:
             yield pd.DataFrame(
                 {
                     "doc_id": pdf["doc_id"].astype("Int64"),
+                    "text_key": pdf["text_key"].to_numpy(),
                     "n": [len(s) for s in sets],
                     "set_id": [hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets],
                     "keys": [candidate_keys(s, percent).astype(np.int64) if len(s) else np.zeros(0, np.int64) for s in sets],
@@ -121,7 +122,7 @@ def sketches(docs: DataFrame, k: int, percent: int) -> DataFrame:
             )
         release()
 
-    return docs.select("doc_id", "text").mapInPandas(sketch, "doc_id long, n long, set_id binary, keys array<long>")
+    return docs.select("doc_id", "text", F.xxhash64("text").alias("text_key")).mapInPandas(sketch, "doc_id long, text_key long, n long, set_id binary, keys array<long>")
 
 
 def common_counts(sets: list[np.ndarray]) -> np.ndarray:
@@ -221,17 +222,21 @@ def by_block(rows: DataFrame, columns: list[str], check, schema: str) -> DataFra
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 85) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept for every row of ``docs`` (doc_id, text)."""
+    """doc_id, text_key (xxhash64 of the text), n_shingles, component_id, kept for every row of ``docs`` (doc_id, text)."""
     sk = written(sketches(bounded(docs), k, percent), "sketches")
     named = sk.where((F.col("n") > 0) & F.col("doc_id").isNotNull())
-    classes = written(named.groupBy("set_id").agg(F.min(F.struct("doc_id", "n", "keys")).alias("b")).select("set_id", F.col("b.doc_id").alias("node"), "b.n", "b.keys"), "classes")
+    first = named.groupBy("set_id").agg(F.min(F.struct("doc_id", "text_key", "n", "keys")).alias("b"))
+    classes = written(first.select(F.monotonically_increasing_id().alias("node"), "set_id", "b.*"), "classes")  # numbers are fixed by the written table
     keyed = classes.select("node", F.explode("keys").alias("key"))
     lead = keyed.groupBy("key").agg(F.min("node").alias("lead"), F.count("*").alias("m")).where(F.col("m") > 1).select("key", "lead")
     shared = keyed.join(written(lead, "keys"), "key").where(F.col("node") != F.col("lead"))
     groups = components(shared.select(F.col("lead").alias("u"), F.col("node").alias("v")))
     members = groups.join(classes.select("node", "n"), "node")
     blocks = written(blocks_of(members), "blocks")
-    texts = docs.select(F.col("doc_id").alias("node"), "text")
+    wanted = blocks.join(classes.select("node", "doc_id", "text_key"), "node")
+    # One text for each class: rows that repeat it meet before they are dealt out.
+    own = docs.select("doc_id", "text", F.xxhash64("text").alias("text_key"))
+    texts = wanted.join(own, ["doc_id", "text_key"]).groupBy("node").agg(F.first("text").alias("text"))
     rows = blocks.join(texts, "node").select("node", "text", F.explode("blocks").alias("b")).select("node", "text", "b.block", "b.side")
 
     def check(part: pd.DataFrame) -> pd.DataFrame:
@@ -241,11 +246,13 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 85) -> DataFrame
         return pd.DataFrame({"u": root, "v": child})
 
     found = components(by_block(rows, ["node", "text", "side"], check, "u long, v long"), thin=False)
-    of_class = classes.select("set_id", "node").join(found, "node", "left").select("set_id", F.coalesce("component", "node").alias("component"))
-    out = sk.select("doc_id", "n", "set_id").join(written(of_class, "found"), "set_id", "left")
+    of_class = written(classes.select("set_id", "node", "doc_id").join(found, "node", "left").withColumn("group", F.coalesce("component", "node")), "grouped")
+    least = of_class.groupBy("group").agg(F.min("doc_id").alias("least"))
+    of_class = written(of_class.join(least, "group").select("set_id", F.col("least").alias("component")), "found")
+    out = sk.select("doc_id", "text_key", "n", "set_id").join(of_class, "set_id", "left")
     component = F.coalesce("component", "doc_id")
-    return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), component).alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
+    return out.select("doc_id", "text_key", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), component).alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return near_duplicates(table(spark, sf_dir, "documents"))
+    return near_duplicates(table(spark, sf_dir, "documents")).drop("text_key")

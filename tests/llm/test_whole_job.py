@@ -3,7 +3,7 @@
 import numpy as np
 from test_operators import docs, prose
 
-from tallypath.llm import components, decontamination, embedding_dedup
+from tallypath.llm import components, decontamination, embedding_dedup, minhash
 
 
 def test_every_item_of_a_large_benchmark_is_found(spark):
@@ -40,3 +40,27 @@ def test_links_within_a_dense_cluster_are_found(spark):
     label = np.arange(len(x))
     label[child] = root
     assert got == {i: (int(n), int(label[i])) for i, n in enumerate(link.sum(1))}
+
+
+def test_repeated_vector_ids_are_vectors_of_their_own(spark):
+    a, b = [1.0, 0.0, 0.0], [0.0, 1.0, 0.0]
+    rows = [(5, a), (5, b), (6, [1.0, 0.01, 0.0]), (7, b), (7, b), (None, a), (8, [1e200, 1e200, 0.0]), (9, [1e200, 1e200, 0.0]), (10, [1e-200, 1e-200, 0.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = sorted(map(tuple, embedding_dedup.near_duplicate_vectors(df).collect()), key=str)
+    want = [(5, 1, 5, True), (5, 2, 5, True), (6, 1, 5, False), (7, 2, 5, False), (7, 2, 5, False), (None, 0, None, True), (8, 2, 8, True), (9, 2, 8, False), (10, 2, 8, False)]
+    assert got == sorted(want, key=str)
+
+
+def test_repeated_document_ids_are_documents_of_their_own(spark):
+    a, b = prose(1, 60), prose(2, 60)
+    rows = [(5, a), (5, b), (6, a + " more"), (7, b + " more"), (7, b + " more"), (8, prose(3, 60)), (None, a)]
+    got = sorted(((r["doc_id"], r["component_id"], r["kept"], r["n_shingles"]) for r in minhash.near_duplicates(docs(spark, rows)).collect()), key=str)
+    assert got == sorted([(5, 5, True, 56), (5, 5, True, 56), (6, 5, False, 57), (7, 5, False, 57), (7, 5, False, 57), (8, 8, True, 56), (None, None, True, 56)], key=str)
+    apart = minhash.near_duplicates(docs(spark, [(6, a), (5, a + " x"), (5, b), (7, b + " x")])).collect()
+    assert {(r["doc_id"], r["component_id"]) for r in apart} == {(6, 5), (5, 5), (7, 5)}
+
+
+def test_one_document_repeated_many_times_is_one_class(spark):
+    a, b = prose(1, 60), prose(2, 60)
+    got = minhash.near_duplicates(docs(spark, [*[(5, a)] * 400, (6, a + " x"), (5, b)])).collect()
+    assert len(got) == 402 and {r["component_id"] for r in got} == {5} and sum(r["kept"] for r in got) == 401
