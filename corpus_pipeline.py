@@ -12,25 +12,38 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tallypath.llm import decontamination, minhash, packing, secrets, toxicity
-from tallypath.llm.common import shared_dir, table
+from tallypath.llm.common import shared_dir, table, written
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps documents whose toxicity score is below 0.5; the classifier learns from ``labels`` as op5 does."""
     model = toxicity.train(docs, table(spark, sf_dir, "labels"))
-    return toxicity.score(docs, model).where(F.col("score") < 0.5).select(*docs.columns)
+    return toxicity.score(docs, model, "__toxicity").where(F.col("__toxicity") < 0.5).select(*docs.columns)
+
+
+def _keyed(rows: DataFrame) -> DataFrame:
+    return rows.withColumnsRenamed({"doc_id": "__id", "text_key": "__key"})
+
+
+def _same_row(docs: DataFrame):
+    """Rows are told apart by id and text, so that rows of one id and rows without id are judged each on its own."""
+    return docs["doc_id"].eqNullSafe(F.col("__id")) & (F.xxhash64(docs["text"]) == F.col("__key"))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document with the smallest id of each group of near duplicates."""
-    kept = minhash.near_duplicates(docs).where("kept").select(F.col("doc_id").alias("__id")).distinct()
-    return docs.join(kept, docs["doc_id"].eqNullSafe(F.col("__id"))).select(*docs.columns)
+    """Keeps one document of each group of near duplicates (85 % of 5-word shingles): that with the smallest id, once if its row is repeated."""
+    first = minhash.near_duplicates(docs).where("first").groupBy("doc_id", "text_key").agg(F.count("*").alias("__rows"), F.max("n_shingles").alias("__n"))
+    first = written(_keyed(first), "first")
+    again = (F.col("__rows") > 1) & (F.col("__n") > 0) & F.col("__id").isNotNull()  # texts without words link with nothing
+    once = docs.join(first.where(~again), _same_row(docs)).select(*docs.columns)
+    repeated = docs.join(first.where(again), _same_row(docs)).dropDuplicates(["__id", "__key"]).select(*docs.columns)
+    return once.unionByName(repeated)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents that hold an item of ``benchmark``."""
-    leaks = decontamination.find_leaks(docs, table(spark, sf_dir, "benchmark")).select(F.col("doc_id").alias("__id")).distinct()
-    return docs.join(leaks, docs["doc_id"] == F.col("__id"), "left_anti").select(*docs.columns)
+    leaks = _keyed(decontamination.find_leaks(docs, table(spark, sf_dir, "benchmark")).select("doc_id", "text_key").distinct())
+    return docs.join(leaks, _same_row(docs), "left_anti").select(*docs.columns)
 
 
 def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

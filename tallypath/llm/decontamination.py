@@ -15,9 +15,13 @@
    benchmark passage, and for weaker ones (paraphrases) whether the answer, the last words of
    the item, is there as well.
 
+A benchmark of more than ``QUERIES`` passages is searched in several blocks of whole items; the rows are the
+same whatever the number of blocks.
+
 Defined cases: null and empty texts and items have no words and match nothing; an item
 shorter than ``SHORT`` words must occur with all its words in order; repeated documents give
-repeated rows; empty tables give an empty result; other columns are ignored.
+repeated rows; rows of ``benchmark`` with one item_id (null included) are one item; a null doc_id is kept as it
+is; very long texts are searched whole; empty tables give an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -31,7 +35,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded, release, table, written
+from .common import bounded, release, slices, table, written
 from .textnum import chunks, utf8, words
 
 TERMS = 15  # 2 ** TERMS hashed terms
@@ -42,7 +46,8 @@ PER = 3
 SHORT = 10
 ANSWER = 5
 ITEM = 96  # words of a benchmark passage at most
-QUERIES = 4096  # benchmark passages held by a task at a time
+QUERIES = 4096  # benchmark passages held by a task at a time, about
+SUMS = 64  # slices in which the tasks' matrices are added up
 SLICE = 256  # blocks of a document projected at a time
 _CLEAR = bytes(32 if i < 128 and not chr(i).isalnum() else i for i in range(256))
 
@@ -118,6 +123,13 @@ def live_terms(passages: DataFrame) -> np.ndarray:
     return np.flatnonzero(np.unpackbits(out)).astype(np.int32)
 
 
+def _summed(pdf: pd.DataFrame) -> pd.DataFrame:
+    z = np.frombuffer(pdf["z"].iloc[0], "<f4").copy()
+    for x in pdf["z"].iloc[1:]:
+        z += np.frombuffer(x, "<f4")
+    return pd.DataFrame({"slice": pdf["slice"].iloc[:1], "z": [z.tobytes()]})
+
+
 def latent_basis(passages: DataFrame, idf: np.ndarray, live: np.ndarray, rank: int = RANK, rounds: int = 3, seed: int = 3) -> np.ndarray:
     """Orthonormal (live terms, rank) basis of the leading right singular vectors of the TF-IDF passages (column ``hashes``)."""
     rank = max(1, min(rank, len(live), passages.count()))
@@ -140,11 +152,12 @@ def latent_basis(passages: DataFrame, idf: np.ndarray, live: np.ndarray, rank: i
                         z[i] += a[:, None] * (a @ q[i])[None]
                         any_ = True
             if any_:
-                yield pd.DataFrame({"z": [z.astype("<f4").tobytes()]})
+                cut = np.array_split(z.ravel(), SUMS)
+                yield pd.DataFrame({"slice": range(SUMS), "z": [x.astype("<f4").tobytes() for x in cut]})
 
-        z = np.zeros_like(q)
-        for r in passages.mapInPandas(part, "z binary").toLocalIterator():
-            z += np.frombuffer(r["z"], "<f4").reshape(z.shape)
+        # Tasks' parts are summed by slices in the executors; one matrix of fixed size reaches the driver.
+        parts = passages.mapInPandas(part, "slice int, z binary").groupBy("slice").applyInPandas(_summed, "slice int, z binary").collect()
+        z = np.concatenate([np.frombuffer(r["z"], "<f4") for r in sorted(parts, key=lambda r: r["slice"])]).reshape(q.shape).copy() if parts else np.zeros_like(q)
         q = np.linalg.qr(z + 1e-7 * q)[0].astype(np.float32)
         shared.unpersist()
     q[np.abs(z).sum(1) == 0] = 0
@@ -288,40 +301,44 @@ class Searcher:
 def find_leaks(docs: DataFrame, bench: DataFrame, cosine: float = 0.22, strong: float = 0.6, weak: float = 0.45) -> DataFrame:
     """doc_id, item_id, cosine, common_words, item_words, answer_found of every document and benchmark item that it holds."""
     spark = bounded(docs).sparkSession
-    found = None
-    kind = "doc_id long, item_id long, cosine double, common_words int, item_words int, answer_found boolean"
+    kind = "doc_id long, item_id long, cosine double, common_words int, item_words int, answer_found boolean, text_key long"
     passages = written(benchmark_passages(bench), "passages")
     n = passages.count()
-    idf = idf_weights(*document_frequencies(docs)) if n else np.zeros(1 << TERMS, np.float32)
-    live = live_terms(passages) if n else None
-    basis = latent_basis(passages, idf, live) if n else None
-    numbered = [r.asDict() for r in passages.orderBy("item_id", "part").collect()] if n <= QUERIES else None
+    if not n:
+        return spark.createDataFrame([], kind)
+    idf = idf_weights(*document_frequencies(docs))
+    live = live_terms(passages)
+    basis = latent_basis(passages, idf, live)
+    blocks = -(-n // QUERIES)
+    dealt = passages.withColumn("block", F.pmod(F.xxhash64("item_id"), F.lit(blocks))).orderBy("item_id", "part")
+    own = docs.select("doc_id", "text", F.xxhash64("text").alias("text_key"))
 
     def searched(block: list[dict]) -> DataFrame:
         shared = spark.sparkContext.broadcast((idf, live, basis, block))
 
         def go(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             w, own, q, rows = shared.value
-            s = Searcher(w, own, q, np.array([r["item_id"] for r in rows]), [np.frombuffer(r["hashes"], np.uint64) for r in rows], [np.frombuffer(r["answer"], np.uint64) for r in rows], cosine, strong, weak)
-            for pdf in batches:
-                ids = pdf["doc_id"].astype("Int64").array
-                out = [(ids[d], item, c, lcs, m, a) for d, item, c, lcs, m, a in s.search([plain(t) for t in pdf["text"]])]
+            items = list({r["item_id"]: None for r in rows})  # an item is known by its place: its id may be null
+            place = {x: i for i, x in enumerate(items)}
+            s = Searcher(w, own, q, np.array([place[r["item_id"]] for r in rows]), [np.frombuffer(r["hashes"], np.uint64) for r in rows], [np.frombuffer(r["answer"], np.uint64) for r in rows], cosine, strong, weak)
+            for pdf in (part for batch in batches for part in slices(batch, most=1 << 20)):
+                ids, keys = pdf["doc_id"].astype("Int64").array, pdf["text_key"].to_numpy()
+                out = [(ids[d], items[item], c, lcs, m, a, keys[d]) for d, item, c, lcs, m, a in s.search([plain(t) for t in pdf["text"]])]
                 if out:
-                    yield pd.DataFrame(out, columns=["doc_id", "item_id", "cosine", "common_words", "item_words", "answer_found"])
+                    out = pd.DataFrame(out, columns=["doc_id", "item_id", "cosine", "common_words", "item_words", "answer_found", "text_key"])
+                    yield out.assign(doc_id=out["doc_id"].astype("Int64"), item_id=out["item_id"].astype("Int64"))
+            del s
             release()
 
-        return docs.select("doc_id", "text").mapInPandas(go, kind)
+        return own.mapInPandas(go, kind)
 
-    if not n:
-        return spark.createDataFrame([], kind)
-    if numbered is not None:
-        return searched(numbered)
-    # A larger benchmark is searched block by block: each block is a bounded query set against all documents.
-    items = passages.withColumn("block", F.pmod(F.xxhash64("item_id", "part"), F.lit(-(-n // (QUERIES // 2)))))
-    for b in range(-(-n // (QUERIES // 2))):
-        part = searched([r.asDict() for r in items.where(F.col("block") == b).collect()])
-        found = part if found is None else found.unionByName(part)
-    return found.groupBy("doc_id", "item_id").agg(F.max_by(F.struct("cosine", "common_words", "item_words", "answer_found"), F.struct("common_words", "cosine")).alias("b")).select("doc_id", "item_id", "b.*")
+    # Each block is a bounded query set against all documents; an item lies in one block, so blocks need no merge.
+    found = None
+    for b in range(blocks):
+        rows = [r.asDict() for r in dealt.where(F.col("block") == b).drop("block").collect()]
+        if rows:
+            found = searched(rows) if found is None else found.unionByName(searched(rows))
+    return found
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

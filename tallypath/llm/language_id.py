@@ -6,12 +6,14 @@ applied, a filter's response is a sum of rows looked up by byte pair, so whole t
 few lookups a byte. A text's probabilities are the means of its windows', weighted by the
 letters in them.
 
-The network is fitted on a bounded sample: about ``per_language`` rows of each language,
-of at most ``LONGEST`` bytes, ``windows_each`` windows of each. Predictions read whole texts of all rows.
-
-Defined cases: a null text or one without letters is ``und`` with score 0; repeated rows get
-equal results; without labelled rows every text is ``und``; an empty table gives an empty
-result; other columns are ignored.
+The network is fitted on a bounded sample: about ``per_language`` rows of each language and ``total`` rows
+in all (with many languages each gets its share of them), ``windows_each`` windows of each, from a stretch
+of at most ``LONGEST`` characters whose place in the text is drawn by hash; no language is left out. Predictions read whole texts of all rows.
+
+Defined cases: a null text or one without letters (of any script; number signs are none) is ``und`` with
+score 0; repeated rows get equal results; a null id is never learned from and counts as not held out; very long
+texts are read whole; without labelled rows every text is ``und``; an empty table gives an empty
+result; other columns are ignored, and columns called like the results are replaced in ``identify``.
 """
 
 from __future__ import annotations
@@ -25,7 +27,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded, release, table
+from .common import bounded, release, table, written
 from .convnet import ConvNet, softmax
 from .textnum import utf8
 
@@ -34,12 +36,16 @@ WIDTHS = (2, 3, 4)
 PER_LANGUAGE = 1500
 LONGEST = 1 << 15
 WINDOWS_EACH = 4
-MAX_LANGUAGES = 500
-LETTER = re.compile(r"[^\W\d_]").search
+TOTAL = 12_000  # rows of the sample at most: 400 MB of text
+_ASCII_LETTER = re.compile("[A-Za-z]").search
 _IS_LETTER = np.zeros(257, np.float32)
 _IS_LETTER[1:][[*range(65, 91), *range(97, 123), *range(128, 256)]] = 1
 
 
+def has_letter(text: str) -> bool:
+    return bool(_ASCII_LETTER(text)) or any(map(str.isalpha, text))
+
+
 def windows(data: bytes) -> np.ndarray:
     """Ids (byte + 1, 0 after the end) of all windows of ``data``, one a row."""
     n = max(1, -(-len(data) // WINDOW))
@@ -82,7 +88,7 @@ class LanguageModel:
         return np.concatenate(out)
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], np.ndarray]:
-        own = [i for i, t in enumerate(texts) if t and LETTER(t)]
+        own = [i for i, t in enumerate(texts) if t and has_letter(t)]
         names, scores = ["und"] * len(texts), np.zeros(len(texts))
         if not self.languages:
             return names, scores
@@ -125,16 +131,25 @@ def fit(texts: list[str], langs: list[str], epochs: int = 4, windows_each: int =
     return LanguageModel(names, net)
 
 
-def train(docs: DataFrame, per_language: int = PER_LANGUAGE) -> LanguageModel:
-    """Model from documents with a language whose crc32(doc_id) mod 4 isn't 2: about ``per_language`` of each, by hash of the id."""
+def _stretch():
+    """``LONGEST`` characters of a longer text, from a place drawn by hash; shorter ones whole."""
+    over = F.greatest(F.length("text") - LONGEST, F.lit(0))
+    return F.substring("text", (F.pmod(F.xxhash64("text"), (over + 1).cast("long")) + 1).cast("int"), F.lit(LONGEST))
+
+
+def train(docs: DataFrame, per_language: int = PER_LANGUAGE, total: int = TOTAL) -> LanguageModel:
+    """Model from documents with a language whose crc32(doc_id) mod 4 isn't 2: about ``per_language`` of each and ``total`` in all, by hash of id and text."""
     known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & (F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(4)) != 2))
-    sizes = known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MAX_LANGUAGES).collect()
-    if not sizes:
+    known = known.select("doc_id", "lang", _stretch().alias("text"))
+    sizes = written(known.groupBy("lang").count(), "languages")
+    languages = sizes.count()
+    if not languages:
         return fit([], [])
-    share = F.coalesce(*[F.when(F.col("lang") == r["lang"], F.lit(min(1.0, per_language / r["count"]))) for r in sizes], F.lit(0.0))
-    chance = F.pmod(F.xxhash64("doc_id", F.lit("sample")), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    some = known.where(chance < share).where(F.octet_length("text") <= LONGEST).select("doc_id", "lang", "text")
-    rows = sorted(some.collect(), key=lambda r: (r["doc_id"], r["lang"]))
+    each = max(1, min(per_language, total // languages))
+    # Equal rows have one chance together, so repeated rows are drawn once.
+    order = F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 30))
+    some = known.join(sizes, "lang").where(order / F.lit(float(1 << 30)) < F.lit(1.0 * each) / F.col("count"))
+    rows = sorted(some.select("doc_id", "lang", "text").distinct().orderBy(order, "doc_id", "lang", "text").limit(total + total // 8).collect(), key=lambda r: (r["doc_id"], r["lang"], r["text"]))
     model = fit([r["text"] for r in rows], [r["lang"] for r in rows])
     del rows
     release()
@@ -160,5 +175,5 @@ def identify(docs: DataFrame, model: LanguageModel) -> DataFrame:
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     found = identify(docs.select("doc_id", "text"), train(docs))
-    held = F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(4)) == 2
+    held = F.coalesce(F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(4)) == 2, F.lit(False))
     return found.select("doc_id", held.alias("held_out"), "lang_pred", "score")

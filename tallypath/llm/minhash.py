@@ -222,7 +222,10 @@ def by_block(rows: DataFrame, columns: list[str], check, schema: str) -> DataFra
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 85) -> DataFrame:
-    """doc_id, text_key (xxhash64 of the text), n_shingles, component_id, kept for every row of ``docs`` (doc_id, text)."""
+    """doc_id, text_key (xxhash64 of the text), n_shingles, component_id, kept, first for every row of ``docs`` (doc_id, text).
+
+    ``first`` marks one text of each group (all its rows, if rows repeat id and text); ``kept`` follows the ids alone.
+    """
     sk = written(sketches(bounded(docs), k, percent), "sketches")
     named = sk.where((F.col("n") > 0) & F.col("doc_id").isNotNull())
     first = named.groupBy("set_id").agg(F.min(F.struct("doc_id", "text_key", "n", "keys")).alias("b"))
@@ -246,13 +249,13 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 85) -> DataFrame
         return pd.DataFrame({"u": root, "v": child})
 
     found = components(by_block(rows, ["node", "text", "side"], check, "u long, v long"), thin=False)
-    of_class = written(classes.select("set_id", "node", "doc_id").join(found, "node", "left").withColumn("group", F.coalesce("component", "node")), "grouped")
-    least = of_class.groupBy("group").agg(F.min("doc_id").alias("least"))
-    of_class = written(of_class.join(least, "group").select("set_id", F.col("least").alias("component")), "found")
+    of_class = written(classes.select("set_id", "node", "doc_id", "text_key").join(found, "node", "left").withColumn("group", F.coalesce("component", "node")), "grouped")
+    least = of_class.groupBy("group").agg(F.min(F.struct("doc_id", "text_key")).alias("least"))
+    of_class = written(of_class.join(least, "group").select("set_id", F.col("least.doc_id").alias("component"), F.col("least.text_key").alias("first_key")), "found")
     out = sk.select("doc_id", "text_key", "n", "set_id").join(of_class, "set_id", "left")
     component = F.coalesce("component", "doc_id")
-    return out.select("doc_id", "text_key", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), component).alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
+    return out.select("doc_id", "text_key", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), component).alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"), F.coalesce((component == F.col("doc_id")) & (F.col("first_key") == F.col("text_key")), F.lit(True)).alias("first"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return near_duplicates(table(spark, sf_dir, "documents")).drop("text_key")
+    return near_duplicates(table(spark, sf_dir, "documents")).drop("text_key", "first")

@@ -7,10 +7,14 @@ stands and no piece travels there. The reduction permanently fixes the sets that
 dominate every other set with the same largest piece; best-fit decreasing packs the rest.
 The solution is a table of runs ("pieces number a..b of length s go to sequences from q on,
 at offset o"), bounded by the capacity too. Pieces are numbered within their length by
-salted groups, so that one very common length does not meet in one task.
+salted groups of about ``GROUP`` pieces, so that one very common length does not meet in one task.
+
+``solve`` keeps the reduced solution unless plain best fit needs fewer sequences (best fit is a heuristic
+on what the reduction leaves), and says which one it took.
 
 Defined cases: a null or empty text is the end id alone (length 1); repeated rows are
-packed each on its own; an empty table gives an empty result; other columns are ignored.
+packed each on its own; a null id is kept as it is; very long texts are encoded whole and cut into pieces; an
+empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -30,7 +34,7 @@ from pyspark.sql import functions as F
 from .common import bounded, table, written
 
 MEMO = 200_000
-SALTS = 64
+GROUP = 100_000  # pieces of one length that are numbered together
 
 
 class WordIds:
@@ -198,13 +202,13 @@ def best_fit_decreasing(counts: dict[int, int], capacity: int) -> list[tuple[tup
     return [x for found in open_.values() for x in found]
 
 
-def solve(counts: dict[int, int], capacity: int) -> list[tuple[tuple[int, ...], int]]:
-    """Patterns of lengths with their number of times: reduced by dominance, then best fit; plain best fit if it is no worse."""
+def solve(counts: dict[int, int], capacity: int) -> tuple[list[tuple[tuple[int, ...], int]], str]:
+    """Patterns of lengths with their number of times, and the way taken: 'reduced' by dominance, then best fit; 'plain' best fit where that needs fewer sequences."""
     fixed, rest = reduce_by_dominance(counts, capacity)
     reduced = fixed + best_fit_decreasing(rest, capacity)
     plain = best_fit_decreasing(counts, capacity)
     total = lambda sol: sum(t for _, t in sol)
-    return reduced if total(reduced) <= total(plain) else plain
+    return (reduced, "reduced") if total(reduced) <= total(plain) else (plain, "plain")
 
 
 def runs(solution: list[tuple[tuple[int, ...], int]]) -> dict[int, np.ndarray]:
@@ -223,22 +227,27 @@ def runs(solution: list[tuple[tuple[int, ...], int]]) -> dict[int, np.ndarray]:
     return {s: np.array(v, np.int64) for s, v in out.items()}
 
 
-def numbered(parts: DataFrame) -> DataFrame:
-    """``parts`` with ``number``, counting from 0 within each length, by salted groups and sums of their sizes."""
-    salted = parts.withColumn("salt", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(SALTS)).cast("int"))
+def numbered(parts: DataFrame, counts: dict[int, int]) -> DataFrame:
+    """``parts`` with ``number``, counting from 0 within each length, by salted groups and sums of their sizes.
+
+    ``counts`` are the pieces of each length: their number of groups follows from it.
+    """
+    rows = [(s, -(-n // GROUP)) for s, n in counts.items()]
+    salts = F.broadcast(parts.sparkSession.createDataFrame(rows, "length long, salts long"))  # a row for each length, ``capacity`` at most
+    salted = parts.join(salts, "length").withColumn("salt", F.pmod(F.xxhash64("row"), F.col("salts")).cast("int")).drop("salts")
     sizes = salted.groupBy("length", "salt").count()
     before = Window.partitionBy("length").orderBy("salt").rowsBetween(Window.unboundedPreceding, -1)
     sizes = sizes.select("length", "salt", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("first"))
-    within = Window.partitionBy("length", "salt").orderBy("doc_id", "piece")
+    within = Window.partitionBy("length", "salt").orderBy("row")
     ranked = salted.withColumn("rank", F.row_number().over(within) - 1)
     return ranked.join(sizes, ["length", "salt"]).withColumn("number", F.col("first") + F.col("rank")).drop("salt", "rank", "first")
 
 
 def pack(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", end_id: int = 1, capacity: int = 4096) -> DataFrame:
     """Packs ``docs`` (doc_id, text); a row per piece with its sequence and offset."""
-    parts = written(pieces(bounded(docs), tokenizer, end_id, capacity), "pieces")
+    parts = written(pieces(bounded(docs), tokenizer, end_id, capacity).withColumn("row", F.monotonically_increasing_id()), "pieces")
     counts = {r["length"]: r["n"] for r in parts.groupBy("length").agg(F.count("*").alias("n")).collect()}  # at most ``capacity`` rows
-    where = parts.sparkSession.sparkContext.broadcast(runs(solve(counts, capacity)))
+    where = parts.sparkSession.sparkContext.broadcast(runs(solve(counts, capacity)[0]))
 
     def placed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
@@ -252,7 +261,7 @@ def pack(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", end_id: int = 1,
                 offset[at] = r[i, 2]
             yield pdf.drop(columns="number").assign(sequence_id=sequence, offset=offset)
 
-    return numbered(parts).select("doc_id", "piece", "start", "length", "ids_crc32", "number").mapInPandas(
+    return numbered(parts, counts).select("doc_id", "piece", "start", "length", "ids_crc32", "number").mapInPandas(
         placed, "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long"
     )
 

@@ -7,9 +7,14 @@ distinct owners. A value seen under ``widely`` owners or more is a copied exampl
 stays with fewer is owner-specific and live-looking, and its spans are added. The same counts
 tell each base span whether its value is an example, so that a caller can spare those.
 
+Owners are people or organisations, repositories what they own; a value in one repository of each
+of several owners is an example, one in many repositories of a single owner is still that owner's. Spans
+carry both counts. A text is read in time proportional to its length.
+
 Defined cases: a null or empty text has no spans; a null repository or owner counts as one
 unnamed repository or owner; repeated rows count once in the frequencies (they are distinct
-counts) and give repeated results; an empty table gives an empty result.
+counts) and give repeated results; a null id is kept as it is; very long texts are scanned whole; an empty
+table gives an empty result; other columns are ignored, also those called like the operator's own.
 """
 
 from __future__ import annotations
@@ -46,6 +51,18 @@ def base_spans(text: str) -> list[tuple[str, int, int, str]]:
     return [(KINDS[k], a, b, v) for a, k, b, v in sorted(found)]
 
 
+def untouched(base: list[tuple[str, int, int, str]], text: str) -> Iterator[re.Match]:
+    """Candidates of ``text`` that overlap no base span: one sweep over both, each in order of start."""
+    spans = sorted((a, b) for _, a, b, _ in base)
+    at, reach = 0, -1
+    for m in CANDIDATE.finditer(text):
+        while at < len(spans) and spans[at][0] < m.end():
+            reach = max(reach, spans[at][1])
+            at += 1
+        if reach <= m.start() and looks_random(m[0]):
+            yield m
+
+
 def looks_random(value: str) -> bool:
     """Mixed enough for a credential: digits among letters, and few repeats."""
     digits = sum(c.isdigit() for c in value)
@@ -68,39 +85,44 @@ def scan(docs: DataFrame, text_col: str = "text") -> DataFrame:
                 if t:
                     base = base_spans(t)
                     got = [{"kind": k, "start": a, "end": b, "value": digest(v), "base": True} for k, a, b, v in base]
-                    for m in CANDIDATE.finditer(t):
-                        if looks_random(m[0]) and not any(a < m.end() and m.start() < b for _, a, b, _ in base):
-                            got.append({"kind": "owned", "start": m.start(), "end": m.end(), "value": digest(m[0]), "base": False})
+                    for m in untouched(base, t):
+                        got.append({"kind": "owned", "start": m.start(), "end": m.end(), "value": digest(m[0]), "base": False})
                 out.append(got)
             yield pd.Series(out)
 
     return docs.withColumn("spans", spans(F.col(text_col)))
 
 
-def ownership(scanned: DataFrame, repo_col: str, owner_col: str) -> DataFrame:
-    """value -> distinct repositories and owners over the whole corpus; rows of one value and owner meet before they are dealt out."""
-    each = scanned.where(F.size("spans") > 0).select(
-        F.coalesce(F.col(repo_col).cast("string"), F.lit("")).alias("repo"), F.coalesce(F.col(owner_col).cast("string"), F.lit("")).alias("owner"), F.explode("spans.value").alias("value")
-    )
+def _named(docs: DataFrame, **columns: str) -> DataFrame:
+    """The given columns of ``docs`` under names of the operator's own."""
+    return docs.select(*[F.col(c).alias(k) for k, c in columns.items()])
+
+
+def ownership(scanned: DataFrame) -> DataFrame:
+    """value -> distinct repositories and owners over the whole corpus, of ``scanned`` (repo, owner, spans); equal rows meet before they are dealt out."""
+    named = lambda c: F.coalesce(F.col(c).cast("string"), F.lit("")).alias(c)
+    each = scanned.where(F.size("spans") > 0).select(named("repo"), named("owner"), F.explode("spans.value").alias("value"))
     by = each.groupBy("value", "owner", "repo").agg(F.count("*").alias("n"))
-    return by.groupBy("value").agg(F.count_distinct("repo").alias("repos"), F.count_distinct("owner").alias("owners"), F.sum("n").alias("copies"))
+    return by.groupBy("value").agg(F.count_distinct("owner", "repo").alias("repos"), F.count_distinct("owner").alias("owners"), F.sum("n").alias("copies"))
+
+
+FOUND = "array<struct<start:int,end:int,kind:string,base:boolean,value:string,owners:bigint,repos:bigint,live:boolean>>"
 
 
 def find_secrets(docs: DataFrame, id_col: str = "doc_id", repo_col: str = "source", owner_col: str = "source", widely: int = 3) -> DataFrame:
-    """A row per row of ``docs``: ``id_col``, a hash of the text and ``spans`` with ``owners`` and ``live`` (seen under fewer than ``widely`` owners).
+    """A row per row of ``docs``: ``id_col``, ``text_key`` (hash of the text) and ``spans`` with ``owners``, ``repos`` and ``live`` (seen under fewer than ``widely`` owners).
 
     Candidates of widely copied values are left out; base spans always stay.
     """
-    cols = list(dict.fromkeys([id_col, repo_col, owner_col]))
-    scanned = written(scan(bounded(docs).select(*cols, "text")).withColumn("text_key", F.xxhash64("text")).drop("text").withColumn("row", F.monotonically_increasing_id()), "secrets")
-    owners = ownership(scanned, repo_col, owner_col)
+    own = _named(bounded(docs), id=id_col, repo=repo_col, owner=owner_col, text="text")
+    scanned = written(scan(own).withColumn("text_key", F.xxhash64("text")).drop("text").withColumn("row", F.monotonically_increasing_id()), "secrets")
+    seen = ownership(scanned)
     each = scanned.where(F.size("spans") > 0).select("row", F.explode("spans").alias("s")).withColumn("value", F.col("s.value"))
-    judged = each.join(owners, "value").where(F.col("s.base") | (F.col("owners") < widely))
-    back = judged.groupBy("row").agg(
-        F.collect_list(F.struct(F.col("s.start").alias("start"), F.col("s.end").alias("end"), F.col("s.kind").alias("kind"), F.col("s.base").alias("base"), F.col("value"), F.col("owners"), (F.col("owners") < widely).alias("live"))).alias("found")
-    )
-    none = F.array().cast("array<struct<start:int,end:int,kind:string,base:boolean,value:string,owners:bigint,live:boolean>>")
-    return scanned.select("row", id_col, "text_key").join(back, "row", "left").select(id_col, "text_key", F.coalesce("found", none).alias("spans"))
+    judged = each.join(seen, "value").where(F.col("s.base") | (F.col("owners") < widely))
+    span = F.struct(F.col("s.start").alias("start"), F.col("s.end").alias("end"), F.col("s.kind").alias("kind"), F.col("s.base").alias("base"), "value", "owners", "repos", (F.col("owners") < widely).alias("live"))
+    back = judged.groupBy("row").agg(F.collect_list(span).alias("found"))
+    none = F.array().cast(FOUND)
+    return scanned.select("row", "id", "text_key").join(back, "row", "left").select(F.col("id").alias(id_col), "text_key", F.coalesce("found", none).alias("spans"))
 
 
 def _order(spans: str):

@@ -6,8 +6,9 @@ Vocabulary strings that the tokenizer itself encodes alone as one token (proved
 worker by encoding the vocabulary) count as 1 without any merging; only the other pieces
 are merged, each distinct one once per worker while the bounded memo holds it.
 
-Defined cases: a null text counts as empty (0 bytes, 0 tokens); repeated rows give repeated
-results; an empty table gives an empty result; other columns are ignored.
+Defined cases: a null text counts as empty (0 bytes, 0 tokens); a null id is kept as it is; very long texts
+are counted whole, piece by piece; repeated rows give repeated results; an empty table gives an
+empty result; other columns are ignored.
 """
 
 from __future__ import annotations

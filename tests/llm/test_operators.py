@@ -240,8 +240,8 @@ def test_language_id(spark):
     model = language_id.fit([t for _, t in texts[:150]], [x for x, _ in texts[:150]]).prepare()
     names, scores = model.predict([t for _, t in texts[150:]])
     assert sum(a == b for a, (b, _) in zip(names, texts[150:])) >= 48 and (scores <= 1).all()
-    got = language_id.identify(docs(spark, [*ODD, (8, "123 .. 4")]), model).select("doc_id", "text", "lang_pred").collect()
-    assert {x["lang_pred"] for x in got if not x["text"] or not language_id.LETTER(x["text"])} == {"und"} and len(got) == len(ODD) + 1
+    got = language_id.identify(docs(spark, [*ODD, (8, "123 .. 4"), (9, "½ ² ① Ⅷ")]), model).select("doc_id", "text", "lang_pred").collect()
+    assert {x["lang_pred"] for x in got if not x["text"] or not language_id.has_letter(x["text"])} == {"und"} and len(got) == len(ODD) + 2
     assert language_id.identify(docs(spark, []), model).count() == 0
     assert language_id.fit([], []).predict(["abc"])[0] == ["und"]
 
