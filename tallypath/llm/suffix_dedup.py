@@ -11,7 +11,9 @@ that share an anchor ("segment"), instead of those at all bytes.
 2. Tasks sort the anchored suffixes that pass into runs, front-coded (length of the prefix
    shared with the suffix before, then the rest), cut by hash of the anchor. A segment equal
    to an earlier one of the same run is settled at once, so a passage that many documents
-   share costs a row per run.
+   share costs a row per run. An anchor that is in more segments than a share of 2 ** -HOT_BITS is dealt by its
+   surroundings instead: a window with ``HALF`` bytes or more before the anchor holds these, any other
+   window holds ``HALF`` bytes after it, so equal windows still meet.
 3. Runs of a bucket are merged by a loser tree whose comparisons start where the known common
    prefixes end. The merge yields sorted suffixes with common prefix lengths; for each
    distance l from window start to anchor, windows are equal where the sorted suffixes share
@@ -20,9 +22,11 @@ that share an anchor ("segment"), instead of those at all bytes.
 4. A segment's removed windows always overlap, so it reports one span. Spans of a document
    are united and cut out of its bytes.
 
+Hashes only bring windows together; before anything is removed their bytes are compared.
+
 Defined cases: a null or empty text has no bytes and nothing removed; texts shorter than
-``LENGTH`` lose nothing; rows that repeat a doc_id share their spans only with rows of the
-same text (rows are told apart by id and text); two rows of the same id and text count as one
+``LENGTH`` lose nothing; rows that repeat a doc_id are told apart by a hash of the text, which also orders them;
+two rows of the same id and text count as one
 text; a row with a null id comes before all others; an empty table gives an empty result;
 other columns are ignored.
 """
@@ -38,7 +42,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded, release, slices, table
+from .common import bounded, release, slices, table, written
 from .textnum import chunks, mix, utf8
 
 LENGTH = 100
@@ -54,6 +58,9 @@ _SIZE = PIECE * 2
 _POW = np.cumprod(np.full(_SIZE, _BASE, np.uint64))
 _INV = np.cumprod(np.full(_SIZE, pow(_BASE, -1, 1 << 64), np.uint64))
 _NULL_ID = -(1 << 63)
+HALF = (LENGTH - GRAM) // 2  # 38
+HOT_BITS = 14
+HOT = 4096  # and at least of so many segments
 
 
 def _least(v: np.ndarray, width: int) -> np.ndarray:
@@ -147,11 +154,11 @@ def common_prefix(a: bytes, b: bytes, known: int) -> int:
     return known + n - (differ.bit_length() + 7) // 8
 
 
-def pack_run(ids, starts, lefts, wins, left_bytes: list[bytes], rights: list[bytes]) -> bytes:
+def pack_run(ids, alts, starts, lefts, wins, left_bytes: list[bytes], rights: list[bytes]) -> bytes:
     """A run of sorted suffixes as bytes: its columns, then the front-coded suffixes."""
     shared, rest = front_coded(rights)
     n = np.array([len(ids)], "<u4").tobytes()
-    cols = [np.asarray(ids, "<i8"), np.asarray(starts, "<i8"), np.asarray(lefts, "u1"), np.asarray(wins, "u1"), np.asarray(shared, "u1"), np.asarray([len(r) for r in rest], "u1")]
+    cols = [np.asarray(ids, "<i8"), np.asarray(alts, "<i8"), np.asarray(starts, "<i8"), np.asarray(lefts, "u1"), np.asarray(wins, "u1"), np.asarray(shared, "u1"), np.asarray([len(r) for r in rest], "u1")]
     data = n + b"".join(c.tobytes() for c in cols) + b"".join(left_bytes) + b"".join(rest)
     return np.array([len(data)], "<u4").tobytes() + pa.compress(data, "zstd", asbytes=True)
 
@@ -163,10 +170,10 @@ class Run:
         data = pa.decompress(packed[4:], int(np.frombuffer(packed, "<u4", 1)[0]), "zstd", asbytes=True)
         n = int(np.frombuffer(data, "<u4", 1)[0])
         at, cols = 4, []
-        for kind, width in (("<i8", 8), ("<i8", 8), ("u1", 1), ("u1", 1), ("u1", 1), ("u1", 1)):
+        for kind, width in (("<i8", 8), ("<i8", 8), ("<i8", 8), ("u1", 1), ("u1", 1), ("u1", 1), ("u1", 1)):
             cols.append(np.frombuffer(data, kind, n, at))
             at += n * width
-        self.ids, self.starts, self.lefts, self.wins, shared, rest = cols
+        self.ids, self.alts, self.starts, self.lefts, self.wins, shared, rest = cols
         self.n, self.shared, self.rest = n, shared.tolist(), rest.tolist()
         edge = at + np.concatenate([[0], np.cumsum(self.lefts, dtype=np.int64)])
         self.left = [data[a:b] for a, b in zip(edge[:-1], edge[1:])]
@@ -238,8 +245,8 @@ def merged(runs: list[Run]) -> Iterator[tuple[int, int, int, bytes]]:
             node //= 2
 
 
-def repeated_spans(runs: list[Run]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(id, start, end) of what the segments of one bucket lose: windows equal to an earlier one."""
+def repeated_spans(runs: list[Run]) -> tuple[np.ndarray, ...]:
+    """(id, alt, start, end) of what the segments of one bucket lose: windows equal to an earlier one."""
     which, index, lcp, text = [], [], [], []
     for r, i, n, s in merged(runs):
         which.append(r)
@@ -247,25 +254,23 @@ def repeated_spans(runs: list[Run]) -> tuple[np.ndarray, np.ndarray, np.ndarray]
         lcp.append(n)
         text.append(s)
     if not which:
-        none = np.zeros(0, np.int64)
-        return none, none, none
+        return (np.zeros(0, np.int64),) * 4
     lcp_ = np.array(lcp)
     # A suffix alone within its gram has nothing to be compared with.
     near = lcp_ >= GRAM
     near[:-1] |= near[1:].copy()
     keep = np.flatnonzero(near)
     if not len(keep):
-        none = np.zeros(0, np.int64)
-        return none, none, none
+        return (np.zeros(0, np.int64),) * 4
     get = lambda name, kind: np.array([getattr(runs[which[i]], name)[index[i]] for i in keep], kind)
-    ids, starts, lefts, wins = get("ids", np.int64), get("starts", np.int64), get("lefts", np.int64), get("wins", np.int64)
+    ids, alts, starts, lefts, wins = get("ids", np.int64), get("alts", np.int64), get("starts", np.int64), get("lefts", np.int64), get("wins", np.int64)
     lcp_ = lcp_[keep]
     most = int(lefts.max())
     before = np.zeros((len(keep), most), np.uint8)  # column l: the byte l + 1 places before the anchor
     for row, i in enumerate(keep):
         x = runs[which[i]].left[index[i]]
         before[row, : len(x)] = np.frombuffer(x, np.uint8)[::-1]
-    order = np.lexsort((starts, ids))
+    order = np.lexsort((starts, alts, ids))
     rank = np.empty(len(keep), np.int64)
     rank[order] = np.arange(len(keep))
     low, high = np.full(len(keep), -1), np.full(len(keep), -1)
@@ -280,15 +285,15 @@ def repeated_spans(runs: list[Run]) -> tuple[np.ndarray, np.ndarray, np.ndarray]
         h = hashed[sel]
         by = np.lexsort((rank[sel], h, group))
         same = (group[by][1:] == group[by][:-1]) & (h[by][1:] == h[by][:-1])
-        again = sel[by[1:][same]]
+        again, first = sel[by[1:][same]], sel[by[:-1][same]]
         # The same window cannot stand twice at one place: equal places are repeated rows.
-        twin = (ids[again] == ids[sel[by[:-1][same]]]) & (starts[again] + lefts[again] == starts[sel[by[:-1][same]]] + lefts[sel[by[:-1][same]]])
-        again = again[~twin]
+        twin = (ids[again] == ids[first]) & (alts[again] == alts[first]) & (starts[again] + lefts[again] == starts[first] + lefts[first])
+        again = again[~twin & (before[again, :l] == before[first, :l]).all(1)]
         high[again] = np.maximum(high[again], l)
         low[again] = np.where(low[again] < 0, l, low[again])
     hit = np.flatnonzero(high >= 0)
     anchor = starts[hit] + lefts[hit]
-    return ids[hit], anchor - high[hit], anchor - low[hit] + LENGTH
+    return ids[hit], alts[hit], anchor - high[hit], anchor - low[hit] + LENGTH
 
 
 def united(a: np.ndarray, b: np.ndarray) -> list[tuple[int, int]]:
@@ -302,18 +307,22 @@ def united(a: np.ndarray, b: np.ndarray) -> list[tuple[int, int]]:
     return [(x, y) for x, y in out]
 
 
-def anchor_filter(docs: DataFrame, bits: int) -> np.ndarray:
-    """Bitmap of 2 ** bits bits by anchor hash: set where an anchor occurs twice or more. Its size doesn't depend on the corpus."""
+def anchor_counts(docs: DataFrame) -> DataFrame:
+    """(key, n): anchor hashes that occur twice or more, with the segments that have them; one row a key."""
 
     def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in (part for batch in batches for part in slices(batch, most=FLUSH)):
             texts = [utf8(t) for t in pdf["text"]]
             for lo, hi in chunks(texts, 2 * FLUSH):
                 key, n = np.unique(segments(texts[lo:hi])[4], return_counts=True)
-                yield pd.DataFrame({"key": key.astype(np.int64), "n": np.minimum(n, 2).astype(np.int32)})
+                yield pd.DataFrame({"key": key.astype(np.int64), "n": n})
         release()
 
-    keys = docs.select("text").mapInPandas(count, "key long, n int").groupBy("key").agg(F.sum("n").alias("n")).where(F.col("n") > 1)
+    return docs.select("text").mapInPandas(count, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).where(F.col("n") > 1)
+
+
+def anchor_filter(keys: DataFrame, bits: int) -> np.ndarray:
+    """Bitmap of 2 ** bits bits by anchor hash: set for the ``keys``. Its size doesn't depend on the corpus."""
     width = (1 << bits) // SLICES
     place = F.shiftrightunsigned("key", 64 - bits)
     placed = keys.select(F.floor(place / width).cast("int").alias("slice"), (place % width).cast("int").alias("at"))
@@ -332,15 +341,35 @@ def anchor_filter(docs: DataFrame, bits: int) -> np.ndarray:
     return out
 
 
-def sorted_runs(docs: DataFrame, filter_: np.ndarray, bits: int, buckets: int) -> DataFrame:
-    """Rows (bucket, run) of front-coded suffixes, and rows (id, a, b) without a run: spans settled within a task, dealt to any bucket."""
-    shared = docs.sparkSession.sparkContext.broadcast(filter_)
+def parted(texts: list[bytes], hot: np.ndarray, t, start, win, anchor, key, content):
+    """The segments, those of ``hot`` anchors cut in two by how many bytes stand before the anchor, and keyed by what all their windows hold."""
+    at = np.searchsorted(hot, key)
+    wide = np.flatnonzero(hot[np.minimum(at, len(hot) - 1)] == key) if len(hot) else np.zeros(0, int)
+    if not len(wide):
+        return t, start, win, anchor, key, content
+    out = []
+    for i in wide.tolist():
+        p, most = int(anchor[i]), int(anchor[i] - start[i])
+        least, data = most - int(win[i]) + 1, texts[t[i]]
+        for lo, hi, a, b in ((max(least, HALF), most, p - HALF, p + GRAM), (least, min(most, HALF - 1), p, p + GRAM + HALF)):
+            if lo <= hi:
+                code = [int.from_bytes(hashlib.blake2b(x, digest_size=8).digest(), "little") for x in (data[a:b], data[p - hi : p - lo + LENGTH])]
+                out.append((t[i], p - hi, hi - lo + 1, p, code[0], code[1]))
+    rest = np.ones(len(t), bool)
+    rest[wide] = False
+    new = list(zip(*out))
+    return tuple(np.concatenate([x[rest], np.array(y, x.dtype)]) for x, y in zip((t, start, win, anchor, key, content), new))
+
+
+def sorted_runs(docs: DataFrame, filter_: np.ndarray, bits: int, buckets: int, hot: np.ndarray) -> DataFrame:
+    """Rows (bucket, run) of front-coded suffixes, and rows (id, alt, a, b) without a run: spans settled within a task, dealt to any bucket."""
+    shared = docs.sparkSession.sparkContext.broadcast((filter_, hot))
 
     def make(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        seen = shared.value
+        seen, wide = shared.value
         for pdf in (part for batch in batches for part in slices(batch, most=FLUSH)):
             texts = [utf8(t) for t in pdf["text"]]
-            ids = pdf["id"].to_numpy(np.int64)
+            ids, alts = pdf["id"].to_numpy(np.int64), pdf["alt"].to_numpy(np.int64)
             for lo, hi in chunks(texts, 2 * FLUSH):
                 t, start, win, anchor, key, content = segments(texts[lo:hi])
                 place = (key >> np.uint64(64 - bits)).astype(np.int64)
@@ -348,22 +377,27 @@ def sorted_runs(docs: DataFrame, filter_: np.ndarray, bits: int, buckets: int) -
                 t, start, win, anchor, key, content = (x[own] for x in (t, start, win, anchor, key, content))
                 if not len(t):
                     continue
-                id_ = ids[lo:hi][t]
+                base = texts[lo:hi]
+                t, start, win, anchor, key, content = parted(base, wide, t, start, win, anchor, key, content)
+                id_, alt = ids[lo:hi][t], alts[lo:hi][t]
                 left = anchor - start
-                by = np.lexsort((start, id_, left, win, content, key))
+                by = np.lexsort((start, alt, id_, left, win, content, key))
                 same = np.zeros(len(by), bool)
                 a, b = by[1:], by[:-1]
                 same[1:] = (key[a] == key[b]) & (content[a] == content[b]) & (win[a] == win[b]) & (left[a] == left[b])
+                for k in np.flatnonzero(same).tolist():  # equal hashes, equal bytes?
+                    x, y, n = by[k], by[k - 1], int(win[by[k]]) - 1 + LENGTH
+                    same[k] = base[t[x]][start[x] : start[x] + n] == base[t[y]][start[y] : start[y] + n]
                 twin = np.zeros(len(by), bool)
-                twin[1:] = same[1:] & (id_[a] == id_[b]) & (start[a] == start[b])
+                twin[1:] = same[1:] & (id_[a] == id_[b]) & (alt[a] == alt[b]) & (start[a] == start[b])
                 later = by[same & ~twin]
                 if len(later):
                     rows = []
                     order = later[np.lexsort((start[later], t[later]))]
                     cut = np.flatnonzero(t[order][1:] != t[order][:-1]) + 1
                     for part in np.split(order, cut):
-                        rows += [(int(id_[part[0]]), x, y) for x, y in united(start[part], start[part] + win[part] - 1 + LENGTH)]
-                    yield pd.DataFrame({"bucket": np.array([abs(hash((r[0], r[1]))) % buckets for r in rows], np.int32), "run": None, "id": [r[0] for r in rows], "a": [r[1] for r in rows], "b": [r[2] for r in rows]})
+                        rows += [(int(id_[part[0]]), int(alt[part[0]]), x, y) for x, y in united(start[part], start[part] + win[part] - 1 + LENGTH)]
+                    yield pd.DataFrame({"bucket": np.array([abs(hash((r[0], r[2]))) % buckets for r in rows], np.int32), "run": None, "id": [r[0] for r in rows], "alt": [r[1] for r in rows], "a": [r[2] for r in rows], "b": [r[3] for r in rows]})
                 one = by[~same]
                 bucket = ((mix(key[one]) >> np.uint64(33)) % np.uint64(buckets)).astype(np.int64)
                 one, bucket = one[np.argsort(bucket, kind="stable")], np.sort(bucket, kind="stable")
@@ -371,33 +405,32 @@ def sorted_runs(docs: DataFrame, filter_: np.ndarray, bits: int, buckets: int) -
                 names, runs = [], []
                 for part, name in zip(np.split(one, cut), bucket[np.concatenate([[0], cut]).astype(int)] if len(one) else []):
                     end = start[part] + win[part] - 1 + LENGTH
-                    base = texts[lo:hi]
                     rights = [base[x][p:e] for x, p, e in zip(t[part].tolist(), anchor[part].tolist(), end.tolist())]
                     seq = sorted(range(len(part)), key=rights.__getitem__)
                     part = part[seq]
                     lefts = [base[x][s:p] for x, s, p in zip(t[part].tolist(), start[part].tolist(), anchor[part].tolist())]
                     names.append(int(name))
-                    runs.append(pack_run(id_[part], start[part], left[part], win[part], lefts, [rights[i] for i in seq]))
-                yield pd.DataFrame({"bucket": np.array(names, np.int32), "run": runs, "id": np.int64(0), "a": np.int64(0), "b": np.int64(0)})
+                    runs.append(pack_run(id_[part], alt[part], start[part], left[part], win[part], lefts, [rights[i] for i in seq]))
+                yield pd.DataFrame({"bucket": np.array(names, np.int32), "run": runs, "id": np.int64(0), "alt": np.int64(0), "a": np.int64(0), "b": np.int64(0)})
 
-    return docs.select("id", "text").mapInPandas(make, "bucket int, run binary, id long, a long, b long")
+    return docs.select("id", "alt", "text").mapInPandas(make, "bucket int, run binary, id long, alt long, a long, b long")
 
 
 def merged_spans(runs: DataFrame) -> DataFrame:
-    """Spans (id, a, b) found by merging the runs of each bucket."""
+    """Spans (id, alt, a, b) found by merging the runs of each bucket."""
 
     def merge(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         name, held = None, []
 
         def settle() -> Iterator[pd.DataFrame]:
-            i, a, b = repeated_spans([Run(x) for x in held])
+            i, alt, a, b = repeated_spans([Run(x) for x in held])
             if len(i):
-                yield pd.DataFrame({"id": i, "a": a, "b": b})
+                yield pd.DataFrame({"id": i, "alt": alt, "a": a, "b": b})
 
         for pdf in batches:
             local = pdf["run"].isna()
             if local.any():
-                yield pdf.loc[local, ["id", "a", "b"]]
+                yield pdf.loc[local, ["id", "alt", "a", "b"]]
                 pdf = pdf[~local]
             for bucket, run in zip(pdf["bucket"].tolist(), pdf["run"]):
                 if bucket != name and held:
@@ -409,7 +442,7 @@ def merged_spans(runs: DataFrame) -> DataFrame:
             yield from settle()
         release()
 
-    return runs.repartition("bucket").sortWithinPartitions("bucket").mapInPandas(merge, "id long, a long, b long")
+    return runs.repartition("bucket").sortWithinPartitions("bucket").mapInPandas(merge, "id long, alt long, a long, b long")
 
 
 def filter_bits(total: int) -> int:
@@ -419,14 +452,18 @@ def filter_bits(total: int) -> int:
 
 def repeated(docs: DataFrame, bits: int | None = None, bucket_bytes: int = 2 << 20) -> DataFrame:
     """doc_id, text, found: the spans (a, b) that each row of ``docs`` (doc_id, text) loses, not yet united; null for none."""
-    own = bounded(docs).select("doc_id", "text")
-    placed = own.select(F.coalesce("doc_id", F.lit(_NULL_ID)).alias("id"), "text")
+    own = bounded(docs).select("doc_id", "text", F.coalesce("doc_id", F.lit(_NULL_ID)).alias("id"))
+    again = written(own.groupBy("id").agg(F.count("*").alias("n")).where(F.col("n") > 1).select("id", F.lit(True).alias("again")), "repeated-ids")
+    placed = own.join(again, "id", "left").withColumn("alt", F.when(F.col("again"), F.xxhash64("text")).otherwise(F.lit(0).cast("long"))).select("doc_id", "text", "id", "alt")
     total = own.agg(F.sum(F.octet_length("text").cast("long"))).first()[0] or 0
     bits = bits or filter_bits(total)
-    filter_ = anchor_filter(placed, bits)
-    spans = merged_spans(sorted_runs(placed, filter_, bits, max(1, -(-total // bucket_bytes))))
-    by_doc = spans.groupBy("id").agg(F.collect_list("a").alias("a"), F.collect_list("b").alias("b"))
-    return own.withColumn("id", F.coalesce("doc_id", F.lit(_NULL_ID))).join(by_doc, "id", "left").select("doc_id", "text", "a", "b")
+    keys = written(anchor_counts(own), "anchors")
+    filter_ = anchor_filter(keys, bits)
+    wide = max(HOT, (keys.agg(F.sum("n")).first()[0] or 0) >> HOT_BITS)
+    hot = np.sort(np.array([r["key"] for r in keys.where(F.col("n") > wide).collect()], np.int64).astype(np.uint64))  # 2 ** HOT_BITS at most
+    spans = merged_spans(sorted_runs(placed, filter_, bits, max(1, -(-total // bucket_bytes)), hot))
+    by_doc = spans.groupBy("id", "alt").agg(F.collect_list("a").alias("a"), F.collect_list("b").alias("b"))
+    return placed.join(by_doc, ["id", "alt"], "left").select("doc_id", "text", "a", "b")
 
 
 def _cut(text: str | None, a, b) -> tuple[int, list[tuple[int, int]], bytes]:

@@ -151,7 +151,7 @@ def test_loser_tree_merges_front_coded_runs():
     runs = []
     for k in range(7):
         own = sorted(strings[k::7])
-        runs.append(suffix_dedup.Run(suffix_dedup.pack_run([0] * len(own), range(len(own)), [0] * len(own), [1] * len(own), [b""] * len(own), own)))
+        runs.append(suffix_dedup.Run(suffix_dedup.pack_run([0] * len(own), [0] * len(own), range(len(own)), [0] * len(own), [1] * len(own), [b""] * len(own), own)))
     out, last = [], b""
     for _, _, n, s in suffix_dedup.merged(runs):
         assert n == suffix_dedup.common_prefix(last, s, 0)

@@ -3,7 +3,7 @@
 import numpy as np
 from test_operators import docs, prose
 
-from tallypath.llm import components, decontamination, embedding_dedup, minhash, secrets
+from tallypath.llm import components, decontamination, embedding_dedup, minhash, secrets, suffix_dedup, textnum
 
 
 def test_every_item_of_a_large_benchmark_is_found(spark):
@@ -121,3 +121,28 @@ def test_the_pipeline_judges_rows_by_id_and_text(spark):
     df = docs(spark, rows)
     kept = cp.drop_near_duplicates(spark, df, "").collect()
     assert sorted(((r["doc_id"], r["text"], r["score"]) for r in kept), key=str) == sorted([(5, a, 0.5), (5, b, 0.5), (None, a, 0.5), (None, a, 0.5), (7, "", 0.5), (7, "", 0.5)], key=str)
+
+
+def test_repeated_ids_lose_only_their_own_bytes(spark):
+    a, b, c = prose(1, 60), prose(2, 60), prose(3, 60)
+    rows = [(1, a), (5, b), (5, a + " " + c), (None, prose(4, 60)), (None, prose(5, 60) + " " + b), (9, c), (9, c)]
+    got = {}
+    for r in suffix_dedup.remove_repeats(docs(spark, rows)).collect():
+        got.setdefault((r["doc_id"], r["n_bytes"]), set()).add(r["n_bytes"] - len(r["kept"]))
+    alone = {(1, len(a)): {0}, (None, len(rows[3][1])): {0}, (None, len(rows[4][1])): {0}, (5, len(b)): {len(b)}, (9, len(c)): {len(c)}}
+    assert {k: got[k] for k in alone} == alone
+    assert got[5, len(rows[2][1])] == {len(a)}
+
+
+def test_a_hot_anchor_is_split_by_its_surroundings(spark, monkeypatch):
+    monkeypatch.setattr(suffix_dedup, "HOT", 8)
+    hot = prose(1, 20)[:75]
+    rows = [(i, f"{prose(10 + i, 20)} {hot} {prose(500 + i // 2, 20)}") for i in range(60)] + [(90 + i, f"{prose(10 + i, 20)} {hot} {prose(700 + i, 20)}") for i in range(40)]
+    want = suffix_dedup.brute_force({i: textnum.utf8(t) for i, t in rows})
+    assert {r["doc_id"]: bytes(r["kept"]) for r in suffix_dedup.remove_repeats(docs(spark, rows)).collect()} == want
+    t, start, win, anchor, key, content = suffix_dedup.segments([textnum.utf8(x) for _, x in rows])
+    keys, n = np.unique(key, return_counts=True)
+    assert n.max() > 8
+    texts = [textnum.utf8(x) for _, x in rows]
+    split = suffix_dedup.parted(texts, np.sort(keys[n > 8]), t, start, win, anchor, key, content)
+    assert np.unique(split[4], return_counts=True)[1].max() < n.max() and split[2].sum() == win.sum()
