@@ -136,7 +136,7 @@ def test_repeated_ids_lose_only_their_own_bytes(spark):
 
 def test_a_hot_anchor_is_split_by_its_surroundings(spark, monkeypatch):
     monkeypatch.setattr(suffix_dedup, "HOT", 8)
-    hot = prose(1, 20)[:75]
+    hot = prose(8, 24)[:80]
     rows = [(i, f"{prose(10 + i, 20)} {hot} {prose(500 + i // 2, 20)}") for i in range(60)] + [(90 + i, f"{prose(10 + i, 20)} {hot} {prose(700 + i, 20)}") for i in range(40)]
     want = suffix_dedup.brute_force({i: textnum.utf8(t) for i, t in rows})
     assert {r["doc_id"]: bytes(r["kept"]) for r in suffix_dedup.remove_repeats(docs(spark, rows)).collect()} == want
