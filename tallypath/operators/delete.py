@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..sources.scratch import written
+from ..sources.scratch import write, written
 from .graph import Graph, apply_changes, degrees
 from .index import KEY, LabelIndex, Settled, expand, overlaid, settle
 from .insert import Update
@@ -25,6 +25,74 @@ def affected(ix: LabelIndex, a: int, b: int, w: int = 1) -> DataFrame:
     return one(to_rank(ix, a), to_rank(ix, b), "a").unionByName(one(from_rank(ix, b), from_rank(ix, a), "b"))
 
 
+def cut_searches(g: Graph, ix: LabelIndex, a: int, b: int, w: int = 1) -> DataFrame:
+    """As ``affected``, by two searches on the old graph, one from each end (vertices ``a``, ``b``).
+
+    A search goes on only at vertices whose distance to the far end, asked of the index, is longer by the edge; their shortest
+    paths to the near end run over such vertices alone, so the counts it adds up are whole.
+    """
+    spark = g.edges.sparkSession
+    ra, rb = rank_of(ix, a), rank_of(ix, b)
+    arcs = lambda side: g.arcs.where(F.col("side") == side).select("src", "dst", "w")
+    found = None
+    for side, near, far, way in (("a", ra, to_rank(ix, rb), "out"), ("b", rb, from_rank(ix, ra), "in")):
+        far = written(far.select("rank", F.col("dist").alias("far"), F.col("paths").alias("paths_far")), "far")
+        steps = arcs(way if g.directed else "u")
+        pend, paths = write(spark.createDataFrame([(near, 0, 1)], "rank long, dist int, paths_near long"), "pending", least=F.min("dist")), []
+        while pend.seen["n"]:
+            d = pend.seen["least"]
+            cut = pend.df.where(F.col("dist") == d).join(far, "rank").where(F.col("dist") + w == F.col("far"))
+            level = write(cut.select("rank", F.lit(side).alias("side"), "dist", "paths_near", "paths_far"), "level")
+            paths.append(level.path)
+            seen = spark.read.schema(level.df.schema).parquet(*paths).select("rank")
+            nxt = level.df.join(steps, F.col("rank") == F.col("src")).select(F.col("dst").alias("rank"), (F.col("dist") + F.col("w")).cast("int").alias("dist"), "paths_near")
+            nxt = nxt.unionByName(pend.df.where(F.col("dist") > d)).join(seen, "rank", "left_anti")
+            pend = write(nxt.groupBy("rank", "dist").agg(F.sum("paths_near").alias("paths_near")), "pending", least=F.min("dist"))
+        part = spark.read.schema(level.df.schema).parquet(*paths)
+        found = part if found is None else found.unionByName(part)
+    return found
+
+
+def upper_bounds(labels: DataFrame, side: str, hub: int) -> DataFrame:
+    """(owner, bound): the distance between ``hub`` and each owner over hubs ranked above ``hub``; an upper bound."""
+    mine = labels.where((F.col("owner") == hub) & (F.col("side") == {"in": "out", "out": "in", "u": "u"}[side]) & (F.col("hub") < hub)).select("hub", F.col("dist").alias("d1"))
+    return labels.where((F.col("side") == side) & (F.col("hub") < hub)).join(mine, "hub").groupBy("owner").agg(F.min(F.col("dist") + F.col("d1")).alias("bound"))
+
+
+def _root_by_root(g: Graph, ix: LabelIndex, sets: DataFrame, removal: str) -> tuple[DataFrame, list[dict]]:
+    """Changes of a deletion: each root in order of rank searches ``g`` (the new graph), confirms or renews its rows at the far side, and loses the others there."""
+    spark = g.edges.sparkSession
+    hubs, owners = (written(x, "tables") for x in _tables(sets, g.directed))
+    common = {r["rank"] for r in sets.where(F.col("role") == "root_hub").select("rank").distinct().collect()}  # two label lists at most
+    now, parts, rounds = ix.labels, [], []
+    for r in hubs.orderBy("hub", "side").toLocalIterator():  # one root after the other: this is the sequential procedure
+        side, hub = r["side"], r["hub"]
+        far = owners.where((F.col("side") == side) & (F.col("zone") == r["zone"])).select("owner")
+        bound = written(upper_bounds(now, side, hub), "bounds")
+        steps = g.arcs.where((F.col("side") == side) & (F.col("dst") > hub)).select("src", "dst", "w")
+        pend, paths = write(spark.createDataFrame([(hub, 0, 1)], "owner long, dist int, paths long"), "pending", least=F.min("dist")), []
+        while pend.seen["n"]:
+            d = pend.seen["least"]
+            level = write(pend.df.where(F.col("dist") == d).join(bound.where(F.col("bound") < d).select("owner"), "owner", "left_anti"), "level")
+            rounds.append({"dist": d, "candidates": pend.seen["n"], "settled": level.seen["n"]})
+            paths.append(level.path)
+            seen = spark.read.schema(level.df.schema).parquet(*paths).select("owner")
+            nxt = level.df.join(steps, F.col("owner") == F.col("src")).select(F.col("dst").alias("owner"), (F.col("dist") + F.col("w")).cast("int").alias("dist"), "paths")
+            nxt = nxt.unionByName(pend.df.where(F.col("dist") > d)).join(seen, "owner", "left_anti")
+            pend = write(nxt.groupBy("owner", "dist").agg(F.sum("paths").alias("paths")), "pending", least=F.min("dist"))
+        reached = spark.read.schema(level.df.schema).parquet(*paths).join(far, "owner", "left_semi").where(F.col("owner") != hub)
+        confirmed = reached.select(F.lit(side).alias("side"), "owner", F.lit(hub).cast("long").alias("hub"), "dist", "paths")
+        old = now.where((F.col("side") == side) & (F.col("hub") == hub) & (F.col("owner") != hub)).join(far, "owner", "left_semi").select(*KEY, "dist", "paths")
+        diff = _diff(old, confirmed)
+        part = written(diff if removal == "always" or hub in common else diff.where(F.col("op") != "remove"), "changes")
+        parts.append(part)
+        now = written(overlaid(now, part).where(F.col("dist").isNotNull()), "labels")
+    changes = parts[0] if parts else _diff(ix.labels.limit(0), ix.labels.limit(0))
+    for p in parts[1:]:
+        changes = changes.unionByName(p)
+    return changes, rounds
+
+
 def roles(ix: LabelIndex, found: DataFrame, a: int, b: int) -> DataFrame:
     """``found`` with ``role``: root_hub (hub of both ends), root_all_paths (all its paths use the edge), receiver."""
     hubs = lambda side, owner: ix.labels.where((F.col("side") == side) & (F.col("owner") == owner)).select(F.col("hub").alias("rank"))
@@ -112,13 +180,20 @@ def run(
     rows that are not derived again are removed: ``removal='always'``. ``'common_hub'`` removes them only for hubs of
     both ends, which is unsafe with dominated rows. ``strategy='drop_then_fill'`` is the baseline that sets aside the
     rows of all affected vertices (as ``definition='gap_all'``); ``'search'`` starts each root's search at the root.
+    ``'rooted'`` is the procedure root by root: affected vertices by two cut searches, then for each root in order
+    of rank a search on the new graph that the bound of the hubs above the root stops. An edge that isn't there, or a weight
+    that isn't heavier, is returned in ``rejects`` and changes nothing.
     """
     spark = g.edges.sparkSession
     edge = spark.createDataFrame([(a, b)], "u long, v long")
-    w = 1
-    if g.weighted:
-        own = g.edges.where(((F.col("u") == a) & (F.col("v") == b)) | ((not g.directed) & (F.col("u") == b) & (F.col("v") == a))).first()
-        w = own["w"]
+    if not g.directed:
+        edge = edge.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"))
+    own = g.edges.join(edge, ["u", "v"], "left_semi").first()
+    w = own["w"] if own and g.weighted else 1
+    problem = "no such edge" if own is None else "not heavier" if weight is not None and weight <= w else None
+    if problem:
+        none = ix.labels.limit(0)
+        return Update(g, ix, _diff(none, none), [], rejects=edge.withColumn("problem", F.lit(problem)))
     if weight is None:
         g2 = apply_changes(g, removed=edge)
     else:
@@ -130,6 +205,10 @@ def run(
         return Update(g2, ix.changed(changes), changes, [], None, None)
     ra, rb = rank_of(ix, a), rank_of(ix, b)
     definition = "gap_all" if strategy == "drop_then_fill" else definition
+    if strategy == "rooted":
+        sets = written(roles(ix, cut_searches(g, ix, a, b, w), ra, rb), "sets")
+        changes, rounds = _root_by_root(g2, ix, sets, removal)
+        return Update(g2, ix.changed(changes), changes, rounds, None, sets)
     sets = written(_sets(g, g2, ix, ra, rb, w, definition), "sets")
     hubs, owners = (written(x, "tables") for x in _tables(sets, g.directed))
     suspects = written(suspect_rows(ix.labels, sets, g.directed), "suspects")

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, replace
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..sources.scratch import Layered, written
@@ -134,16 +134,29 @@ def apply_changes(g: Graph, added: DataFrame | None = None, removed: DataFrame |
 
 
 def validate_changes(g: Graph, changes: DataFrame) -> DataFrame:
-    """``changes`` (op, u, v) with ``problem``: null key, self loop, unknown vertex, existing or missing edge; null if valid."""
-    c = _canonical(changes, g.directed)
-    known = g.ranks.select(F.col("vertex"))
-    c = c.join(g.edges.select("u", "v", F.lit(True).alias("there")), ["u", "v"], "left")
-    c = c.join(known.select(F.col("vertex").alias("u"), F.lit(True).alias("ku")), "u", "left").join(known.select(F.col("vertex").alias("v"), F.lit(True).alias("kv")), "v", "left")
+    """``changes`` (op, u, v[, w]; op is insert, delete or reweight) with ``problem``, null if valid; ends in canonical order.
+
+    Problems: null key, self loop, unknown vertex, edge exists (in a weighted graph only if it is no heavier than
+    the new one: a lighter parallel edge takes its place), no such edge, bad weight, repeated (another row of the list
+    says the same; of parallel insertions the lightest stays).
+    """
+    c = _canonical(changes, g.directed).withColumn("__at", F.monotonically_increasing_id())
+    weight = F.col("w") if g.weighted else F.lit(1).cast("long")
+    keys = c.select("u", "v").distinct()
+    there = g.edges.join(keys, ["u", "v"], "left_semi").select("u", "v", (F.col("w") if g.weighted else F.lit(1)).cast("long").alias("__have"))
+    ends = keys.select(F.explode(F.array("u", "v")).alias("vertex")).distinct()
+    known = g.ranks.join(ends, "vertex", "left_semi").select("vertex")
+    c = c.join(there, ["u", "v"], "left")
+    for end in ("u", "v"):
+        c = c.join(known.select(F.col("vertex").alias(end), F.lit(True).alias(f"__k{end}")), end, "left")
+    twin = F.row_number().over(Window.partitionBy("op", "u", "v").orderBy(weight, "__at"))
     problem = (
         F.when(F.col("u").isNull() | F.col("v").isNull(), "null key")
         .when(F.col("u") == F.col("v"), "self loop")
-        .when(F.col("ku").isNull() | F.col("kv").isNull(), "unknown vertex")
-        .when((F.col("op") == "insert") & F.col("there").isNotNull(), "edge exists")
-        .when((F.col("op") == "delete") & F.col("there").isNull(), "no such edge")
+        .when(F.col("__ku").isNull() | F.col("__kv").isNull(), "unknown vertex")
+        .when(F.col("op").isin("delete", "reweight") & F.col("__have").isNull(), "no such edge")
+        .when(F.col("op").isin("insert", "reweight") & (weight.isNull() | (weight < 1)), "bad weight")
+        .when((F.col("op") == "insert") & (F.col("__have") <= weight), "edge exists")
+        .when(twin > 1, "repeated")
     )
-    return c.withColumn("problem", problem).drop("there", "ku", "kv")
+    return c.withColumn("problem", problem).select(*changes.columns, "problem")

@@ -8,13 +8,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..sources.scratch import written
-from .graph import Graph, apply_changes, rank_arcs
+from .graph import Graph, apply_changes, rank_arcs, validate_changes
 from .index import KEY, LabelIndex, Settled, expand, overlaid, purge_dominated, settle
 
 
 @dataclass
 class Update:
-    """An update's result: graph, index, and ``changes`` (side, owner, hub, old and new distance and count, op)."""
+    """An update's result: graph, index, ``changes`` (side, owner, hub, old and new distance and count, op), and ``rejects``.
+
+    ``rejects`` (u, v[, w], problem) are the edges that the update left alone, see ``graph.validate_changes``.
+    """
 
     graph: Graph
     index: LabelIndex
@@ -22,6 +25,7 @@ class Update:
     rounds: list[dict]
     trace: DataFrame | None = None
     sets: DataFrame | None = None
+    rejects: DataFrame | None = None
 
 
 def roots(ix: LabelIndex, arcs: DataFrame) -> DataFrame:
@@ -38,13 +42,17 @@ def seeds(ix: LabelIndex, arcs: DataFrame) -> DataFrame:
 def run(g: Graph, ix: LabelIndex, added: DataFrame, schedule: str = "level", prune: str = "relaxed", dominated: str = "keep", trace: bool = False) -> Update:
     """Inserts the edges ``added`` (u, v[, w]) between known vertices, all in one repair.
 
+    Loops, edges that are there already, repeated ones and those with unknown ends are left out and returned as ``rejects``:
+    a path over an edge that is inserted twice would be counted twice.
+
     New top-hub paths are split at their first new edge: before it lies an old label of the edge's end, after it the
     search goes on over old and new arcs alike, adding up counts of new paths only. ``schedule='rank'`` takes the
     roots in rank order, one search each. ``prune='strict'`` stops at equal distances (distance-label baseline).
     ``dominated='purge'`` removes rows that the insertion made too long; they are kept by default.
     """
-    if prune == "strict":
-        added = written(added, "added")
+    columns = ["u", "v", *["w"] * g.weighted]
+    checked = written(validate_changes(g, added.select(F.lit("insert").alias("op"), *columns)), "checked")
+    added, rejects = checked.where(F.col("problem").isNull()).select(*columns), checked.where(F.col("problem").isNotNull()).drop("op")
     g2 = apply_changes(g, added=added)
     arcs = written(rank_arcs(added, g.ranks, g.directed, g.weighted), "new-arcs")
     first = seeds(ix, arcs)
@@ -65,7 +73,7 @@ def run(g: Graph, ix: LabelIndex, added: DataFrame, schedule: str = "level", pru
     if dominated == "purge":
         new = purge_dominated(new)
     changes = got.delta.select(*KEY, "old_dist", "old_paths", "dist", "paths", "op")
-    return Update(g2, new, changes, got.rounds, got.delta if trace else None)
+    return Update(g2, new, changes, got.rounds, got.delta if trace else None, rejects=rejects)
 
 
 def _last(delta: DataFrame) -> DataFrame:
@@ -74,5 +82,5 @@ def _last(delta: DataFrame) -> DataFrame:
 
 
 def decrease_weight(g: Graph, ix: LabelIndex, changed: DataFrame, **options) -> Update:
-    """Weights that fall are insertions with the new weight."""
+    """Weights that fall are insertions with the new weight; rows that would raise one are rejected."""
     return run(g, ix, changed, **options)

@@ -13,21 +13,22 @@ from . import delete, insert, ranking
 from .graph import Graph, validate_changes
 from .index import LabelIndex, build, self_rows
 
-METRICS = "seq long, op string, renew_count long, renew_dist long, inserted long, removed long, rounds int, ms double, bytes long"
+METRICS = "seq long, op string, renew_count long, renew_dist long, inserted long, removed long, rounds int, ms double, bytes long, rejected long"
 
 
-def metrics_row(seq: int, op: str, changes: DataFrame, rounds: int, ms: float) -> tuple:
-    """One row of update metrics; an index row counts 8 bytes."""
+def metrics_row(seq: int, op: str, changes: DataFrame, rounds: int, ms: float, rejected: int = 0) -> tuple:
+    """One row of update metrics; an index row counts 8 bytes; ``rejected`` edges were left alone."""
     n = {r["op"]: r["n"] for r in changes.groupBy("op").agg(F.count("*").alias("n")).collect()}  # four operations at most
     got = [n.get(k, 0) for k in ("renew_count", "renew_dist", "insert", "remove")]
-    return (seq, op, *got, rounds, ms, 8 * (got[2] - got[3]))
+    return (seq, op, *got, rounds, ms, 8 * (got[2] - got[3]), rejected)
 
 
 def apply(g: Graph, ix: LabelIndex, changes: DataFrame, batch_inserts: bool = False, **options) -> tuple[Graph, LabelIndex, DataFrame]:
     """Applies ``changes`` (seq, op, u, v[, w]) in order of seq; op is insert, delete or reweight.
 
     ``batch_inserts`` repairs runs of consecutive insertions together. The change list is a bounded batch; each
-    change reads and writes only tables. Returns graph, index and one metrics row for each repair.
+    change reads and writes only tables. Changes that don't fit the graph as it is at their turn (an edge that exists or
+    doesn't, a loop, an unknown vertex) are counted as ``rejected`` and skipped. Returns graph, index and one metrics row for each repair.
     """
     spark = ix.labels.sparkSession
     kind = "u long, v long" + ", w long" * g.weighted
@@ -43,12 +44,17 @@ def apply(g: Graph, ix: LabelIndex, changes: DataFrame, batch_inserts: bool = Fa
         elif r["op"] == "delete":
             up = delete.run(g, ix, r["u"], r["v"], **{k: v for k, v in options.items() if k in ("removal", "definition", "strategy", "shortcut")})
         else:
-            now = g.edges.where((F.col("u") == r["u"]) & (F.col("v") == r["v"])).first()["w"]
-            if r["w"] < now:
-                up = insert.decrease_weight(g, ix, spark.createDataFrame([(r["u"], r["v"], r["w"])], kind))
-            else:
+            one = spark.createDataFrame([(r["u"], r["v"], r["w"])], kind)
+            checked = validate_changes(g, one.withColumn("op", F.lit("reweight"))).first()
+            known = checked["problem"] is None
+            now = g.edges.join(spark.createDataFrame([(checked["u"], checked["v"])], "u long, v long"), ["u", "v"], "left_semi").first()["w"] if known else None
+            if known and r["w"] > now:
                 up = delete.increase_weight(g, ix, r["u"], r["v"], r["w"])
-        metrics.append(metrics_row(r["seq"], r["op"], up.changes, len(up.rounds), (time.time() - began) * 1000))
+            else:  # a lower weight; an equal one and an unknown edge are rejected there
+                up = insert.decrease_weight(g, ix, one if known else one.where(F.lit(False)))
+                up.rejects = up.rejects if known else one.withColumn("problem", F.lit(checked["problem"]))
+        wrong = up.rejects.count() if up.rejects is not None else 0
+        metrics.append(metrics_row(r["seq"], r["op"], up.changes, len(up.rounds), (time.time() - began) * 1000, wrong))
         g, ix, at = up.graph, up.index, upto
     return g, ix, spark.createDataFrame(metrics, METRICS)
 

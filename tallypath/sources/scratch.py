@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 from dataclasses import dataclass
@@ -17,11 +18,21 @@ def shared_dir(spark: SparkSession) -> str:
         found = spark.sparkContext._jsc.sc().getCheckpointDir()
         if found.isDefined():
             return found.get().rstrip("/")
+        if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="tallypath-")
         spark.sparkContext.setCheckpointDir(base)
     return base.rstrip("/")
 
 
+def clear(spark: SparkSession) -> None:
+    """Deletes what this package has left in the shared folder (other runs' tables included), once no result needs it."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path
+    fs = path(shared_dir(spark)).getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    for found in fs.globStatus(path(f"{shared_dir(spark)}/tallypath-*")) or []:
+        fs.delete(found.getPath(), True)
+
+
 @dataclass
 class Written:
     """A table in the shared folder with what was observed while it was written."""
@@ -64,12 +75,14 @@ class Layered:
         return kept.unionByName(self.overlay.where(~F.col("gone")).select(*self.base.columns))
 
     def changed(self, changes: DataFrame) -> "Layered":
-        """With ``changes`` (the base's columns and ``gone``; one row a key) on top."""
+        """With ``changes`` (the base's columns and ``gone``; one row a key, or it raises) on top."""
         new = changes.select(*self.base.columns, "gone")
         if self.overlay is not None:
             new = written(new, "changes")
             new = self.overlay.join(new.select(*self.keys), list(self.keys), "left_anti").unionByName(new)
         layer = write(new, "overlay")
+        if layer.df.select(*self.keys).distinct().count() != layer.seen["n"]:
+            raise ValueError(f"changes repeat a key of {self.keys}")
         n = self.base_rows if self.base_rows is not None else self.base.count()
         if layer.seen["n"] > max(1000, FOLD_SHARE * n):
             folded = write(Layered(self.base, self.keys, n, layer.df).rows, "base")
