@@ -9,7 +9,7 @@ from ..sources.scratch import write, written
 from .graph import Graph, apply_changes, degrees
 from .index import KEY, LabelIndex, Settled, expand, overlaid, settle
 from .insert import Update
-from .query import from_rank, rank_of, to_rank
+from .query import from_rank, ranks_of, to_rank
 
 
 def affected(ix: LabelIndex, a: int, b: int, w: int = 1) -> DataFrame:
@@ -32,7 +32,7 @@ def cut_searches(g: Graph, ix: LabelIndex, a: int, b: int, w: int = 1) -> DataFr
     paths to the near end run over such vertices alone, so the counts it adds up are whole.
     """
     spark = g.edges.sparkSession
-    ra, rb = rank_of(ix, a), rank_of(ix, b)
+    ra, rb = ranks_of(ix, a, b)
     arcs = lambda side: g.arcs.where(F.col("side") == side).select("src", "dst", "w")
     found = None
     for side, near, far, way in (("a", ra, to_rank(ix, rb), "out"), ("b", rb, from_rank(ix, ra), "in")):
@@ -121,7 +121,7 @@ def suspect_rows(labels: DataFrame, sets: DataFrame, directed: bool = False) ->
     return labels.where(F.col("owner") != F.col("hub")).join(owners, ["side", "owner"]).join(hubs, ["side", "hub", "zone"], "left_semi").drop("zone").distinct()
 
 
-def isolated_shortcut(g: Graph, ix: LabelIndex, a: int, b: int) -> tuple[int, int] | None:
+def isolated_shortcut(g: Graph, a: int, b: int, ra: int, rb: int) -> tuple[int, int] | None:
     """(vertex, its rank) that the deletion isolates and that is ranked below its neighbour; None if there is none.
 
     Ranks are compared, not only degrees: ranks stay while degrees change.
@@ -129,7 +129,6 @@ def isolated_shortcut(g: Graph, ix: LabelIndex, a: int, b: int) -> tuple[int, in
     if g.directed:
         return None
     deg = {r["vertex"]: r["degree"] for r in degrees(g.edges.where(F.col("u").isin(a, b) | F.col("v").isin(a, b))).where(F.col("vertex").isin(a, b)).collect()}
-    ra, rb = rank_of(ix, a), rank_of(ix, b)
     for v, rv, other in ((b, rb, ra), (a, ra, rb)):
         if deg.get(v) == 1 and rv > other:
             return v, rv
@@ -193,24 +192,24 @@ def run(
     problem = "no such edge" if own is None else "not heavier" if weight is not None and weight <= w else None
     if problem:
         none = ix.labels.limit(0)
-        return Update(g, ix, _diff(none, none), [], rejects=edge.withColumn("problem", F.lit(problem)))
+        return Update(g, ix, _diff(none, none), [], rejects=edge.withColumn("problem", F.lit(problem)), rejected=1)
     if weight is None:
         g2 = apply_changes(g, removed=edge)
     else:
         g2 = apply_changes(g, added=edge.withColumn("w", F.lit(weight).cast("long")))
-    if shortcut and weight is None and (alone := isolated_shortcut(g, ix, a, b)):
+    ra, rb = ranks_of(ix, a, b)
+    if shortcut and weight is None and (alone := isolated_shortcut(g, a, b, ra, rb)):
         rank = alone[1]
         gone = ix.labels.where((F.col("owner") == rank) & (F.col("hub") != rank))
         changes = written(_diff(gone, gone.limit(0)), "changes")
         return Update(g2, ix.changed(changes), changes, [], None, None)
-    ra, rb = rank_of(ix, a), rank_of(ix, b)
     definition = "gap_all" if strategy == "drop_then_fill" else definition
     if strategy == "rooted":
         sets = written(roles(ix, cut_searches(g, ix, a, b, w), ra, rb), "sets")
         changes, rounds = _root_by_root(g2, ix, sets, removal)
         return Update(g2, ix.changed(changes), changes, rounds, None, sets)
     sets = written(_sets(g, g2, ix, ra, rb, w, definition), "sets")
-    hubs, owners = (written(x, "tables") for x in _tables(sets, g.directed))
+    hubs, owners = _tables(sets, g.directed)  # projections of a written table
     suspects = written(suspect_rows(ix.labels, sets, g.directed), "suspects")
     base = ix.labels.join(suspects.select(*KEY), KEY, "left_anti")
 
@@ -223,7 +222,7 @@ def run(
     if strategy == "search":
         own = base.where(F.col("owner") == F.col("hub")).join(hubs.select("side", "hub").distinct(), ["side", "hub"], "left_semi")
         got = settle(_without(base, hubs, own), g2.arcs, expand(own, g2.arcs))
-        confirmed = allowed(got.delta.select(*KEY, "dist", "paths"))
+        confirmed = written(allowed(got.delta.select(*KEY, "dist", "paths")), "confirmed")
     elif schedule == "rank":
         now, rounds, parts = base, [], []
         for r in hubs.select("hub").distinct().orderBy("hub").collect():
@@ -238,7 +237,6 @@ def run(
     else:
         got = settle(base, g2.arcs, first, allowed)
         confirmed = got.delta.select(*KEY, "dist", "paths")
-    confirmed = written(confirmed, "confirmed")
     if removal == "common_hub":
         common = sets.where(F.col("role") == "root_hub").select(F.col("rank").alias("hub")).distinct()
         stay = suspects.join(confirmed, KEY, "left_anti").join(common, "hub", "left_anti")

@@ -7,7 +7,7 @@ from dataclasses import dataclass, replace
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..sources.scratch import Layered, written
+from ..sources.scratch import Layered, write, written
 
 
 @dataclass(frozen=True)
@@ -89,9 +89,9 @@ def rank_arcs(edges: DataFrame, ranks: DataFrame, directed: bool, weighted: bool
 
 def make(edges: DataFrame, ranks: DataFrame, directed: bool = False, weighted: bool = False) -> Graph:
     """A graph whose tables are written, so that rounds read them without recomputing."""
-    edges, ranks = written(edges, "edges"), written(ranks, "ranks")
-    arcs = written(rank_arcs(edges, ranks, directed, weighted), "arcs")
-    return Graph(Layered(edges, ("u", "v")), ranks, Layered(arcs, ("side", "src", "dst")), directed, weighted)
+    edges, ranks = write(edges, "edges"), written(ranks, "ranks")
+    arcs = write(rank_arcs(edges.df, ranks, directed, weighted), "arcs")
+    return Graph(Layered(edges.df, ("u", "v"), edges.seen["n"]), ranks, Layered(arcs.df, ("side", "src", "dst"), arcs.seen["n"]), directed, weighted)
 
 
 def below(g: Graph, hub_rank: int) -> DataFrame:
@@ -128,7 +128,7 @@ def apply_changes(g: Graph, added: DataFrame | None = None, removed: DataFrame |
         parts.append(_canonical(added, g.directed).select("u", "v", *["w"] * g.weighted).withColumn("gone", F.lit(False)))
     if not parts:
         return g
-    change = written(parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1]), "edge-changes")
+    change = parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1])
     arcs = [rank_arcs(change.where(F.col("gone") == x), g.ranks, g.directed, g.weighted).withColumn("gone", F.lit(x)) for x in (True, False)]
     return replace(g, edge_table=g.edge_table.changed(change), arc_table=g.arc_table.changed(arcs[0].unionByName(arcs[1])))
 

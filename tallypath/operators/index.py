@@ -20,7 +20,13 @@ from .graph import Graph, opposite
 
 KEY = ["side", "owner", "hub"]
 ROW = "side string, owner long, hub long, dist int, paths long"
-DELTA = ROW + ", added long, old_dist int, old_paths long, op string, round int"
+#: Types of path counts: whole numbers that stop on overflow, exact ones of 38 digits, approximate ones without bound.
+COUNT_TYPES = {"long": "bigint", "decimal": "decimal(38,0)", "double": "double"}
+
+
+def delta_schema(labels: DataFrame) -> str:
+    count = labels.schema["paths"].dataType.simpleString()
+    return f"side string, owner long, hub long, dist int, paths {count}, added {count}, old_dist int, old_paths {count}, op string, round int"
 
 
 @dataclass(frozen=True)
@@ -38,9 +44,9 @@ class LabelIndex:
         return replace(self, table=self.table.changed(changes.withColumn("gone", F.col("op") == "remove")))
 
 
-def of_labels(labels: DataFrame, ranks: DataFrame, directed: bool = False) -> LabelIndex:
-    """An index on a written label table."""
-    return LabelIndex(Layered(labels, tuple(KEY)), ranks, directed)
+def of_labels(labels: DataFrame, ranks: DataFrame, directed: bool = False, rows: int | None = None) -> LabelIndex:
+    """An index on a written label table, of ``rows`` rows if that is known."""
+    return LabelIndex(Layered(labels, tuple(KEY), rows), ranks, directed)
 
 
 @dataclass
@@ -51,9 +57,9 @@ class Settled:
     rounds: list[dict] = field(default_factory=list)
 
 
-def self_rows(g: Graph) -> DataFrame:
+def self_rows(g: Graph, count_type: str = "long") -> DataFrame:
     side = F.explode(F.array(*[F.lit(s) for s in (("in", "out") if g.directed else ("u",))]))
-    return g.ranks.select(side.alias("side"), F.col("rank").alias("owner"), F.col("rank").alias("hub"), F.lit(0).alias("dist"), F.lit(1).cast("long").alias("paths"))
+    return g.ranks.select(side.alias("side"), F.col("rank").alias("owner"), F.col("rank").alias("hub"), F.lit(0).alias("dist"), F.lit(1).cast(COUNT_TYPES[count_type]).alias("paths"))
 
 
 def expand(rows: DataFrame, arcs: DataFrame) -> DataFrame:
@@ -64,7 +70,7 @@ def expand(rows: DataFrame, arcs: DataFrame) -> DataFrame:
 
 
 def merged(rows: DataFrame) -> DataFrame:
-    return rows.groupBy(*KEY, "dist").agg(F.sum("paths").alias("paths"))
+    return rows.groupBy(*KEY, "dist").agg(F.sum("paths").cast(rows.schema["paths"].dataType).alias("paths"))
 
 
 def closer(cands: DataFrame, labels: DataFrame, equal: bool = False, at: int | None = None) -> DataFrame:
@@ -103,20 +109,22 @@ def settle(base: DataFrame, arcs: DataFrame, seeds: DataFrame, allowed=None, equ
     """
     spark = base.sparkSession
     keep = allowed or (lambda rows: rows)
+    kind = delta_schema(base)
+    count = base.schema["paths"].dataType
     paths: list[str] = []
     rounds: list[dict] = []
     pend = write(merged(keep(seeds)), "pending", least=F.min("dist"), most=F.max("dist"))
     while pend.seen["n"] and (max_rounds is None or len(rounds) < max_rounds):
         d = pend.seen["least"]
         cur = pend.df.where(F.col("dist") == d) if pend.seen["most"] != d else pend.df
-        delta = spark.read.schema(DELTA).parquet(*paths) if paths else None
+        delta = spark.read.schema(kind).parquet(*paths) if paths else None
         now = overlaid(base, delta)
         cur = cur.join(closer(cur, now, equal, d), KEY, "left_anti")
         old = base.select(*KEY, F.col("dist").alias("old_dist"), F.col("paths").alias("old_paths"))
         cur = cur.join(old, KEY, "left")
         same = F.col("old_dist") == F.col("dist")
         op = F.when(F.col("old_dist").isNull(), "insert").when(same, "renew_count").otherwise("renew_dist")
-        cur = cur.select(*KEY, "dist", F.when(same, F.col("paths") + F.col("old_paths")).otherwise(F.col("paths")).alias("paths"), F.col("paths").alias("added"), "old_dist", "old_paths", op.alias("op"), F.lit(len(rounds)).alias("round"))
+        cur = cur.select(*KEY, "dist", F.when(same, (F.col("paths") + F.col("old_paths")).cast(count)).otherwise(F.col("paths")).alias("paths"), F.col("paths").alias("added"), "old_dist", "old_paths", op.alias("op"), F.lit(len(rounds)).alias("round"))
         done = write(cur, "delta")
         rounds.append({"dist": d, "candidates": pend.seen["n"], "settled": done.seen["n"]})
         if done.seen["n"]:
@@ -127,26 +135,30 @@ def settle(base: DataFrame, arcs: DataFrame, seeds: DataFrame, allowed=None, equ
         elif not done.seen["n"]:
             break
         pend = write(merged(nxt), "pending", least=F.min("dist"), most=F.max("dist"))
-    delta = spark.read.schema(DELTA).parquet(*paths) if paths else spark.createDataFrame([], DELTA)
+    delta = spark.read.schema(kind).parquet(*paths) if paths else spark.createDataFrame([], kind)
     return Settled(delta, rounds)
 
 
-def build(g: Graph, max_levels: int | None = None, distance_only: bool = False) -> LabelIndex:
-    """Level-synchronous build of the exact minimal index. ``distance_only``: only labels needed for distances (count 1 each)."""
+def build(g: Graph, max_levels: int | None = None, distance_only: bool = False, count_type: str = "long") -> LabelIndex:
+    """Level-synchronous build of the exact minimal index. ``distance_only``: only labels needed for distances (count 1 each).
+
+    ``count_type``: how counts are kept, here and by queries and updates of the index ('long', 'decimal', 'double').
+    """
     spark = g.edges.sparkSession
-    level = write(self_rows(g), "level")
-    paths = [level.path]
+    level = write(self_rows(g, count_type), "level")
+    row, count = level.df.schema, level.df.schema["paths"].dataType
+    paths, total = [level.path], level.seen["n"]
     if g.weighted:
         base = level.df
         got = settle(base, g.arcs, expand(base, g.arcs), equal=distance_only, max_rounds=max_levels)
         return of_labels(written(overlaid(base, got.delta), "labels"), g.ranks, g.directed)
     rounds = 0
     while level.seen["n"] and (max_levels is None or rounds < max_levels):
-        labels = spark.read.schema(ROW).parquet(*paths)
+        labels = spark.read.schema(row).parquet(*paths)
         # All rows of a level have one distance: grouped by key alone, they lie right for the joins that follow.
-        cur = expand(level.df, g.arcs).groupBy(*KEY).agg(F.max("dist").alias("dist"), F.sum("paths").alias("paths")).join(labels.select(*KEY), KEY, "left_anti")
+        cur = expand(level.df, g.arcs).groupBy(*KEY).agg(F.max("dist").alias("dist"), F.sum("paths").cast(count).alias("paths")).join(labels.select(*KEY), KEY, "left_anti")
         if distance_only:
-            cur = cur.withColumn("paths", F.lit(1).cast("long"))
+            cur = cur.withColumn("paths", F.lit(1).cast(count))
             # Within a level a vertex covered at equal distance by a hub ranked above needs no label: its row of this
             # level counts as well.
             cur = written(cur, "candidates")
@@ -159,8 +171,8 @@ def build(g: Graph, max_levels: int | None = None, distance_only: bool = False)
             cur = cur.join(closer(cur, labels, at=rounds + 1), KEY, "left_anti")
         level = write(cur.select("side", "owner", "hub", "dist", "paths"), "level")
         paths.append(level.path)
-        rounds += 1
-    return of_labels(spark.read.schema(ROW).parquet(*paths), g.ranks, g.directed)
+        rounds, total = rounds + 1, total + level.seen["n"]
+    return of_labels(spark.read.schema(row).parquet(*paths), g.ranks, g.directed, total)
 
 
 def _covered(cands: DataFrame, labels: DataFrame) -> DataFrame:

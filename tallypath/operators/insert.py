@@ -7,7 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..sources.scratch import written
+from ..sources.scratch import write, written
 from .graph import Graph, apply_changes, rank_arcs, validate_changes
 from .index import KEY, LabelIndex, Settled, expand, overlaid, purge_dominated, settle
 
@@ -26,6 +26,7 @@ class Update:
     trace: DataFrame | None = None
     sets: DataFrame | None = None
     rejects: DataFrame | None = None
+    rejected: int = 0
 
 
 def roots(ix: LabelIndex, arcs: DataFrame) -> DataFrame:
@@ -51,7 +52,8 @@ def run(g: Graph, ix: LabelIndex, added: DataFrame, schedule: str = "level", pru
     ``dominated='purge'`` removes rows that the insertion made too long; they are kept by default.
     """
     columns = ["u", "v", *["w"] * g.weighted]
-    checked = written(validate_changes(g, added.select(F.lit("insert").alias("op"), *columns)), "checked")
+    tested = write(validate_changes(g, added.select(F.lit("insert").alias("op"), *columns)), "checked", wrong=F.count_if(F.col("problem").isNotNull()))
+    checked = tested.df
     added, rejects = checked.where(F.col("problem").isNull()).select(*columns), checked.where(F.col("problem").isNotNull()).drop("op")
     g2 = apply_changes(g, added=added)
     arcs = written(rank_arcs(added, g.ranks, g.directed, g.weighted), "new-arcs")
@@ -73,7 +75,7 @@ def run(g: Graph, ix: LabelIndex, added: DataFrame, schedule: str = "level", pru
     if dominated == "purge":
         new = purge_dominated(new)
     changes = got.delta.select(*KEY, "old_dist", "old_paths", "dist", "paths", "op")
-    return Update(g2, new, changes, got.rounds, got.delta if trace else None, rejects=rejects)
+    return Update(g2, new, changes, got.rounds, got.delta if trace else None, rejects=rejects, rejected=tested.seen["wrong"] or 0)
 
 
 def _last(delta: DataFrame) -> DataFrame:

@@ -52,9 +52,9 @@ def apply(g: Graph, ix: LabelIndex, changes: DataFrame, batch_inserts: bool = Fa
                 up = delete.increase_weight(g, ix, r["u"], r["v"], r["w"])
             else:  # a lower weight; an equal one and an unknown edge are rejected there
                 up = insert.decrease_weight(g, ix, one if known else one.where(F.lit(False)))
-                up.rejects = up.rejects if known else one.withColumn("problem", F.lit(checked["problem"]))
-        wrong = up.rejects.count() if up.rejects is not None else 0
-        metrics.append(metrics_row(r["seq"], r["op"], up.changes, len(up.rounds), (time.time() - began) * 1000, wrong))
+                if not known:
+                    up.rejects, up.rejected = one.withColumn("problem", F.lit(checked["problem"])), 1
+        metrics.append(metrics_row(r["seq"], r["op"], up.changes, len(up.rounds), (time.time() - began) * 1000, up.rejected))
         g, ix, at = up.graph, up.index, upto
     return g, ix, spark.createDataFrame(metrics, METRICS)
 

@@ -24,7 +24,7 @@ def _hub_sums(ix: LabelIndex, pairs: DataFrame, above_source: bool = False) -> D
     if above_source:
         p = p.where(F.col("hub") < F.col("rs"))
     p = p.join(reach.select(F.col("owner").alias("rt"), "hub", F.col("dist").alias("d2"), F.col("paths").alias("p2")), ["rt", "hub"])
-    return p.select("qid", "s", "t", "hub", (F.col("d1") + F.col("d2")).cast("int").alias("sum"), (F.col("p1") * F.col("p2")).alias("product"))
+    return p.select("qid", "s", "t", "hub", (F.col("d1") + F.col("d2")).cast("int").alias("sum"), (F.col("p1") * F.col("p2")).cast(ix.labels.schema["paths"].dataType).alias("product"))
 
 
 def pairs(ix: LabelIndex, pairs: DataFrame, above_source: bool = False) -> DataFrame:
@@ -73,6 +73,12 @@ def rank_of(ix: LabelIndex, vertex: int) -> int | None:
     return row["rank"] if row else None
 
 
+def ranks_of(ix: LabelIndex, *vertices: int) -> list[int | None]:
+    """Ranks of a few vertices, by one read."""
+    found = {r["vertex"]: r["rank"] for r in ix.ranks.where(F.col("vertex").isin(*vertices)).collect()}
+    return [found.get(v) for v in vertices]
+
+
 def from_source(ix: LabelIndex, source: int) -> DataFrame:
     """(vertex, dist, paths) from one vertex to all."""
     found = from_rank(ix, rank_of(ix, source) or -1)

@@ -64,9 +64,9 @@ def pairs_sql(name: str, where: str = "true", **changes) -> str:
     SELECT pr.s, pr.t, CAST(p.d AS INTEGER) AS dist, coalesce(p.c, 0) AS paths FROM pr LEFT JOIN p ON p.s = rs AND p.t = rt WHERE {where.replace('{s}', 'pr.s').replace('{t}', 'pr.t')}"""
 
 
-def changes_sql(name: str, added: str | None = None, removed: str | None = None) -> str:
+def changes_sql(name: str, added: str | None = None, removed: str | None = None, natural: bool = False) -> str:
     """Operations that lead from one definition index to the next."""
-    return f"""WITH RECURSIVE {ctes(name)}, {ctes(name, added, removed, 'n')}
+    return f"""WITH RECURSIVE {ctes(name, natural=natural)}, {ctes(name, added, removed, 'n', natural)}
     SELECT o.vertex AS owner, h.vertex AS hub, CAST(i.dist AS INTEGER) AS old_dist, i.paths AS old_paths, CAST(n.dist AS INTEGER) AS dist, n.paths AS paths,
       CASE WHEN n.dist IS NULL THEN 'remove' WHEN i.dist IS NULL THEN 'insert' WHEN i.dist <> n.dist THEN 'renew_dist' ELSE 'renew_count' END AS op
     FROM idx i FULL JOIN nidx n ON i.side = n.side AND i.owner = n.owner AND i.hub = n.hub

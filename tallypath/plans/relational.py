@@ -138,6 +138,14 @@ def _(spark, sf_dir):
     return j.groupBy("p_brand").agg(F.approx_count_distinct("l_suppkey", 0.02).alias("suppliers"))
 
 
+@op("approx_distinct_bound", "SELECT p_brand, count(DISTINCT l_suppkey) AS suppliers, true AS within FROM lineitem JOIN part ON p_partkey = l_partkey GROUP BY p_brand")
+def _(spark, sf_dir):
+    """Exact numbers, and whether the approximate ones lie within five of their standard errors."""
+    j = graphs.table(spark, sf_dir, "lineitem").select("l_partkey", "l_suppkey").join(graphs.table(spark, sf_dir, "part").select(F.col("p_partkey").alias("l_partkey"), "p_brand"), "l_partkey")
+    n = j.groupBy("p_brand").agg(F.count_distinct("l_suppkey").alias("suppliers"), F.approx_count_distinct("l_suppkey", 0.02).alias("about"))
+    return n.select("p_brand", "suppliers", (F.abs(F.col("about") - F.col("suppliers")) <= 1 + 5 * 0.02 * F.col("suppliers")).alias("within"))
+
+
 _OPS = f"SELECT 'delete' AS change, op FROM ({o.changes_sql('U', removed=o.first_deletes('U', 1))}) UNION ALL SELECT 'insert', op FROM ({o.changes_sql('U', added=o.first_inserts('U', 1))}) WHERE op <> 'remove'"
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 from functools import partial
 
@@ -100,7 +101,7 @@ edge_of = lambda df: tuple(df.first())[:2]
 
 
 # graphs and orders
-STATS = ("U", "P46", "P40", "CP49", "NF", "UD", "UW")
+STATS = ("U", "P46", "P40", "CP49", "NF", "UD", "UW", "PW")
 
 
 @register("w_graph_stats", " UNION ALL ".join(f"SELECT '{n}' AS graph, (SELECT count(*) FROM (SELECT u FROM ({o.SQL_EDGES[n]}) UNION SELECT v FROM ({o.SQL_EDGES[n]}))) AS n, (SELECT count(*) FROM ({o.SQL_EDGES[n]})) AS m" for n in STATS))
@@ -119,7 +120,7 @@ def degree_order(spark, sf_dir):
 
 
 # the static index
-for _n in ("U", "NF", "P46"):
+for _n in ("U", "NF", "P46", "P40", "CP49", "PW"):
 
     @register(f"w_index_rows_{_n.lower()}", o.index_sql(_n))
     def index_rows(spark, sf_dir, n=_n):
@@ -273,15 +274,38 @@ def insert_strict(spark, sf_dir):
     return query.distance(up.index, every_pair(up.graph)).select("s", "t", "dist")
 
 
-@register("w_insert_exactness")
-def insert_exactness(spark, sf_dir):
-    """Share of exact pairs: 1 with relaxed pruning, below with strict."""
-    out = None
-    for prune in ("relaxed", "strict"):
-        up = _inserted(spark, sf_dir, 10, prune=prune)
-        row = measures.exactness(up.index, up.graph).withColumn("prune", F.lit(prune))
-        out = row if out is None else out.unionByName(row)
-    return out
+@register("w_insert_exactness", f"WITH RECURSIVE {o.ctes('U', added=o.first_inserts('U', 10))} SELECT count(*) AS pairs, 1.0::DOUBLE AS exact FROM p")
+def insert_exactness(spark, sf_dir, prune="relaxed"):
+    """Share of exact pairs after ten insertions."""
+    up = _inserted(spark, sf_dir, 10, prune=prune)
+    return measures.exactness(up.index, up.graph)
+
+
+@register("w_insert_strict_exactness")
+def insert_strict_exactness(spark, sf_dir):
+    """The same with strict pruning, which loses counts: below 1."""
+    return insert_exactness(spark, sf_dir, "strict")
+
+
+# changes that don't fit
+@register("w_insert_existing", o.index_sql("U", added=o.first_inserts("U", 1)))
+def insert_existing(spark, sf_dir):
+    """An edge that is there already, and a new one given three times in both orders: one edge is new."""
+    g, ix = indexed(spark, sf_dir, "U")
+    new, old = edge_of(first_inserts(spark, sf_dir, g, 1)), edge_of(first_deletes(g, 1))
+    rows = [new, new[::-1], new, old, old[::-1]]
+    return label_rows(insert.run(g, ix, spark.createDataFrame(rows, "u long, v long"), dominated="purge").index, "U")
+
+
+WRONG = ((1, 2, "edge exists"), (5, 1, "edge exists"), (4, 4, "self loop"), (0, 99, "unknown vertex"), (9, 3, "repeated"))
+
+
+@register("w_update_rejects", "SELECT CAST(u AS BIGINT) AS u, CAST(v AS BIGINT) AS v, problem FROM (VALUES " + ", ".join(f"({min(u, v)}, {max(u, v)}, '{x}')" for u, v, x in WRONG) + ") t(u, v, problem)")
+def update_rejects(spark, sf_dir):
+    """What an insertion into the example leaves alone, and why."""
+    g, ix = indexed(spark, sf_dir, "EX")
+    up = insert.run(g, ix, spark.createDataFrame([(3, 9), *((u, v) for u, v, _ in WRONG)], "u long, v long"))
+    return up.rejects.select("u", "v", "problem")
 
 
 # deletion
@@ -324,19 +348,22 @@ def delete_real_only(spark, sf_dir):
     return measures.exactness(up.index, up.graph)
 
 
-@register(
-    "w_affected_sets",
-    f"""WITH RECURSIVE {o.ctes('U')}, z AS (SELECT least(x.rank, x.rank) AS ra, y.rank AS rb FROM ({o.first_deletes('U', 1)}) JOIN rk x ON x.vertex = u JOIN rk y ON y.vertex = v),
+_SETS = f"""WITH RECURSIVE {o.ctes('U')}, z AS (SELECT least(x.rank, x.rank) AS ra, y.rank AS rb FROM ({o.first_deletes('U', 1)}) JOIN rk x ON x.vertex = u JOIN rk y ON y.vertex = v),
     g AS (SELECT a.s AS r, CASE WHEN a.d < b.d THEN 'a' ELSE 'b' END AS side, a.c = b.c AS every FROM z JOIN p a ON a.t = ra JOIN p b ON b.t = rb AND b.s = a.s WHERE abs(a.d - b.d) = 1),
     k AS (SELECT x.hub AS r FROM z JOIN idx x ON x.owner = ra JOIN idx y ON y.owner = rb AND y.hub = x.hub)
-    SELECT vertex, side, CASE WHEN r IN (SELECT r FROM k) THEN 'root_hub' WHEN every THEN 'root_all_paths' ELSE 'receiver' END AS role FROM g JOIN rk ON rank = r""",
-)
+    SELECT vertex, side, CASE WHEN r IN (SELECT r FROM k) THEN 'root_hub' WHEN every THEN 'root_all_paths' ELSE 'receiver' END AS role FROM g JOIN rk ON rank = r"""
+
+
+@register("w_affected_sets", _SETS)
 def affected_sets(spark, sf_dir):
     up = _deleted(spark, sf_dir)
     return up.sets.join(up.graph.ranks, "rank").select("vertex", "side", "role")
 
 
-@register("w_set_sizes")
+_SIDE = "SELECT side, count(*) FILTER (WHERE role <> 'receiver') AS r, count(*) FILTER (WHERE role = 'receiver') AS c FROM (" + _SETS + ") GROUP BY side"
+
+
+@register("w_set_sizes", f"SELECT max(r) AS roots_a, min(r) AS roots_b, arg_max(c, r * 2 + (side = 'a')::INT) AS receivers_a, arg_min(c, r * 2 + (side = 'a')::INT) AS receivers_b FROM ({_SIDE})")
 def set_sizes(spark, sf_dir):
     return measures.set_sizes(_deleted(spark, sf_dir).sets)
 
@@ -550,7 +577,23 @@ def example_delete(spark, sf_dir):
     return label_rows(delete.run(g, ix, 1, 2, schedule="rank").index, "EX")
 
 
-@register("w_example_trace")
+@register("w_index_classical", o.index_sql("EX", natural=True))
+def index_classical(spark, sf_dir):
+    """The classical order: one hub after the other."""
+    return label_rows(ixs.build_rank_order(load(spark, sf_dir, "EX"), 1), "EX")
+
+
+@register("w_delete_rooted", o.index_sql("EX", removed=_CUT, natural=True))
+def delete_rooted(spark, sf_dir):
+    """Cut searches, then root by root with the upper-hub bound."""
+    g, ix = indexed(spark, sf_dir, "EX")
+    return label_rows(delete.run(g, ix, 1, 2, strategy="rooted").index, "EX")
+
+
+_STEPS = f"SELECT * FROM ({o.changes_sql('EX', added=_ADD, natural=True)}) WHERE op <> 'remove'"
+
+
+@register("w_example_trace", f"SELECT CAST(dist - (SELECT min(dist) FROM ({_STEPS})) AS INTEGER) AS round, owner + 1 AS owner, hub + 1 AS hub, old_dist, old_paths, dist, paths, CASE WHEN op = 'renew_count' THEN paths - old_paths ELSE paths END AS added, op FROM ({_STEPS})")
 def example_trace(spark, sf_dir):
     """Every step of the insertion of 3-9: round, label, old and new values, operation."""
     g, ix = indexed(spark, sf_dir, "EX")
@@ -592,27 +635,51 @@ def rebuild_batch(spark, sf_dir):
     return label_rows(ix, "U")
 
 
-def _metrics(spark, sf_dir) -> DataFrame:
-    """Metrics of one insertion and one deletion, each on the original index."""
-    g, ix = indexed(spark, sf_dir, "U")
-    log = change_log(spark, sf_dir, g, 10, 1)
-    out = None
-    for op in ("insert", "delete"):
-        one = log.where(F.col("op") == op).orderBy("seq").limit(1)
-        m = maintain.apply(g, ix, one)[2]
-        out = m if out is None else out.unionByName(m)
-    return out
-
-
-_COUNT = ", ".join(f"CAST(count(*) FILTER (WHERE op = '{k}') AS DOUBLE) AS {n}" for k, n in (("renew_count", "renew_count"), ("renew_dist", "renew_dist"), ("insert", "inserted"), ("remove", "removed")))
+SERIES = {"insert": 3, "delete": 2}
+_MEASURED: dict[tuple, DataFrame] = {}
 
 
-@register("w_label_changes", f"SELECT 'insert' AS op, {_COUNT} FROM ({o.changes_sql('U', added=o.first_inserts('U', 1))}) WHERE op <> 'remove' UNION ALL SELECT 'delete', {_COUNT} FROM ({o.changes_sql('U', removed=o.first_deletes('U', 1))})")
+def _metrics(spark, sf_dir) -> DataFrame:
+    """Metrics of single insertions and deletions, each on the original index; measured once an application."""
+    key = (spark.sparkContext.applicationId, sf_dir)
+    if key not in _MEASURED or not _there(_MEASURED[key]):
+        g, ix = indexed(spark, sf_dir, "U")
+        out = None
+        for op, n in SERIES.items():
+            edges = first_inserts(spark, sf_dir, g, n) if op == "insert" else first_deletes(g, n)
+            for k, e in enumerate(edges.orderBy(graphs.order_key(F.col("u"), F.col("v")), "u", "v").collect()):  # a stated number
+                one = spark.createDataFrame([(k + 1, op, e["u"], e["v"])], "seq long, op string, u long, v long")
+                m = maintain.apply(g, ix, one)[2]
+                out = m if out is None else out.unionByName(m)
+        _MEASURED[key] = written(out, "metrics")
+    return _MEASURED[key]
+
+
+def _series_sql() -> str:
+    """(op, seq, renew_count, renew_dist, inserted, removed) of each update, by comparing two indexes by definition."""
+    n = lambda k: f"count(*) FILTER (WHERE op = '{k}')"
+    parts = []
+    for op, most in SERIES.items():
+        pick = o.first_inserts if op == "insert" else o.first_deletes
+        for k in range(1, most + 1):
+            change = {"added" if op == "insert" else "removed": f"{pick('U', 1)} OFFSET {k - 1}"}
+            gone = "0" if op == "insert" else n("remove")  # rows that an insertion makes too long stay
+            parts.append(f"SELECT '{op}' AS op, CAST({k} AS BIGINT) AS seq, {n('renew_count')} AS renew_count, {n('renew_dist')} AS renew_dist, {n('insert')} AS inserted, {gone} AS removed FROM ({o.changes_sql('U', **change)})")
+    return " UNION ALL ".join(parts)
+
+
+@register("w_update_counters", f"SELECT op, seq, renew_count, renew_dist, inserted, CAST(removed AS BIGINT) AS removed, CAST(8 * (inserted - removed) AS BIGINT) AS bytes FROM ({_series_sql()})")
+def update_counters(spark, sf_dir):
+    """Label changes and growth of every single update of the series."""
+    return _metrics(spark, sf_dir).select("op", "seq", "renew_count", "renew_dist", "inserted", "removed", "bytes")
+
+
+@register("w_label_changes", f"SELECT op, avg(renew_count) AS renew_count, avg(renew_dist) AS renew_dist, avg(inserted) AS inserted, avg(removed) AS removed FROM ({_series_sql()}) GROUP BY op")
 def label_changes(spark, sf_dir):
     return measures.label_changes(_metrics(spark, sf_dir))
 
 
-@register("w_size_change")
+@register("w_size_change", f"SELECT op, CAST(sum(8 * (inserted - removed)) AS BIGINT) AS bytes, avg(8 * (inserted - removed)) AS mean_bytes FROM ({_series_sql()}) GROUP BY op")
 def size_change(spark, sf_dir):
     return measures.size_change(_metrics(spark, sf_dir))
 
@@ -622,6 +689,70 @@ def update_times(spark, sf_dir):
     return measures.quartiles(_metrics(spark, sf_dir))
 
 
+@register("w_update_means")
+def update_means(spark, sf_dir):
+    """Mean time of insertions and deletions, with those above ten minutes as timeouts."""
+    m = _metrics(spark, sf_dir)
+    out = None
+    for op in SERIES:
+        row = measures.update_times(m, op, 600_000.0).select(F.lit(op).alias("op"), "updates", "mean_ms", "timeouts")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@register("w_speedup")
+def speedup(spark, sf_dir):
+    """Rebuild over mean update time, and its order of magnitude."""
+    began = time.time()
+    ixs.build(load(spark, sf_dir, "U"))
+    return measures.speedup((time.time() - began) * 1000, _metrics(spark, sf_dir))
+
+
+@register("w_stream_curve")
+def stream_curve(spark, sf_dir):
+    """Accumulated time and growth over a mixed sequence."""
+    g, ix = indexed(spark, sf_dir, "U")
+    return measures.accumulated(maintain.apply(g, ix, change_log(spark, sf_dir, g, 20, 2), batch_inserts=True)[2])
+
+
+@register("w_query_times")
+def query_times(spark, sf_dir):
+    """Milliseconds a pair of label queries and of two-sided searches, on the original index and after updates; both answer every pair of the example's size."""
+    g, ix = indexed(spark, sf_dir, "U")
+    ins, dels = _inserted(spark, sf_dir, 10), _deleted(spark, sf_dir)
+    rows = []
+    for name, state, graph_ in (("original", ix, g), ("inserted", ins.index, ins.graph), ("deleted", dels.index, dels.graph)):
+        p = written(every_pair(graph_).orderBy(graphs.order_key(F.col("s"), F.col("t")), "qid").limit(1000), "pairs")  # a stated number of queries
+        for way, answer in (("labels", lambda: query.pairs(state, p)), ("search", lambda: traversal.bfs_count_pairs(graph_, p))):
+            began = time.time()
+            n = written(answer(), "answers").count()
+            rows.append((name, way, n, (time.time() - began) * 1000 / max(1, n)))
+    return spark.createDataFrame(rows, "state string, way string, pairs long, ms_a_pair double")
+
+
+@register("w_pw_delete_changes", o.changes_sql("PW", removed=o.first_deletes("PW", 1)))
+def pw_delete_changes(spark, sf_dir):
+    return _changes(_deleted(spark, sf_dir, "PW"))
+
+
+@register("w_p46_delete_changes", o.changes_sql("P46", removed=o.first_deletes("P46", 1)))
+def p46_delete_changes(spark, sf_dir):
+    return _changes(_deleted(spark, sf_dir, "P46"))
+
+
+@register("w_round_settled", f"SELECT dist, count(*) AS settled FROM ({o.changes_sql('U', added=o.first_inserts('U', 10))}) WHERE op <> 'remove' GROUP BY dist")
+def round_settled(spark, sf_dir):
+    """Rows settled by each round of ten insertions repaired together."""
+    up = _inserted(spark, sf_dir, 10)
+    return measures.round_stats(up.index, up.rounds).where("settled > 0").select("dist", "settled")
+
+
+@register("w_bound_sets", f"WITH RECURSIVE {o.ctes('U')} SELECT (SELECT round(count(*) / (SELECT count(*) FROM rk), 6) FROM idx) AS rows_per_vertex, count(*) FILTER (WHERE role <> 'receiver') AS roots, count(*) AS touched FROM ({_SETS})")
+def bound_sets(spark, sf_dir):
+    up = _deleted(spark, sf_dir)
+    return measures.bound_terms(indexed(spark, sf_dir, "U")[1], up.rounds, up.sets).select("rows_per_vertex", "roots", "touched")
+
+
 @register("w_dominated_rows", f"SELECT count(*) AS dominated_rows FROM ({o.changes_sql('U', added=o.first_inserts('U', 10))}) WHERE op = 'remove'")
 def dominated_rows(spark, sf_dir):
     """Rows that ten insertions made too long and that stay."""
@@ -649,14 +780,18 @@ def query_rows(spark, sf_dir, pairs=some_pairs):
 
 @register("w_skew_cost")
 def skew_cost(spark, sf_dir):
-    """Touched rows and time of single deletions against the degree product: one edge of each third stratum."""
+    """Touched rows and time of single updates against the degree product: an insertion of each tenth, a deletion of every second."""
     g, ix = indexed(spark, sf_dir, "U")
-    rows = []
-    for r in _strata(g.edges, g.edges).where("stratum in (1, 4, 7, 10)").orderBy("stratum").collect():
-        one = spark.createDataFrame([(1, "delete", r["u"], r["v"])], "seq long, op string, u long, v long")
-        m = maintain.apply(g, ix, one)[2].first()
-        rows.append((r["u"], r["v"], m["ms"], m["renew_count"] + m["renew_dist"] + m["inserted"] + m["removed"]))
-    return measures.skew(spark.createDataFrame(rows, "u long, v long, ms double, rows long"), g)
+    out = None
+    for op, of, tiles in (("insert", first_inserts(spark, sf_dir, g, None), range(1, 11)), ("delete", g.edges, range(1, 11, 2))):
+        rows = []
+        for r in _strata(g.edges, of).where(F.col("stratum").isin(*tiles)).orderBy("stratum").collect():  # ten at most
+            one = spark.createDataFrame([(1, op, r["u"], r["v"])], "seq long, op string, u long, v long")
+            m = maintain.apply(g, ix, one)[2].first()
+            rows.append((r["u"], r["v"], m["ms"], m["renew_count"] + m["renew_dist"] + m["inserted"] + m["removed"]))
+        row = measures.skew(spark.createDataFrame(rows, "u long, v long, ms double, rows long"), g).select(F.lit(op).alias("op"), "corr_ms", "corr_rows", "edges")
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 # the workloads of sampled pairs, over every pair

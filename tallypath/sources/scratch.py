@@ -76,13 +76,16 @@ class Layered:
 
     def changed(self, changes: DataFrame) -> "Layered":
         """With ``changes`` (the base's columns and ``gone``; one row a key, or it raises) on top."""
-        new = changes.select(*self.base.columns, "gone")
+        columns = [*self.base.columns, "gone"]
+        rest = [c for c in columns if c not in self.keys]
+        new = changes.groupBy(*self.keys).agg(*[F.first(c).alias(c) for c in rest], F.count(F.lit(1)).alias("__n"))
         if self.overlay is not None:
             new = written(new, "changes")
-            new = self.overlay.join(new.select(*self.keys), list(self.keys), "left_anti").unionByName(new)
-        layer = write(new, "overlay")
-        if layer.df.select(*self.keys).distinct().count() != layer.seen["n"]:
+            new = self.overlay.join(new.select(*self.keys), list(self.keys), "left_anti").withColumn("__n", F.lit(1).cast("long")).unionByName(new)
+        layer = write(new, "overlay", most=F.max("__n"))
+        if (layer.seen["most"] or 0) > 1:
             raise ValueError(f"changes repeat a key of {self.keys}")
+        layer = Written(layer.df.select(*columns), layer.path, layer.seen)
         n = self.base_rows if self.base_rows is not None else self.base.count()
         if layer.seen["n"] > max(1000, FOLD_SHARE * n):
             folded = write(Layered(self.base, self.keys, n, layer.df).rows, "base")

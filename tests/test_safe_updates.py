@@ -86,3 +86,19 @@ def test_rooted_deletion_equals_the_other_on_the_trap(spark):
         up = delete.run(up.graph, up.index, a, b, strategy="rooted")
     assert measures.exactness(up.index, up.graph).first()["exact"] == 1
     assert up.graph.edges.where((F.col("u") == 0) & (F.col("v") == 5)).count() == 0
+
+
+def test_counts_beyond_64_bits(spark):
+    """Layers joined completely: 16 ** 17 paths from end to end."""
+    width, layers = 16, 17
+    name = lambda layer, i: 1 + layer * width + i
+    edges = [(0, name(0, i)) for i in range(width)] + [(name(a, i), name(a + 1, j)) for a in range(layers - 1) for i in range(width) for j in range(width)]
+    last = name(layers, 0)
+    edges += [(name(layers - 1, i), last) for i in range(width)]
+    e = spark.createDataFrame(edges, PAIR)
+    g = graph.make(e, ranking.natural(e))
+    p = spark.createDataFrame([(0, 0, last)], "qid long, s long, t long")
+    ix = ixs.build(g, count_type="decimal")
+    assert tuple(query.pairs(ix, p).select("dist", "paths").first()) == (layers + 1, width**layers)
+    up = delete.run(g, ix, name(0, 0), name(1, 0))
+    assert int(query.pairs(up.index, p).first()["paths"]) == width**layers - width ** (layers - 2)
