@@ -58,6 +58,7 @@ def main() -> None:
     up = timed("b_insert_10", lambda: insert.run(g, ix, ten))
     e = w.first_deletes(g, 1).first()
     gone = timed("b_delete_1", lambda: delete.run(g, ix, e["u"], e["v"]))
+    timed("b_rebuild", lambda: ixs.rebuild_batch(g, one))
     pairs = w.written(w.every_pair(g).where((F.col("s") * 7919 + F.col("t") * 104729) % 1000003 < 4444).limit(10_000), "pairs")
     notes["pairs"] = pairs.count()
     for name, state in (("original", ix), ("inserted", up.index), ("deleted", gone.index)):
@@ -67,7 +68,9 @@ def main() -> None:
     timed("b_source_all", lambda: done(query.from_source(ix, g.ranks.where("rank = 1").first()["vertex"])))
     p = w.load(spark, sf_dir, "P46")
     notes["p46_edges"] = graph.stats(p.edges).first()["m"]
-    notes["rebuild_over_insert"] = round(out["b_build"] / (out["b_insert_10"] / 10), 1)
+    # Of a single edge each; the share of one edge in a repair of ten together is given beside it.
+    notes["rebuild_over_insert"] = round(out["b_build"] / out["b_insert_1"], 2)
+    notes["rebuild_over_insert_in_a_batch_of_ten"] = round(out["b_build"] / (out["b_insert_10"] / 10), 1)
     notes["rebuild_over_delete"] = round(out["b_build"] / out["b_delete_1"], 2)
     notes["bibfs_over_query_a_pair"] = round((out["b_bibfs_200"] / 200) / (out["b_query_original"] / max(1, notes["pairs"])), 1)
     print(json.dumps({"metric": "headline_total", "value": round(sum(out.values()), 3), "unit": "sec", "queries": out, "sf": sf_dir.rsplit("sf", 1)[-1], "notes": notes}))

@@ -1,4 +1,4 @@
-"""Streaming maintenance: change files in, committed index versions out."""
+"""Streaming maintenance: change files in, an index kept in step in this process; `sources.store` commits versions where a caller wants them."""
 
 from __future__ import annotations
 
