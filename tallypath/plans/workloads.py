@@ -434,6 +434,16 @@ def stream_hybrid(spark, sf_dir):
     return answers(query.pairs(state.index, every_pair(state.graph)))
 
 
+@register("w_stream_restart", o.pairs_sql("U", added=o.first_inserts("U", 20), removed=o.first_deletes("U", 2)))
+def stream_restart(spark, sf_dir):
+    """The same stream, ended half-way and taken up again from the versions that it committed."""
+    from ..streaming import hybrid as st
+
+    g, ix = indexed(spark, sf_dir, "U")
+    state = st.run_restarted(g, ix, change_log(spark, sf_dir, g, 20, 2), at=11)
+    return answers(query.pairs(state.index, every_pair(state.graph)))
+
+
 _STATES = (("original", {}), ("inserted", {"added": o.first_inserts("U", 10)}), ("deleted", {"removed": o.first_deletes("U", 1)}))
 
 

@@ -49,6 +49,45 @@ def test_stream_equals_batch_and_ignores_replays(spark, example):
     assert measures.accumulated(m).count() == m.count() and measures.label_changes(m).count() == 2
 
 
+def test_stream_goes_on_from_its_versions(spark, example):
+    g, ix = example
+    log = spark.createDataFrame([(1, "insert", 3, 9), (2, "delete", 1, 2), (3, "insert", 5, 11), (4, "delete", 3, 9)], "seq long, op string, u long, v long")
+    edges = [e for e in EX if e != (1, 2)] + [(5, 11)]
+    state = hybrid.run_restarted(g, ix, log, at=2, rows_per_file=1)
+    exact(spark, state.index, edges, range(12))
+    assert {tuple(r) for r in state.graph.edges.collect()} == {tuple(sorted(e)) for e in edges}
+    assert state.seq == 4 and sum(m.count() for m in state.metrics) == 4 and not state.late
+    again = hybrid.resume(Store(spark, state.store.folder))
+    assert rows(again.index) == rows(state.index) and (again.batch, again.seq) == (state.batch, 4)
+    assert {tuple(r) for r in again.graph.arcs.collect()} == {tuple(r) for r in state.graph.arcs.collect()}
+    redo = log.withColumn("w", F.lit(None).cast("long"))
+    again.commit(redo, again.batch)
+    assert not again.late
+    odd = spark.createDataFrame([(None, "insert", 3, 9), (6, "insert", 3, 9), (6, "delete", 5, 11)], "seq long, op string, u long, v long")
+    again.commit(odd, again.batch + 1)  # of one seq the least change counts: the deletion
+    exact(spark, again.index, [e for e in edges if e != (5, 11)], range(12))
+    assert again.late[0].count() == 1 and hybrid.resume(again.store).seq == 6
+    with pytest.raises(ValueError):
+        again.store.append(log, batch=99)
+
+
+def test_a_lost_commit_is_repeated(spark, example, monkeypatch):
+    g, ix = example
+    store = Store(spark, f"{shared_dir(spark)}/store-{uuid.uuid4().hex}", buckets=2)
+    state = hybrid.stored(g, ix, store)
+    log = spark.createDataFrame([(1, "insert", 3, 9)], "seq long, op string, u long, v long")
+    put = store._put_manifest
+    monkeypatch.setattr(store, "_put_manifest", lambda m: 1 / 0)
+    with pytest.raises(ZeroDivisionError):
+        state.commit(log, 0)
+    assert (state.batch, state.seq) == (-1, 0) and hybrid.resume(Store(spark, store.folder)).batch == -1
+    monkeypatch.setattr(store, "_put_manifest", put)
+    state.commit(log, 0)
+    back = hybrid.resume(Store(spark, store.folder))
+    exact(spark, back.index, [*EX, (3, 9)], range(12))
+    assert back.batch == 0 and back.seq == 1
+
+
 def test_vertices_come_and_go(spark, example):
     g, ix = example
     g2, ix2 = maintain.add_vertex(g, ix, 50, [4, 8])
