@@ -406,7 +406,7 @@ def vertex_delete(spark, sf_dir):
 
 # mixed sequences
 def change_log(spark, sf_dir, g, inserts, deletes) -> DataFrame:
-    """(seq, op, u, v): ten insertions, then a deletion, and so on."""
+    """(seq, op, u, v): ten insertions, then a deletion, and so on; deletions that are left (few insertions at hand) come last."""
     kinds = "seq long, op string, u long, v long"
     ins, dels = first_inserts(spark, sf_dir, g, inserts).collect(), first_deletes(g, deletes).collect()  # stated numbers
     rows, k = [], 0
@@ -415,6 +415,8 @@ def change_log(spark, sf_dir, g, inserts, deletes) -> DataFrame:
         if (i + 1) % 10 == 0 and k < len(dels):
             rows.append((len(rows) + 1, "delete", dels[k]["u"], dels[k]["v"]))
             k += 1
+    for e in dels[k:]:
+        rows.append((len(rows) + 1, "delete", e["u"], e["v"]))
     return spark.createDataFrame(rows, kinds)
 
 

@@ -28,12 +28,11 @@ class Store:
         self._held: dict[str, tuple[DataFrame, str]] = {}  # tables in the folder and where they lie
 
     def _manifests(self) -> list[dict]:
-        try:
-            rows = self.spark.read.text(f"{self.folder}/manifest/*").collect()  # one line a version
-        except Exception as e:
-            if "PATH_NOT_FOUND" in str(e):
-                return []
-            raise
+        path = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path
+        at = path(f"{self.folder}/manifest")
+        if not at.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).exists(at):
+            return []
+        rows = self.spark.read.text(f"{self.folder}/manifest/*").collect()  # one line a version
         return sorted((json.loads(r["value"]) for r in rows), key=lambda m: m["version"])
 
     def _put_manifest(self, m: dict) -> None:
