@@ -216,9 +216,10 @@ def run(
     def allowed(rows: DataFrame) -> DataFrame:
         return rows.join(owners, ["side", "owner"]).join(hubs, ["side", "hub", "zone"], "left_semi").select("side", "owner", "hub", "dist", "paths")
 
-    # Border seeds: rows of roots at neighbours of the touched area.
+    # Border seeds: rows of roots at neighbours of the touched area. Only arcs into the area can lead to a row in question.
+    inward = g2.arcs.join(owners.select("side", F.col("owner").alias("dst")), ["side", "dst"], "left_semi").select("side", "src", "dst", "w")
     border = base.join(hubs.select("side", "hub").distinct(), ["side", "hub"], "left_semi").select(*KEY, "dist", "paths")
-    first = allowed(expand(border, g2.arcs))
+    first = allowed(expand(border, inward))
     if strategy == "search":
         own = base.where(F.col("owner") == F.col("hub")).join(hubs.select("side", "hub").distinct(), ["side", "hub"], "left_semi")
         got = settle(_without(base, hubs, own), g2.arcs, expand(own, g2.arcs))
@@ -226,16 +227,16 @@ def run(
     elif schedule == "rank":
         now, rounds, parts = base, [], []
         for r in hubs.select("hub").distinct().orderBy("hub").collect():
-            got = settle(now, g2.arcs, first.where(F.col("hub") == r["hub"]), allowed)
+            got = settle(now, inward, first.where(F.col("hub") == r["hub"]), allowed)
             rounds += got.rounds
             parts.append(got.delta)
             now = written(overlaid(now, got.delta), "labels")
-        got = Settled(parts[0] if parts else settle(base, g2.arcs, first, allowed).delta, rounds)
+        got = Settled(parts[0] if parts else settle(base, inward, first, allowed).delta, rounds)
         for p in parts[1:]:
             got.delta = got.delta.unionByName(p)
         confirmed = got.delta.select(*KEY, "dist", "paths")
     else:
-        got = settle(base, g2.arcs, first, allowed)
+        got = settle(base, inward, first, allowed)
         confirmed = got.delta.select(*KEY, "dist", "paths")
     if removal == "common_hub":
         common = sets.where(F.col("role") == "root_hub").select(F.col("rank").alias("hub")).distinct()

@@ -77,21 +77,60 @@ def closer(cands: DataFrame, labels: DataFrame, equal: bool = False, at: int | N
     """Keys of ``cands`` whose pair the labels already join at a smaller (``equal``: no larger) distance.
 
     Either the pair's own row is shorter, or a hub apart from both ends is on the way; then both its legs are at
-    least 1 long, so legs reach the candidate's distance less 2 at most. ``at``, the candidates' common distance,
-    makes that a filter on the label scans; below 3 (2) nothing can be on the way and no list is read.
+    least 1 long, so legs reach the candidate's distance less 2 at most, and the hub is ranked above the candidate's,
+    which it labels. ``at``, the candidates' common distance, makes the former a filter on the label scans; below
+    3 (2) nothing can be on the way and no list is read.
     """
     own = labels.select(*KEY, F.col("dist").alias("d0"))
     direct = cands.select(*KEY, "dist").join(own, KEY).where(F.col("d0") <= F.col("dist") if equal else F.col("d0") < F.col("dist")).select(*KEY)
+    over = detours(cands, labels, equal, at)
+    return direct if over is None else over.union(direct)
+
+
+def detours(cands: DataFrame, labels: DataFrame, equal: bool = False, at: int | None = None, narrow: bool = False) -> DataFrame | None:
+    """Keys of ``cands`` that are closer (see there) over a third hub; None if there can't be any.
+
+    ``narrow``: ``cands`` is a written table, so the lists of its owners and hubs are told from the others by
+    semi-joins before anything of the labels is exchanged; a small table is broadcast, and a small update then
+    exchanges only the lists that it touches.
+    """
     slack = 1 if equal else 2
     if at is not None and at < slack + 1:
-        return direct
+        return None
     legs = labels.where((F.col("dist") >= 1) & (F.col("dist") <= at - slack) if at is not None else F.col("dist") >= 1)
     near = legs.select("side", "owner", F.col("hub").alias("via"), F.col("dist").alias("d1"))
     far = legs.select(F.col("side").alias("side2"), F.col("owner").alias("hub"), F.col("hub").alias("via"), F.col("dist").alias("d2"))
     c = cands.select(*KEY, "dist").withColumn("side2", opposite(F.col("side")))
-    hit = c.join(near, ["side", "owner"]).where(F.col("d1") <= F.col("dist") - slack).join(far, ["side2", "hub", "via"])
+    if narrow:
+        far = far.join(c.select("side2", "hub"), ["side2", "hub"], "left_semi")
+    hit = c.join(near, ["side", "owner"]).where((F.col("via") < F.col("hub")) & (F.col("d1") <= F.col("dist") - slack)).join(far, ["side2", "hub", "via"])
     total = F.col("d1") + F.col("d2")
-    return hit.where(total <= F.col("dist") if equal else total < F.col("dist")).select(*KEY).union(direct)
+    return hit.where(total <= F.col("dist") if equal else total < F.col("dist")).select(*KEY)
+
+
+def standing(cur: DataFrame, base: DataFrame, delta: DataFrame | None, equal: bool, at: int) -> DataFrame:
+    """The rows of ``cur`` (a written table; all at distance ``at``) whose pair is no closer, with ``old_dist`` and ``old_paths`` of ``base``.
+
+    ``delta`` holds rows settled at smaller distances. A settled row is never longer than the row of ``base`` that it
+    replaces, so both together answer whether a pair is closer as well as the overlaid table would. What speaks for
+    and against a row meets in one aggregation by key.
+    """
+    count = base.schema["paths"].dataType
+    none = lambda kind: F.lit(None).cast(kind)
+    beaten = F.col("dist") <= at if equal else F.col("dist") < at
+    against = lambda keys: keys.select(*KEY, none("int").alias("dist"), none(count).alias("paths"), none("int").alias("old_dist"), none(count).alias("old_paths"), F.lit(True).alias("beaten"))
+    rows = cur.select(*KEY, "dist", "paths", none("int").alias("old_dist"), none(count).alias("old_paths"), F.lit(False).alias("beaten"))
+    own = base.join(cur.select(*KEY), KEY, "left_semi")
+    rows = rows.unionByName(own.select(*KEY, none("int").alias("dist"), none(count).alias("paths"), F.col("dist").alias("old_dist"), F.col("paths").alias("old_paths"), beaten.alias("beaten")))
+    known = base.select(*KEY, "dist")
+    if delta is not None:
+        rows = rows.unionByName(against(delta.join(cur.select(*KEY), KEY, "left_semi")))
+        known = known.unionByName(delta.select(*KEY, "dist"))
+    over = detours(cur, known, equal, at, narrow=True)
+    if over is not None:
+        rows = rows.unionByName(against(over))
+    best = rows.groupBy(*KEY).agg(*[F.max(c).alias(c) for c in ("dist", "paths", "old_dist", "old_paths", "beaten")])
+    return best.where(F.col("dist").isNotNull() & ~F.col("beaten")).drop("beaten")
 
 
 def overlaid(base: DataFrame, delta: DataFrame | None) -> DataFrame:
@@ -118,10 +157,7 @@ def settle(base: DataFrame, arcs: DataFrame, seeds: DataFrame, allowed=None, equ
         d = pend.seen["least"]
         cur = pend.df.where(F.col("dist") == d) if pend.seen["most"] != d else pend.df
         delta = spark.read.schema(kind).parquet(*paths) if paths else None
-        now = overlaid(base, delta)
-        cur = cur.join(closer(cur, now, equal, d), KEY, "left_anti")
-        old = base.select(*KEY, F.col("dist").alias("old_dist"), F.col("paths").alias("old_paths"))
-        cur = cur.join(old, KEY, "left")
+        cur = standing(cur, base, delta, equal, d)
         same = F.col("old_dist") == F.col("dist")
         op = F.when(F.col("old_dist").isNull(), "insert").when(same, "renew_count").otherwise("renew_dist")
         cur = cur.select(*KEY, "dist", F.when(same, (F.col("paths") + F.col("old_paths")).cast(count)).otherwise(F.col("paths")).alias("paths"), F.col("paths").alias("added"), "old_dist", "old_paths", op.alias("op"), F.lit(len(rounds)).alias("round"))
