@@ -1,10 +1,12 @@
 import random
 
 import pytest
+from pyspark.sql import functions as F
 from reference import EX, TRAP, index, pairs
 
 from tallypath.operators import delete, graph, insert, query, ranking
 from tallypath.operators import index as ixs
+from tallypath.sources.scratch import written
 
 
 def make(spark, edges, directed=False, weighted=False, natural=True):
@@ -147,3 +149,19 @@ def test_delete_variants_agree(spark):
     want = index([e for e in edges if e != (a, b)], ranks(g))
     for options in ({}, {"definition": "gap_all"}, {"strategy": "drop_then_fill"}, {"strategy": "search"}, {"schedule": "rank"}):
         assert rows(delete.run(g, ix, a, b, **options).index) == want, options
+
+
+@pytest.mark.parametrize("equal", [False, True])
+def test_detours_by_semi_joins_are_those_of_whole_lists(spark, equal):
+    ix = ixs.build(make(spark, EX))
+    labels = ix.labels.collect()
+    lists = {}
+    for r in labels:
+        lists.setdefault(r["owner"], {})[r["hub"]] = r["dist"]
+    for at in (2, 3, 4):
+        cands = written(ix.labels.where("owner <> hub").select("side", "owner", "hub", F.lit(at).alias("dist"), "paths"), "candidates")
+        best = lambda o, h: min((lists[o][v] + lists[h][v] for v in lists[o] if v in lists[h] and v not in (o, h)), default=99)
+        want = {(r["owner"], r["hub"]) for r in labels if r["owner"] != r["hub"] and best(r["owner"], r["hub"]) < at + equal}
+        for narrow in (False, True):
+            got = ixs.detours(cands, ix.labels, equal, at, narrow)
+            assert ({(r["owner"], r["hub"]) for r in got.collect()} if got is not None else set()) == want
