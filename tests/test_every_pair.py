@@ -6,6 +6,7 @@ import os
 import __spark_entry__ as entry_module
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 from test_workloads import plain
 
 from tallypath.plans import workloads
@@ -34,3 +35,15 @@ def test_every_pair_equals_oracle(spark, name):
     cols = sorted(got.columns)
     assert cols == sorted(want.columns) and len(got)
     assert plain(got, cols) == plain(want, cols)
+
+
+def test_pairs_of_some_vertices_are_made_of_these_alone(spark):
+    from tallypath.operators import graph, ranking
+
+    e = spark.createDataFrame([(i, i + 1) for i in range(1, 40)], "u long, v long")
+    g = graph.make(e, ranking.by_degree(e))
+    got = workloads.every_pair(g, F.col("vertex") % 5 == 0)
+    want = [(s, t) for s in range(5, 41, 5) for t in range(5, 41, 5)]
+    assert sorted((r["s"], r["t"]) for r in got.collect()) == want
+    assert got.select("qid").distinct().count() == len(want)
+    assert "Range (0, 64," in got._jdf.queryExecution().optimizedPlan().toString()
