@@ -17,10 +17,15 @@ def recommend(ix: LabelIndex, vertex: int, distance: int = 2, k: int = 10) -> Da
     return top.withColumn("place", F.row_number().over(Window.orderBy(F.desc("paths"), F.asc("vertex"))).cast("long")).select("vertex", "paths", "place")
 
 
-def all_answers(ix: LabelIndex) -> DataFrame:
-    """(s, t, dist, paths) of all connected ordered pairs, in ranks, by one hub join."""
+def all_answers(ix: LabelIndex, within: int | None = None) -> DataFrame:
+    """(s, t, dist, paths) of all connected ordered pairs, in ranks, by one hub join; ``within``: of those at most so far apart.
+
+    Then rows of that distance at most are all that is read, and sums beyond it are not made.
+    """
     leave, reach = query._lists(ix)
     j = leave.select(F.col("owner").alias("s"), "hub", F.col("dist").alias("d1"), F.col("paths").alias("p1")).join(reach.select(F.col("owner").alias("t"), "hub", F.col("dist").alias("d2"), F.col("paths").alias("p2")), "hub")
+    if within is not None:
+        j = j.where((F.col("d1") <= within) & (F.col("d2") <= within) & (F.col("d1") + F.col("d2") <= within))
     sums = j.groupBy("s", "t", (F.col("d1") + F.col("d2")).cast("int").alias("sum")).agg(F.sum(F.col("p1") * F.col("p2")).alias("paths"))
     return sums.groupBy("s", "t").agg(F.min(F.struct("sum", "paths")).alias("b")).select("s", "t", F.col("b.sum").alias("dist"), F.col("b.paths").alias("paths"))
 
