@@ -78,7 +78,7 @@ def bound_terms(ix: LabelIndex, rounds: list[dict], sets: DataFrame | None = Non
 
 def exactness(ix: LabelIndex, g: Graph) -> DataFrame:
     """One row: pairs, share of them with distance and count equal to brute force."""
-    true = traversal.all_pairs(g).select(F.col("source").alias("s"), F.col("vertex").alias("t"), F.col("dist").alias("d"), F.col("paths").alias("c"))
+    true = traversal.all_pairs(g, 'rounds').select(F.col("source").alias("s"), F.col("vertex").alias("t"), F.col("dist").alias("d"), F.col("paths").alias("c"))
     r = ix.ranks
     from .apps import all_answers
 
