@@ -27,7 +27,7 @@ def test_changes_equal_those_of_the_rounds(spark, monkeypatch):
     assert rows(up.index.labels) == rows(index.build(up.graph).labels)
 
 
-@pytest.mark.parametrize("name", ["op_cube", "op_grouping_sets", "op_rollup", "w_delete_changes"])
+@pytest.mark.parametrize("name", ["op_cube", "op_full_outer_diff", "op_grouping_sets", "op_rollup", "w_delete_changes"])
 def test_queries_run_no_rounds(spark, monkeypatch, name):
     for module in (insert, delete):
         monkeypatch.setattr(module, "settle", lambda *a, **b: pytest.fail("rounds"))
