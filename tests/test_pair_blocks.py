@@ -55,7 +55,7 @@ def test_counts_beyond_64_bits_stop_the_answer(spark):
         query.in_blocks(ix).collect()
 
 
-@pytest.mark.parametrize("name", ["w_pairs_disconnected", "w_pairs_disconnected_all"])
+@pytest.mark.parametrize("name", ["w_pairs_disconnected", "w_pairs_disconnected_all", "op_left_outer_default_all"])
 def test_the_queries_exchange_no_pairs(spark, name):
     import __spark_entry__
 
