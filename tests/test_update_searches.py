@@ -32,3 +32,19 @@ def test_queries_run_no_rounds(spark, monkeypatch, name):
     for module in (insert, delete):
         monkeypatch.setattr(module, "settle", lambda *a, **b: pytest.fail("rounds"))
     assert workloads.QUERIES[name](spark, "/root/testdata/sf0.001").count()
+
+
+@pytest.mark.parametrize("seed", [3, 4, 5])
+def test_rounds_are_told_as_the_rounds_count_them(spark, seed):
+    g = random_graph(spark, 60, 150, seed=seed)
+    ix = index.build(g)
+    u, v = g.edges.orderBy("u", "v").first()[:2]
+    want = delete.run(g, ix, u, v, shortcut=False).rounds
+    assert delete.run(g, ix, u, v, shortcut=False, strategy="searches", count_rounds=True).rounds == want and want
+
+
+def test_bound_terms_run_no_rounds(spark, monkeypatch):
+    up = workloads._deleted(spark, "/root/testdata/sf0.001")
+    monkeypatch.setattr(delete, "settle", lambda *a, **b: pytest.fail("rounds"))
+    got = workloads.QUERIES["w_bound_terms"](spark, "/root/testdata/sf0.001").first()
+    assert (got["visits"], got["rounds"]) == (sum(r["candidates"] for r in up.rounds), len(up.rounds)) and got["visits"]
