@@ -26,7 +26,8 @@ def metrics_row(seq: int, op: str, changes: DataFrame, rounds: int, ms: float, r
 def apply(g: Graph, ix: LabelIndex, changes: DataFrame, batch_inserts: bool = False, **options) -> tuple[Graph, LabelIndex, DataFrame]:
     """Applies ``changes`` (seq, op, u, v[, w]) in order of seq; op is insert, delete or reweight.
 
-    ``batch_inserts`` repairs runs of consecutive insertions together. The change list is a bounded batch; each
+    ``batch_inserts`` repairs runs of consecutive insertions together. ``strategy`` is that of insertions and deletions
+    ('searches' holds for both, the others are of deletions alone). The change list is a bounded batch; each
     change reads and writes only tables. Changes that don't fit the graph as it is at their turn (an edge that exists or
     doesn't, a loop, an unknown vertex) are counted as ``rejected`` and skipped. Returns graph, index and one metrics row for each repair.
     """
@@ -40,7 +41,7 @@ def apply(g: Graph, ix: LabelIndex, changes: DataFrame, batch_inserts: bool = Fa
             while batch_inserts and upto < len(rows) and rows[upto]["op"] == "insert":
                 upto += 1
             new = [(x["u"], x["v"], x["w"]) if g.weighted else (x["u"], x["v"]) for x in rows[at:upto]]
-            up = insert.run(g, ix, spark.createDataFrame(new, kind), dominated=options.get("dominated", "keep"))
+            up = insert.run(g, ix, spark.createDataFrame(new, kind), dominated=options.get("dominated", "keep"), strategy=options.get("strategy"))
         elif r["op"] == "delete":
             up = delete.run(g, ix, r["u"], r["v"], **{k: v for k, v in options.items() if k in ("removal", "definition", "strategy", "shortcut")})
         else:

@@ -33,6 +33,8 @@ class Maintained:
     metrics: list[DataFrame] = field(default_factory=list)
     late: list[DataFrame] = field(default_factory=list)
     store: Store | None = None
+    #: How updates are repaired, see ``maintain.apply``.
+    strategy: str = "withhold"
 
     def commit(self, changes: DataFrame, batch: int) -> None:
         """Applies a micro-batch once: a replayed batch id does nothing; changes at or below the committed seq, or without one, are set aside.
@@ -50,7 +52,7 @@ class Maintained:
         last = new.agg(F.max("seq")).first()[0]
         g, ix, metrics = self.graph, self.index, None
         if last is not None:
-            g, ix, metrics = maintain.apply(g, ix, new, batch_inserts=True)
+            g, ix, metrics = maintain.apply(g, ix, new, batch_inserts=True, strategy=self.strategy)
         seq = self.seq if last is None else last
         if self.store is not None:
             self.store.commit(g, ix, batch, seq, time.time(), metrics, late)
@@ -101,12 +103,12 @@ def follow(spark: SparkSession, state: Maintained, folder: str) -> Maintained:
     return state
 
 
-def run_files(g: Graph, ix: LabelIndex, changes: DataFrame, rows_per_file: int = 11, duplicate: bool = False) -> Maintained:
+def run_files(g: Graph, ix: LabelIndex, changes: DataFrame, rows_per_file: int = 11, duplicate: bool = False, strategy: str = "withhold") -> Maintained:
     """Writes ``changes`` (seq, op, u, v) as files and runs them through a file stream, one file a batch."""
     spark = ix.labels.sparkSession
     folder = f"{shared_dir(spark)}/tallypath-stream-{uuid.uuid4().hex}"
     put_files(changes, folder, rows_per_file, duplicate)
-    return follow(spark, Maintained(g, ix), folder)
+    return follow(spark, Maintained(g, ix, strategy=strategy), folder)
 
 
 def run_restarted(g: Graph, ix: LabelIndex, changes: DataFrame, at: int, rows_per_file: int = 11) -> Maintained:

@@ -48,3 +48,29 @@ def test_bound_terms_run_no_rounds(spark, monkeypatch):
     monkeypatch.setattr(delete, "settle", lambda *a, **b: pytest.fail("rounds"))
     got = workloads.QUERIES["w_bound_terms"](spark, "/root/testdata/sf0.001").first()
     assert (got["visits"], got["rounds"]) == (sum(r["candidates"] for r in up.rounds), len(up.rounds)) and got["visits"]
+
+
+def test_a_stream_by_searches_keeps_the_index(spark, monkeypatch):
+    from tallypath.streaming import hybrid
+
+    g = random_graph(spark, 40, 80)
+    ix = index.build(g)
+    free = g.ranks.select(F.col("vertex").alias("u")).join(g.ranks.select(F.col("vertex").alias("v"))).where("u < v").join(g.edges, ["u", "v"], "left_anti")
+    new = [tuple(r) for r in free.orderBy("u", "v").limit(3).collect()]
+    old = tuple(g.edges.orderBy("u", "v").first()[:2])
+    log = spark.createDataFrame([(i + 1, op, *e) for i, (op, e) in enumerate([*(("insert", e) for e in new), ("delete", old)])], "seq long, op string, u long, v long")
+    for module in (insert, delete):
+        monkeypatch.setattr(module, "settle", lambda *a, **b: pytest.fail("rounds"))
+    state = hybrid.run_files(g, ix, log, rows_per_file=2, duplicate=True, strategy="searches")
+    assert state.seq == 4 and state.graph.edges.count() == g.edges.count() + 2
+    from tallypath.operators import query
+
+    everyone = workloads.every_pair(state.graph)
+    answers = lambda x: sorted(map(str, query.pairs(x, everyone).select("s", "t", "dist", "paths").collect()))
+    assert answers(state.index) == answers(index.build(state.graph, strategy="searches"))
+
+
+def test_the_late_duplicate_query_runs_no_rounds(spark, monkeypatch):
+    for module in (insert, delete):
+        monkeypatch.setattr(module, "settle", lambda *a, **b: pytest.fail("rounds"))
+    assert workloads.QUERIES["op_stream_dedupe_late"](spark, "/root/testdata/sf0.001").first()["edges"]
