@@ -1,9 +1,11 @@
 """Inputs on which a part of the job could be left out: large benchmarks, hot passages, dense clusters."""
 
+import zlib
+
 import numpy as np
 from test_operators import docs, prose
 
-from tallypath.llm import components, decontamination, embedding_dedup, minhash, secrets, suffix_dedup, textnum
+from tallypath.llm import components, decontamination, embedding_dedup, minhash, secrets, suffix_dedup, textnum, toxicity
 
 
 def test_every_item_of_a_large_benchmark_is_found(spark):
@@ -146,3 +148,24 @@ def test_a_hot_anchor_is_split_by_its_surroundings(spark, monkeypatch):
     texts = [textnum.utf8(x) for _, x in rows]
     split = suffix_dedup.parted(texts, np.sort(keys[n > 8]), t, start, win, anchor, key, content)
     assert np.unique(split[4], return_counts=True)[1].max() < n.max() and split[2].sum() == win.sum()
+
+def test_toxicity_learns_from_every_labelled_row(spark, monkeypatch):
+    """A word that only the labelled texts beyond any sample hold is counted, and so is one of a very long text."""
+    t = toxicity
+    monkeypatch.setattr(t, "SHARD", 300)
+    rows = [(i, ("vile foul rot" if i % 3 == 0 else "calm sun") + f" rest{i % 50}", "en") for i in range(1500)]
+    rows[0] = (0, "x " * 40_000 + "vile farword", "en")
+    rows[3] = (3, "x " * 40_000 + "vile farword", "en")
+    d = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    labels = spark.createDataFrame([(i, int(i % 3 == 0)) for i in range(1500)], "doc_id long, toxic int")
+    seen = t._labelled(d, labels).cache()
+    want = [i for i in range(1500) if zlib.crc32(str(i).encode()) % 5]
+    assert sorted(r["doc_id"] for r in seen.collect()) == want
+    counted = t._counted(seen, ["en"]).to_pydict()
+    held = {r["doc_id"] for r in seen.where("held").collect()}
+    h = int(textnum.words([b"vile"]).hash.view("int64")[0])
+    at = counted["hash"].index(h)
+    assert (counted["clean"][at], counted["toxic"][at], counted["langs"][at]) == (0, sum(i % 3 == 0 for i in want if i not in held), [sum(i % 3 == 0 for i in want)])
+    model = t.train(d, labels)
+    out = {r["doc_id"]: r["score"] for r in t.score(d, model).collect()}
+    assert sum((out[i] >= 0.5) == (i % 3 == 0) for i in range(1500)) > 1480
