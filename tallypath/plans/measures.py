@@ -16,7 +16,7 @@ ROW_BYTES = 8
 def index_size(ix: LabelIndex) -> DataFrame:
     """One row: label rows, bytes at 8 a row, mean rows per vertex."""
     n = ix.ranks.agg(F.count("*").alias("n"))
-    rows = ix.labels.agg(F.count("*").alias("label_rows"))
+    rows = ix.labels.agg(F.count("*").alias("label_rows")) if ix.source is None else ix.labels.sparkSession.createDataFrame([(ixs.rows_in(ix),)], "label_rows long")
     return rows.crossJoin(n).select("label_rows", (F.col("label_rows") * ROW_BYTES).alias("bytes"), F.round(F.col("label_rows") / F.col("n"), 6).alias("rows_per_vertex"))  # one row each
 
 
