@@ -55,7 +55,7 @@ def written_names(monkeypatch):
     return names
 
 
-@pytest.mark.parametrize("name", ["op_cube", "w_delete_changes"])
+@pytest.mark.parametrize("name", ["op_cube", "op_grouping_sets", "w_delete_changes"])
 def test_queries_of_changes_write_no_label_rows(spark, monkeypatch, name):
     names = written_names(monkeypatch)
     assert workloads.QUERIES[name](spark, SF).count() and "labels" not in names
