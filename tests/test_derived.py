@@ -48,6 +48,15 @@ def test_updates_of_a_derived_index_are_those_of_the_written_one(spark, monkeypa
     assert index.rows_in(state["derived"][1]) == state["searches"][1].labels.count()
 
 
+def test_differences_of_few_hubs_at_a_time():
+    a, b = arcs(), arcs(seed=4)
+    every = lambda owner, place: np.ones(len(owner), bool)
+    hubs, none = np.arange(64), np.zeros(0, np.int64)
+    assert kernels.differences(a, b, hubs, every, none, most=10) is None
+    told = lambda hubs: {(int(hubs[p]), int(o)): tuple(map(int, x)) for o, p, *x in zip(*kernels.differences(a, b, hubs, every, none))}
+    assert told(hubs) == told(hubs[:32]) | told(hubs[32:])
+
+
 def written_names(monkeypatch):
     workloads._KEPT.clear()
     names, write = [], index.write
@@ -55,7 +64,7 @@ def written_names(monkeypatch):
     return names
 
 
-@pytest.mark.parametrize("name", ["op_cube", "op_full_outer_diff", "op_grouping_sets", "op_rollup", "w_delete_changes"])
+@pytest.mark.parametrize("name", ["op_cube", "op_full_outer_diff", "op_grouping_sets", "op_rollup", "op_stream_dedupe_late", "w_delete_changes"])
 def test_queries_of_changes_write_no_label_rows(spark, monkeypatch, name):
     names = written_names(monkeypatch)
     assert workloads.QUERIES[name](spark, SF).count() and "labels" not in names
