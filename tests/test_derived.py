@@ -64,7 +64,7 @@ def written_names(monkeypatch):
     return names
 
 
-@pytest.mark.parametrize("name", ["op_cube", "op_full_outer_diff", "op_grouping_sets", "op_rollup", "op_stream_dedupe_late", "w_delete_changes"])
+@pytest.mark.parametrize("name", ["op_cube", "op_full_outer_diff", "op_grouping_sets", "op_rollup", "op_stream_dedupe_late", "w_bound_terms", "w_delete_changes"])
 def test_queries_of_changes_write_no_label_rows(spark, monkeypatch, name):
     names = written_names(monkeypatch)
     assert workloads.QUERIES[name](spark, SF).count() and "labels" not in names
