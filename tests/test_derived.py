@@ -32,6 +32,12 @@ def test_searches_without_counts_reach_the_rows_of_those_with_counts():
     assert sorted(kernels.in_order(a).tolist()) == list(range(a.n))
 
 
+def test_distances_alone_by_searches(spark):
+    g = random_graph(spark, 50, 90)
+    want, ix = (index.build(g, distance_only=True, strategy=s) for s in ("rounds", "derived"))
+    assert rows(ix.labels) == rows(want.labels) and rows(index.in_vertices(ix)) == rows(index.in_vertices(want))
+
+
 def test_updates_of_a_derived_index_are_those_of_the_written_one(spark, monkeypatch):
     g = random_graph(spark, 50, 90)
     e = [tuple(r) for r in g.edges.orderBy("u", "v").collect()]
@@ -64,7 +70,7 @@ def written_names(monkeypatch):
     return names
 
 
-@pytest.mark.parametrize("name", ["op_cube", "op_full_outer_diff", "op_grouping_sets", "op_rollup", "op_stream_dedupe_late", "w_bound_terms", "w_delete_changes"])
+@pytest.mark.parametrize("name", ["op_cube", "op_full_outer_diff", "op_grouping_sets", "op_rollup", "op_stream_dedupe_late", "w_bound_terms", "w_delete_changes", "w_distance_only_index"])
 def test_queries_of_changes_write_no_label_rows(spark, monkeypatch, name):
     names = written_names(monkeypatch)
     assert workloads.QUERIES[name](spark, SF).count() and "labels" not in names
