@@ -61,3 +61,13 @@ def test_the_queries_exchange_no_pairs(spark, name):
 
     plan = __spark_entry__.queries()[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
     assert "Join" not in plan and "Aggregate" not in plan
+
+
+@pytest.mark.parametrize("directed", [False, True])
+def test_blocks_answer_the_pairs_of_some_vertices(spark, directed):
+    g = random_graph(spark, 60, 60, directed=directed)
+    ix = index.build(g)
+    some = F.col("vertex") % 3 == 0
+    got = query.in_blocks(ix, of=some)
+    assert "Join" not in got._jdf.queryExecution().optimizedPlan().toString()
+    assert plain(got) == plain(query.pairs(ix, workloads.every_pair(g, some))) and got.count()
