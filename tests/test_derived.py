@@ -5,7 +5,7 @@ import pytest
 from test_searches import random_graph, rows
 from test_update_searches import told
 
-from tallypath.operators import delete, index, insert, kernels
+from tallypath.operators import delete, index, insert, kernels, query
 from tallypath.plans import relational, workloads  # noqa: F401  relational registers its queries
 
 SF = "/root/testdata/sf0.001"
@@ -63,6 +63,18 @@ def test_differences_of_few_hubs_at_a_time():
     assert told(hubs) == told(hubs[:32]) | told(hubs[32:])
 
 
+@pytest.mark.parametrize("directed", [False, True])
+def test_lists_are_packed_by_columns(spark, monkeypatch, directed):
+    monkeypatch.setattr(query, "PACKED", 40)
+    ix = index.build(random_graph(spark, 40, 60, directed=directed))
+    got = query.packed(ix)
+    assert "collect_list" not in got._jdf.queryExecution().optimizedPlan().toString()
+    want = {}
+    for r in ix.labels.orderBy("hub").collect():
+        want.setdefault((r["side"], r["owner"]), []).append((r["hub"], r["dist"], r["paths"]))
+    assert {(r["side"], r["owner"]): [tuple(x) for x in r["rows"]] for r in got.collect()} == want and got.count() == len(want)
+
+
 def written_names(monkeypatch):
     workloads._KEPT.clear()
     names, write = [], index.write
